@@ -3,11 +3,14 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
+from kinetic.llm.arrow_files import token_files_round_trip
 from kinetic.llm.common import table
 from kinetic.llm.exact_dedup import exact_dedup
 from kinetic.llm.fingerprint import neighbour_fingerprints
+from kinetic.llm.html_text import extract_main_text
+from kinetic.llm.ngram_join import ngram_join
+from kinetic.llm.packing import pack_documents
 from kinetic.llm.url_filter import Rule, judge_urls
 
 #: The rules of the URL query.
@@ -24,6 +27,10 @@ def op1_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neighbour_fingerprints(table(spark, sf_dir, "documents"))
 
 
+def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(table(spark, sf_dir, "documents"))
+
+
 def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup(table(spark, sf_dir, "documents"))
 
@@ -32,6 +39,18 @@ def op6_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(table(spark, sf_dir, "pages"), URL_RULES, keep=["page_id"])
 
 
+def op7_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join(table(spark, sf_dir, "documents"))
+
+
+def op9_token_id_binary_output(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_files_round_trip(table(spark, sf_dir, "documents"))
+
+
+def op10_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract_main_text(table(spark, sf_dir, "pages"), keep=["page_id", "url"])
+
+
 def queries() -> dict:
     return {k: v for k, v in globals().items() if k.startswith("op")}
 
