@@ -9,8 +9,11 @@ from kinetic.llm.common import table
 from kinetic.llm.exact_dedup import exact_dedup
 from kinetic.llm.fingerprint import neighbour_fingerprints
 from kinetic.llm.html_text import extract_main_text
+from kinetic.llm.mixing import mix_sources
 from kinetic.llm.ngram_join import ngram_join
 from kinetic.llm.packing import pack_documents
+from kinetic.llm.quality import quality_scores
+from kinetic.llm.toxicity import toxicity_scores
 from kinetic.llm.url_filter import Rule, judge_urls
 
 #: The rules of the URL query.
@@ -35,6 +38,14 @@ def op3_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup(table(spark, sf_dir, "documents"))
 
 
+def op4_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+def op5_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mix_sources(table(spark, sf_dir, "documents").select("doc_id", "source"))
+
+
 def op6_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_urls(table(spark, sf_dir, "pages"), URL_RULES, keep=["page_id"])
 
@@ -43,6 +54,10 @@ def op7_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join(table(spark, sf_dir, "documents"))
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity_scores(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op9_token_id_binary_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files_round_trip(table(spark, sf_dir, "documents"))
 
