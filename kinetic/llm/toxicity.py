@@ -1,14 +1,16 @@
-"""Toxicity by class-conditional Kneser-Ney models.
-
-Word bigram models of toxic and of ordinary documents discount their counts
-and fall back on unigrams, and these on continuation counts that both classes
-share; discounts leave both the same mass, so that rare expressions, which
-only the shared counts know, speak for neither. A document's score comes from
-the difference of its log-likelihoods divided by its length.
+"""Toxicity by class-conditional Kneser-Ney models over the letters of words.
+
+Expressions with many endings are as common as single words, so the models
+predict each letter of a word from the letters before it. Toxic and ordinary
+documents have counts of their own for long histories; both fall back on
+continuation counts of short histories that they share, and both leave the
+same mass to them, so that rare expressions speak for neither. A document's
+score comes from the difference of its log-likelihoods divided by its length.
 """
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -16,209 +18,167 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from kinetic.llm.common import WordIds, fold, mixed, text_or_empty, written
+from kinetic.llm.common import fold, text_or_empty, written
 
-#: Expressions in fewer toxic documents, or seen fewer times, are rare.
-RARE_DOCS, RARE_PAIRS = 4, 4
+#: Letters of history that each class counts, and those of the shared orders below.
+HISTORY, SHARED = 7, (3, 1)
+#: A history that fewer toxic documents have, or that has a smaller share of all that toxic documents count, or that no
+#: ordinary one has, is rare: only shared counts speak there. By the share, at most 2**22 histories are not rare.
+RARE, RARE_SHARE = 4, 2.0**-22
 #: Discount of absolute discounting (fixed value).
 DISCOUNT = 0.75
+#: Log ratio from which a word counts as evidence of its own.
+EVIDENCE = 2.0
 #: Labelled rows of the calibration fold that the score is fitted on, at most, for each label.
 CALIBRATION_ROWS = 2048
 CALIBRATION_FOLD = 4
 #: Labels up to so many rows are broadcast to the documents; more meet them in a shuffle.
 BROADCAST_LABELS = 2_000_000
-#: Model entries that one scan of the documents takes along; more go in several scans.
-ENTRIES = 3_000_000
-#: Bits of the set of established words that counting pairs takes along; strangers that it lets in are rare pairs.
-BITS = 24
 CUT = 0.5
+_EDGES = ".,;:!?\"'()[]*#$%&|-_"
+_OPEN, _CLOSE = "\x02", "\x03"
 
-_words: WordIds | None = None
-
-
-def word_hashes(text: str) -> np.ndarray:
-    """64-bit hashes of the words, without the punctuation around them and in lower case."""
-    global _words
-    if _words is None:
-        import xxhash
 
-        _words = WordIds()
-        _words.hash = lambda w: xxhash.xxh64_intdigest(w.strip(".,;:!?\"'()[]*#$%&|-_").lower())
-    return _words.of(text.split())
+def plain(word: str) -> str:
+    return word.strip(_EDGES).lower()
 
 
-def pair_hash(h: np.ndarray, w: np.ndarray) -> np.ndarray:
-    return mixed(h * np.uint64(0x9E3779B97F4A7C15) + w)
+def words_of(text: str) -> set[str]:
+    """Distinct words, without the punctuation around them and in lower case."""
+    return {plain(w) for w in set(text.split())} - {""}
 
 
-def _counted(keys: list[np.ndarray], toxic: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    k, t = np.concatenate(keys), np.concatenate(toxic)
-    u, at = np.unique(k, return_inverse=True)
-    n = np.bincount(at, minlength=len(u))
-    n_t = np.bincount(at, weights=t, minlength=len(u)).astype(np.int64)
-    return u, n_t, n - n_t
+def grams_of(word: str, history: int = HISTORY) -> list[str]:
+    """Each letter of a word (and its end) behind at most ``history`` letters (and its beginning)."""
+    s = f"{_OPEN}{word}{_CLOSE}"
+    return [s[max(0, k - history) : k + 1] for k in range(1, len(s))]
 
 
 def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    held, size = [], 0
+    held: tuple[Counter, Counter] = (Counter(), Counter())
 
     def out() -> pa.RecordBatch:
-        u, t, o = _counted([k for k, _ in held], [np.full(len(k), y, np.float64) for k, y in held])
-        toxic = [np.unique(k) for k, y in held if y]
-        d, n = np.unique(np.concatenate(toxic), return_counts=True) if toxic else (u[:0], np.zeros(0, np.int64))
-        docs = np.zeros(len(u), np.int64)
-        docs[np.searchsorted(u, d)] = n
-        return pa.RecordBatch.from_arrays([pa.array(u.view(np.int64)), pa.array(t), pa.array(o), pa.array(docs)], names=["w", "t", "o", "docs"])
+        words = list(held[0].keys() | held[1].keys())
+        return pa.RecordBatch.from_arrays([pa.array(words, pa.string()), *(pa.array([held[y][w] for w in words], pa.int64()) for y in (1, 0))], names=["w", "t", "o"])
 
     for b in batches:
         for text, y in zip(b.column("text").to_pylist(), b.column("y").to_pylist(), strict=True):
-            held.append((word_hashes(text), y))
-            size += len(held[-1][0])
-            if size > 2_000_000:
+            held[y].update(words_of(text))
+            if len(held[0]) + len(held[1]) > 400_000:
                 yield out()
-                held, size = [], 0
-    if held:
+                held[0].clear()
+                held[1].clear()
+    if held[0] or held[1]:
         yield out()
 
 
-def _count_pairs(known):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits = known.value
-        held, size = [], 0
-
-        def out() -> pa.RecordBatch:
-            h, w, y = (np.concatenate([x[i] for x in held]) for i in range(3))
-            order = np.lexsort((w, h))
-            h, w, y = h[order], w[order], y[order]
-            new = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (w[1:] != w[:-1])])) if len(h) else np.zeros(0, np.int64)
-            t = np.add.reduceat(y, new) if len(new) else y[:0]
-            n = np.diff(np.append(new, len(h)))
-            return pa.RecordBatch.from_arrays([pa.array(x) for x in (h[new].view(np.int64), w[new].view(np.int64), t, n - t)], names=["h", "w", "t", "o"])
-
-        for b in batches:
-            for text, y in zip(b.column("text").to_pylist(), b.column("y").to_pylist(), strict=True):
-                k = word_hashes(text)
-                ok = _in(bits, k)
-                both = np.flatnonzero(ok[1:] & ok[:-1])
-                held.append((k[both], k[both + 1], np.full(len(both), y, np.int64)))
-                size += len(both)
-                if size > 2_000_000:
-                    yield out()
-                    held, size = [], 0
-        if held:
-            yield out()
-
-    return run
-
-
-def _in(bits: np.ndarray, keys: np.ndarray) -> np.ndarray:
-    at = keys >> np.uint64(64 - BITS)
-    return (bits[at >> np.uint64(3)] >> (at & np.uint64(7)).astype(np.uint8) & 1).astype(bool)
-
-
 def training_rows(df: DataFrame, labels: DataFrame, id_col: str, text_col: str, label_col: str) -> DataFrame:
-    """text, y, fold of the rows that may be learned from."""
+    """d, text, y, fold of the rows that may be learned from."""
     known = labels.where(F.col(label_col).isin(0, 1) & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("d"), F.col(label_col).cast("int").alias("y"), fold().alias("fold")).where("fold <> 0")
     if known.count() <= BROADCAST_LABELS:
         known = F.broadcast(known)
     return df.select(F.col(id_col).cast("long").alias("d"), text_or_empty(text_col).alias("text")).join(known, "d").select("d", "text", "y", "fold")
 
 
-def _words_of(rows: DataFrame) -> DataFrame:
-    return rows.select("text", "y").mapInArrow(_count_words, "w long, t long, o long, docs long").groupBy("w").agg(F.sum("t").alias("t"), F.sum("o").alias("o"), F.sum("docs").alias("docs"))
-
-
 def log_ratios(rows: DataFrame) -> DataFrame:
-    """key, ratio: of every established word, and of every pair what it adds to its word's.
+    """gram, ratio: log of a letter's probability in toxic documents over that in ordinary ones, behind every history that both know.
 
-    ``rows``: text, y. Log of the probability in toxic documents over that in
-    ordinary ones, by interpolated Kneser-Ney models.
+    ``rows``: text, y. A word counts once in a document.
     """
-    spark = rows.sparkSession
-    words = written(_words_of(rows).where(F.col("docs") >= RARE_DOCS).select("w", "t", "o"), "words")
-    bits = np.zeros(2 ** (BITS - 3), np.uint8)
-    # a set of fixed size: of the distinct leading bits only, at most 2**BITS rows
-    marks = words.select(F.shiftrightunsigned("w", 64 - BITS).alias("at")).distinct().toArrow().column("at").to_numpy()
-    np.bitwise_or.at(bits, marks >> 3, (1 << (marks & 7)).astype(np.uint8))
-    pairs = rows.select("text", "y").mapInArrow(_count_pairs(spark.sparkContext.broadcast(bits)), "h long, w long, t long, o long")
-    pairs = pairs.groupBy("h", "w").agg(F.sum("t").alias("t"), F.sum("o").alias("o"))
-    pairs = pairs.join(words.select(F.col("w").alias("h"), F.col("t").alias("h_t"), F.col("o").alias("h_o")), "h").join(words.select("w"), "w", "left_semi")
-    pairs = written(pairs, "pairs")
-    total = words.agg(F.sum("t").alias("n_t"), F.sum("o").alias("n_o"), F.sum((F.col("t") > 0).cast("long")).alias("types_t"), F.sum((F.col("o") > 0).cast("long")).alias("types_o"), F.count(F.lit(1)).alias("types")).first()
-    n_t, n_o = max(1, total["n_t"] or 0), max(1, total["n_o"] or 0)
-    shared = DISCOUNT * min((total["types_t"] or 0) / n_t, (total["types_o"] or 0) / n_o) or DISCOUNT / max(n_t, n_o)
-    d_t, d_o = min(DISCOUNT, shared * n_t / max(1, total["types_t"] or 0)), min(DISCOUNT, shared * n_o / max(1, total["types_o"] or 0))
-    spread = pairs.groupBy("w").agg(F.count(F.lit(1)).alias("before"))
-    kinds = pairs.count() + 0.5 * max(1, total["types"])
-    back = shared * (F.coalesce("before", F.lit(0)) + 0.5) / kinds
-    words = words.join(spread, "w", "left").select("w", (F.greatest(F.col("t") - d_t, F.lit(0.0)) / n_t + back).alias("p_t"), (F.greatest(F.col("o") - d_o, F.lit(0.0)) / n_o + back).alias("p_o"))
-    words = written(words, "unigrams")
-    follow = pairs.groupBy("h").agg(F.sum((F.col("t") > 0).cast("long")).alias("f_t"), F.sum((F.col("o") > 0).cast("long")).alias("f_o"))
-    # a context speaks only where both classes know it well enough to leave the same mass to the words
-    known = pairs.where((F.col("t") + F.col("o") >= RARE_PAIRS) & (F.col("h_t") > 0) & (F.col("h_o") > 0)).join(follow.where("f_t > 0 AND f_o > 0"), "h").join(words, "w")
-    mass = DISCOUNT * F.least(F.col("f_t") / F.col("h_t"), F.col("f_o") / F.col("h_o"))
-    p_t = F.greatest(F.col("t") / F.col("h_t") - F.col("mass") / F.col("f_t"), F.lit(0.0)) + F.col("mass") * F.col("p_t")
-    p_o = F.greatest(F.col("o") / F.col("h_o") - F.col("mass") / F.col("f_o"), F.lit(0.0)) + F.col("mass") * F.col("p_o")
-    known = known.withColumn("mass", mass).select(F.col("h"), F.col("w"), (F.ln(p_t / p_o) - F.ln(F.col("p_t") / F.col("p_o"))).cast("float").alias("ratio"))
-    single = words.select(F.lit(None).cast("long").alias("h"), "w", F.ln(F.col("p_t") / F.col("p_o")).cast("float").alias("ratio"))
-    return written(single.unionByName(known), "ratios")
+    words = written(rows.select("text", "y").mapInArrow(_count_words, "w string, t long, o long").groupBy("w").agg(F.sum("t").alias("t"), F.sum("o").alias("o")), "words")
+    s = F.concat(F.lit(_OPEN), F.col("w"), F.lit(_CLOSE))
+    cuts = F.transform(F.sequence(F.lit(2), F.length("w") + 2), lambda e: F.substring(s, F.greatest(F.lit(1), e - HISTORY), F.least(e, F.lit(HISTORY + 1))))
+    grams = words.select(F.explode(cuts).alias("gram"), "t", "o").groupBy("gram").agg(F.sum("t").alias("t"), F.sum("o").alias("o"))
+    grams = written(grams.select("gram", F.expr("substring(gram, 1, length(gram) - 1)").alias("past"), F.right("gram", F.lit(1)).alias("letter"), "t", "o"), "grams")
+    # shared orders: in how many longer histories a letter follows a short one
+    tables, upper = [], grams.select("past", "letter")
+    for h in SHARED:
+        upper = upper.select(F.right("past", F.lit(h)).alias("past"), "letter", F.lit(1).alias("n")).groupBy("past", "letter").agg(F.sum("n").alias("n"))
+        whole = upper.groupBy("past").agg(F.sum("n").alias("all"), F.count(F.lit(1)).alias("kinds"))
+        tables.append((h, upper.join(whole, "past")))
+    alphabet = max(1, tables[-1][1].select("letter").distinct().count())
+    lower = None
+    for h, table in reversed(tables):
+        if lower is None:
+            below = F.lit(1.0 / alphabet)
+            table = table.withColumn("below", below)
+        else:
+            table = table.withColumn("short", F.right("past", F.lit(lower[0]))).join(lower[1].select(F.col("past").alias("short"), "letter", F.col("p").alias("below")), ["short", "letter"])
+        lower = (h, written(table.select("past", "letter", ((F.col("n") - DISCOUNT) / F.col("all") + DISCOUNT * F.col("kinds") / F.col("all") * F.col("below")).alias("p")), "shared"))
+    rare = max(RARE, (grams.agg(F.sum("t")).first()[0] or 0) * RARE_SHARE)
+    past = grams.groupBy("past").agg(F.sum("t").alias("all_t"), F.sum("o").alias("all_o"), F.sum((F.col("t") > 0).cast("long")).alias("kinds_t"), F.sum((F.col("o") > 0).cast("long")).alias("kinds_o")).where((F.col("all_t") >= rare) & (F.col("all_o") > 0))
+    mass = DISCOUNT * F.least(F.col("kinds_t") / F.col("all_t"), F.col("kinds_o") / F.col("all_o"))
+    known = grams.join(past.withColumn("mass", mass), "past").withColumn("short", F.right("past", F.lit(SHARED[0])))
+    known = known.join(lower[1].select(F.col("past").alias("short"), "letter", "p"), ["short", "letter"])
+
+    def probability(c: str):
+        return F.greatest(F.col(c) / F.col(f"all_{c}") - F.col("mass") / F.col(f"kinds_{c}"), F.lit(0.0)) + F.col("mass") * F.col("p")
+
+    return written(known.select("gram", F.ln(probability("t") / probability("o")).cast("float").alias("ratio")).where("ratio <> 0"), "ratios")
 
 
 class Ratios:
-    """Entries of the model, sorted by key, for words and for pairs."""
+    """Log ratios of words, from a table of grams' hashes."""
 
-    def __init__(self, h: np.ndarray, w: np.ndarray, known: np.ndarray, ratio: np.ndarray):
-        keys = np.where(known, pair_hash(h, w), w)
-        self.words, self.pairs = (self._sorted(keys[m], ratio[m]) for m in (~known, known))
-
-    @staticmethod
-    def _sorted(keys: np.ndarray, ratio: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def __init__(self, grams: list[str], ratio: np.ndarray):
+        keys = self._hashes(grams)
         order = np.argsort(keys)
-        return keys[order], ratio[order].astype(np.float64)
+        self.keys, self.ratio = keys[order], ratio[order].astype(np.float64)
 
     @staticmethod
-    def _sum(table: tuple[np.ndarray, np.ndarray], keys: np.ndarray) -> np.ndarray:
-        own, ratio = table
-        if not len(own):
-            return np.zeros(len(keys))
-        at = np.minimum(np.searchsorted(own, keys), len(own) - 1)
-        return np.where(own[at] == keys, ratio[at], 0.0)
+    def _hashes(grams: list[str]) -> np.ndarray:
+        import xxhash
 
-    def difference(self, text: str) -> tuple[float, int]:
-        """Sum of the log ratios over a whole text, and its words."""
-        k = word_hashes(text)
-        if not len(k):
-            return 0.0, 0
-        return float(self._sum(self.words, k).sum() + self._sum(self.pairs, pair_hash(k[:-1], k[1:])).sum()), len(k)
+        return np.fromiter(map(xxhash.xxh64_intdigest, grams), np.uint64, len(grams))
+
+    def of(self, words: list[str]) -> np.ndarray:
+        parts = [grams_of(plain(w)) for w in words]
+        sizes = np.fromiter(map(len, parts), np.int64, len(parts))
+        keys = self._hashes([g for p in parts for g in p])
+        if not len(self.keys) or not len(keys):
+            return np.zeros(len(words))
+        at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
+        return np.add.reduceat(np.where(self.keys[at] == keys, self.ratio[at], 0.0), np.cumsum(sizes) - sizes)
+
+    def documents(self, texts: list[str], kept: dict[str, float], most: int = 300_000) -> list[tuple[float, float, int]]:
+        """Sum of the words' log ratios, sum of what goes beyond EVIDENCE, and distinct words of each text."""
+        cut = [set(t.split()) for t in texts]
+        new = [w for w in set().union(*cut) if w not in kept]
+        if len(kept) + len(new) > most:
+            kept.clear()
+            new = list(set().union(*cut))
+        for at in range(0, len(new), 20_000):
+            part = new[at : at + 20_000]
+            kept.update(zip(part, self.of(part).tolist(), strict=True))
+        out = []
+        for words in cut:
+            v = np.fromiter(map(kept.__getitem__, words), np.float64, len(words))
+            out.append((float(v.sum()), float(np.maximum(v - EVIDENCE, 0).sum()), len(words)))
+        return out
 
 
 def _differences(rows: DataFrame, ratios: DataFrame) -> DataFrame:
-    """rows (id columns, text) -> id columns, total, words. A scan for each ENTRIES model entries; sums of several scans meet by row number."""
+    """rows (other columns, text) -> other columns, total, evidence, words."""
     spark = rows.sparkSession
     fields = [f for f in rows.schema.fields if f.name != "text"]
-    n = ratios.count()
-    scans = max(1, -(-n // ENTRIES))
     from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
-    schema = StructType([*fields, StructField("total", DoubleType()), StructField("words", LongType())])
-    out = None
-    for k in range(scans):
-        part = ratios.where(F.pmod(F.xxhash64("h", "w"), F.lit(scans)) == k).toArrow() if scans > 1 else ratios.toArrow()
-        h = part.column("h").fill_null(0).to_numpy().view(np.uint64)
-        model = spark.sparkContext.broadcast(Ratios(h, part.column("w").to_numpy().view(np.uint64), part.column("h").is_valid().to_numpy(), part.column("ratio").to_numpy()))
+    schema = StructType([*fields, StructField("total", DoubleType()), StructField("evidence", DoubleType()), StructField("words", LongType())])
+    table = ratios.toArrow()  # the letters behind at most 1 / RARE_SHARE histories
+    model = spark.sparkContext.broadcast(Ratios(table.column("gram").to_pylist(), table.column("ratio").to_numpy()))
 
-        def run(batches: Iterator[pa.RecordBatch], model=model) -> Iterator[pa.RecordBatch]:
-            m = model.value
-            for b in batches:
-                got = [m.difference(t) for t in b.column("text").to_pylist()]
-                yield pa.RecordBatch.from_arrays([*[b.column(f.name) for f in fields], pa.array([g[0] for g in got], pa.float64()), pa.array([g[1] for g in got], pa.int64())], names=schema.names)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept: dict[str, float] = {}
+        for whole in batches:
+            for at in range(0, whole.num_rows, 500):
+                b = whole.slice(at, 500)
+                got = model.value.documents(b.column("text").to_pylist(), kept)
+                yield pa.RecordBatch.from_arrays([*[b.column(f.name) for f in fields], *(pa.array([g[i] for g in got], t) for i, t in enumerate((pa.float64(), pa.float64(), pa.int64())))], names=schema.names)
 
-        one = rows.mapInArrow(run, schema)
-        out = one if out is None else out.unionByName(one)
-    return out if scans == 1 else out.groupBy(*[f.name for f in fields]).agg(F.sum("total").alias("total"), F.max("words").alias("words"))
+    return rows.mapInArrow(run, schema)
 
 
-def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1e-3) -> np.ndarray:
+def fit_logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray, ridge: float = 1e-2) -> np.ndarray:
     """Coefficients (the last is the constant) of a ridge logistic regression, by Newton steps."""
     x = np.column_stack([x, np.ones(len(x))])
     b = np.zeros(x.shape[1])
@@ -244,24 +204,20 @@ def toxicity_scores(df: DataFrame, labels: DataFrame, id_col: str = "doc_id", te
     rows = training_rows(df, labels, id_col, text_col, label_col)
     ratios = log_ratios(rows.where(F.col("fold") != CALIBRATION_FOLD))
     own = rows.where(F.col("fold") == CALIBRATION_FOLD)
-    n = {r["y"]: r["n"] for r in own.groupBy("y").agg(F.count(F.lit(1)).alias("n")).collect()}
-    sample = [own.where(F.col("y") == y).orderBy(F.xxhash64("d"), "d").limit(CALIBRATION_ROWS).select("d", "y", "text") for y in (0, 1)]
-    got = _differences(sample[0].unionByName(sample[1]), ratios).toArrow()  # 2 * CALIBRATION_ROWS rows
-
-    def features(total, words):
-        return [total / F.greatest(words, F.lit(1)) * 10, total / F.sqrt(F.greatest(words, F.lit(1)).cast("double"))]
-
-    total, words, y = (got.column(c).to_numpy().astype(np.float64) for c in ("total", "words", "y"))
+    n = {r["y"]: r["n"] for r in own.select("y").groupBy("y").agg(F.count(F.lit(1)).alias("n")).collect()}
+    ids = own.select("d", "y").distinct()
+    sample = [ids.where(F.col("y") == y).orderBy(F.xxhash64("d"), "d").limit(CALIBRATION_ROWS) for y in (0, 1)]
+    chosen = F.broadcast(sample[0].unionByName(sample[1]).select("d"))  # 2 * CALIBRATION_ROWS ids
+    got = _differences(own.join(chosen, "d").select("y", "text"), ratios).toArrow()
+    total, evidence, words, y = (got.column(c).to_numpy().astype(np.float64) for c in ("total", "evidence", "words", "y"))
     words = np.maximum(words, 1)
     if n.get(0) and n.get(1):
         weight = np.where(y == 1, n[1] / (y == 1).sum(), n[0] / (y == 0).sum())
-        b = fit_logistic(np.column_stack([total / words * 10, total / np.sqrt(words)]), y, weight / weight.mean())
+        b = fit_logistic(np.column_stack([total / words, np.sqrt(evidence / words), np.log1p(evidence)]), y, weight / weight.mean())
     else:
-        b = np.array([0.0, 0.0, 30.0 if n.get(1) else -30.0 if n.get(0) else 0.0])
+        b = np.array([0.0, 0.0, 0.0, 30.0 if n.get(1) else -30.0 if n.get(0) else 0.0])
     asked = df.select(F.col(id_col).cast("long").alias("doc_id"), (fold(id_col) == 0).alias("held_out"), text_or_empty(text_col).alias("text"))
-    if ratios.count() > ENTRIES:
-        asked = asked.withColumn("_row", F.monotonically_increasing_id())
     out = _differences(asked, ratios)
-    x = features(F.col("total"), F.col("words"))
-    score = 1 / (1 + F.exp(-(x[0] * float(b[0]) + x[1] * float(b[1]) + float(b[2]))))
-    return out.select("doc_id", "held_out", score.alias("score")).select("doc_id", "held_out", "score", (F.col("score") >= cut).cast("int").alias("predicted"))
+    length = F.greatest("words", F.lit(1))
+    x = F.col("total") / length * float(b[0]) + F.sqrt(F.col("evidence") / length) * float(b[1]) + F.log1p("evidence") * float(b[2]) + float(b[3])
+    return out.select("doc_id", "held_out", (1 / (1 + F.exp(-x))).alias("score")).select("doc_id", "held_out", "score", (F.col("score") >= cut).cast("int").alias("predicted"))
