@@ -40,80 +40,81 @@ def _byte_level(model) -> bool:
     return kind.get("normalizer") is None and cut.get("type") == "ByteLevel" and not cut.get("add_prefix_space") and cut.get("use_regex", True) and kind["model"]["type"] == "BPE" and not kind["model"].get("ignore_merges")
 
 
+class Pieces(dict):
+    """ids of each piece that follows a space, encoded when first asked for.
+
+    Two generations: a full one becomes the old one, and what is asked for
+    again moves over, so that frequent pieces stay. Pieces that are empty or
+    begin or end with white space are refused with a KeyError.
+    """
+
+    def __init__(self, model, dtype: np.dtype, most: int):
+        self.model, self.code, self.dtype, self.most = model, "H" if dtype.itemsize == 2 else "I", dtype, most
+        self.old: dict[str, bytes] = {}
+        self.words: dict[str, bytes] = {}
+        self.letters = _byte_level(model)
+        self.ids_of = model.model.tokenize
+
+    def __missing__(self, p: str) -> bytes:
+        ids = self.old.get(p)
+        if ids is None:
+            if not p or p[0].isspace() or p[-1].isspace():
+                raise KeyError(p)
+            q = p.rstrip(".,")
+            if not self.letters or not LATIN.fullmatch(p):
+                ids = np.array(self.model.encode(" " + p, add_special_tokens=False).ids, self.dtype).tobytes()
+            elif q.isalpha() and q.isascii():
+                ids = self._word("\u0120" + q) if len(q) == len(p) else self._word("\u0120" + q) + self._word(p[len(q) :])
+            else:
+                ids = b"".join([self._word(w.encode().decode("latin-1").translate(BYTE_CHARS)) for w in WORD.findall(" " + p)])
+        if len(self) >= self.most:
+            self.old = dict(self)
+            self.clear()
+            self.words.clear()
+        self[p] = ids
+        return ids
+
+    def _word(self, shown: str) -> bytes:
+        ids = self.words.get(shown)
+        if ids is None:
+            ids = self.words[shown] = array(self.code, [t.id for t in self.ids_of(shown)]).tobytes()
+        return ids
+
+
 class Encoder:
     """ids as little-endian uint16 (or uint32 for larger vocabularies) bytes, equal to those of the whole text.
 
     Special tokens' strings in a text are ordinary text. ``most`` bounds the
-    pieces kept.
+    pieces kept in each of two generations.
     """
 
-    def __init__(self, path: str, most: int = 600_000):
+    def __init__(self, path: str, most: int = 350_000):
         from tokenizers import Tokenizer
 
         self.model = Tokenizer.from_file(path)
         self.model.encode_special_tokens = True
-        vocab = self.model.get_vocab()
-        self.dtype = np.dtype("<u2" if max(vocab.values()) < 65536 else "<u4")
-        self.code = "H" if self.dtype.itemsize == 2 else "I"
-        self.kept: dict[str, bytes] = {}  # of a piece that follows a space
-        self.words: dict[str, bytes] = {}
-        if not _byte_level(self.model):
-            self._learn = lambda pieces: self.kept.update(zip(pieces, self._plain([" " + p for p in pieces]), strict=True))
-        self.most = most
+        self.dtype = np.dtype("<u2" if max(self.model.get_vocab().values()) < 65536 else "<u4")
+        self.kept = Pieces(self.model, self.dtype, most)
         self.end = np.array([END_ID], self.dtype).tobytes()
 
     def _plain(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, self.dtype).tobytes() for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _learn(self, pieces: list[str]) -> None:
-        """Pieces hold no space and neither begin nor end with white space.
-
-        Latin pieces are cut by the byte-level word pattern, and each word goes
-        to the library's model once; the rest go to the library as they are.
-        """
-        plain, kept, ids_of = [], self.kept, self._word
-        for p in pieces:
-            q = p.rstrip(".,")
-            if q.isalpha() and q.isascii():
-                kept[p] = ids_of("\u0120" + q) if len(q) == len(p) else ids_of("\u0120" + q) + ids_of(p[len(q) :])
-            elif LATIN.fullmatch(p):
-                kept[p] = b"".join([ids_of(w.encode().decode("latin-1").translate(BYTE_CHARS)) for w in WORD.findall(" " + p)])
-            else:
-                plain.append(p)
-        kept.update(zip(plain, self._plain([" " + p for p in plain]), strict=True))
-
-    def _word(self, shown: str) -> bytes:
-        ids = self.words.get(shown)
-        if ids is None:
-            ids = self.words[shown] = array(self.code, [t.id for t in self.model.model.tokenize(shown)]).tobytes()
-        return ids
-
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, without END_ID."""
-        cut = [t.split(" ") for t in texts]
-        seen: set[str] = set().union(*cut)
-        new = seen - self.kept.keys()
-        if new:
-            if len(self.kept) + len(new) > self.most:
-                self.kept.clear()
-                self.words.clear()
-                new = seen
-            self._learn([p for p in new if p and not p[0].isspace() and not p[-1].isspace()])
-        get, out, odd = self.kept.__getitem__, [b""] * len(texts), []
-        for i, ps in enumerate(cut):
-            first = ps[0]
-            if not first or first[-1].isspace():
-                odd.append(i)
-                continue
-            try:
-                rest = b"".join(map(get, ps[1:]))
-            except KeyError:  # spaces in a row, or beside other white space
-                odd.append(i)
-                continue
-            out[i] = (first, rest)
-        even = [i for i, x in enumerate(out) if x]
-        for i, head in zip(even, self._plain([out[i][0] for i in even]), strict=True):
-            out[i] = head + out[i][1]
+        get, out, heads, odd = self.kept.__getitem__, [b""] * len(texts), [], []
+        for i, text in enumerate(texts):
+            first, *rest = text.split(" ")
+            if first and not first[-1].isspace():
+                try:
+                    out[i] = b"".join(map(get, rest))
+                    heads.append((i, first))
+                    continue
+                except KeyError:  # spaces in a row, or beside other white space
+                    pass
+            odd.append(i)
+        for (i, _), ids in zip(heads, self._plain([h for _, h in heads]), strict=True):
+            out[i] = ids + out[i]
         for i, ids in zip(odd, self._plain([texts[i] for i in odd]), strict=True):
             out[i] = ids
         return out
