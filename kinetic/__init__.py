@@ -1,0 +1 @@
+"""Speed-partitioned analytics of linearly moving objects on Spark."""
