@@ -32,6 +32,10 @@ _SHOWN = {*range(33, 127), *range(161, 173), *range(174, 256)}
 BYTE_CHARS = {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in _SHOWN)}
 
 
+#: How byte-level BPE writes the characters of LATIN and the space.
+LETTERS = {c: "".join(chr(BYTE_CHARS.get(b, b)) for b in chr(c).encode()) for c in (10, 32, *range(0xA1, 0x250))}
+
+
 def _byte_level(model) -> bool:
     import json
 
@@ -58,15 +62,21 @@ class Pieces(dict):
     def __missing__(self, p: str) -> bytes:
         ids = self.old.get(p)
         if ids is None:
-            if not p or p[0].isspace() or p[-1].isspace():
-                raise KeyError(p)
             q = p.rstrip(".,")
-            if not self.letters or not LATIN.fullmatch(p):
-                ids = np.array(self.model.encode(" " + p, add_special_tokens=False).ids, self.dtype).tobytes()
-            elif q.isalpha() and q.isascii():
-                ids = self._word("\u0120" + q) if len(q) == len(p) else self._word("\u0120" + q) + self._word(p[len(q) :])
+            words = self.words
+            if self.letters and q.isalpha() and max(q) < "\u0250":
+                # letters, then punctuation: two words of the pattern at most
+                ids = words.get(q)
+                if ids is None:
+                    ids = words[q] = array(self.code, [t.id for t in self.ids_of("\u0120" + (q if q.isascii() else q.translate(LETTERS)))]).tobytes()
+                if len(q) != len(p):
+                    ids += self._word(p[len(q) :])
+            elif not p or p[0].isspace() or p[-1].isspace():
+                raise KeyError(p)
+            elif self.letters and LATIN.fullmatch(p):
+                ids = b"".join([self._word(w.translate(LETTERS)) for w in WORD.findall(" " + p)])
             else:
-                ids = b"".join([self._word(w.encode().decode("latin-1").translate(BYTE_CHARS)) for w in WORD.findall(" " + p)])
+                ids = np.array(self.model.encode(" " + p, add_special_tokens=False).ids, self.dtype).tobytes()
         if len(self) >= self.most:
             self.old = dict(self)
             self.clear()
@@ -75,9 +85,9 @@ class Pieces(dict):
         return ids
 
     def _word(self, shown: str) -> bytes:
-        ids = self.words.get(shown)
+        ids = self.words.get("\0" + shown)
         if ids is None:
-            ids = self.words[shown] = array(self.code, [t.id for t in self.ids_of(shown)]).tobytes()
+            ids = self.words["\0" + shown] = array(self.code, [t.id for t in self.ids_of(shown)]).tobytes()
         return ids
 
 
@@ -88,7 +98,7 @@ class Encoder:
     pieces kept in each of two generations.
     """
 
-    def __init__(self, path: str, most: int = 350_000):
+    def __init__(self, path: str, most: int = 450_000):
         from tokenizers import Tokenizer
 
         self.model = Tokenizer.from_file(path)
