@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from kinetic.llm.common import table, written
@@ -18,16 +18,21 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return quality_scores(docs, table(spark, sf_dir, "labels"), keep=docs.columns).where("predicted = 1").select(*docs.columns)
 
 
+def _key() -> Column:
+    """The id, with a stand-in for null, so that rows meet in one plain join."""
+    return F.coalesce(F.col("doc_id"), F.lit(-(2**63)))
+
+
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document that stays of each group of equal texts; a row of it where a table repeats rows."""
-    kept = exact_dedup(docs).where("kept").select(F.col("doc_id").alias("_k")).distinct()
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_k")), "left_semi").select(*docs.columns).dropDuplicates(["doc_id"])
+    kept = exact_dedup(docs).where("kept").select(_key().alias("_k"))
+    return docs.withColumn("_k", _key()).join(kept, "_k", "left_semi").dropDuplicates(["_k"]).select(*docs.columns)
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the least id of each group that hangs together by n-gram links; documents without words stay."""
-    kept = ngram_join(docs).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("_k"))
-    return docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_k")), "left_semi").select(*docs.columns)
+    kept = ngram_join(docs).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(_key().alias("_k"))
+    return docs.withColumn("_k", _key()).join(kept, "_k", "left_semi").select(*docs.columns)
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
