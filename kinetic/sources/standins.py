@@ -106,12 +106,12 @@ def mo_lineitem(spark: SparkSession, sf_dir: str, m: int | None = None) -> DataF
     """The set that scales: 50 speeds; ``m`` sixths of the rows.
 
     The id packs the columns that tell rows apart into a hash, so that no
-    ordering of all rows is needed; ``ranked_lineitem_ids`` numbers them.
+    ordering of all rows is needed.
     """
     rows = read(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice", "l_quantity", "l_shipdate")
     if m is not None:
         rows = rows.where(F.expr(f"(l_partkey * 7 + l_suppkey) % 6 < {m}"))
-    oid = F.expr("l_orderkey * 1000003 + l_linenumber * 7919 + l_partkey * 104729 + l_suppkey * 1299709 + cast(round(l_extendedprice * 100) as bigint) * 15485863 + cast(l_quantity as bigint) * 32452843 + datediff(l_shipdate, date'1992-01-01') * 49979687")
+    oid = F.expr("l_orderkey * 1000003 + cast(l_linenumber as bigint) * 7919 + l_partkey * 104729 + l_suppkey * 1299709 + cast(round(l_extendedprice * 100) as bigint) * 15485863 + cast(l_quantity as bigint) * 32452843 + cast(datediff(l_shipdate, date'1992-01-01') as bigint) * 49979687")
     return _steps(rows.withColumn("oid", oid), lineitem_expressions()).select(*COLUMNS)
 
 
