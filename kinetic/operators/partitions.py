@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from kinetic.functions.motion import at_time, quadrant_of, valid
+from kinetic.sources.shared import kept
 
 
 def assign_parts(mo: DataFrame, plan: DataFrame) -> DataFrame:
@@ -94,9 +95,6 @@ def run_partitioned(queries: DataFrame, parted: DataFrame, fn: Callable[[DataFra
     for part in parts:
         one = fn(parted.where(F.col("part") == part), queries)
         if mode == "sequential":
-            from kinetic.sources.shared import checkpoint_folder
-
-            checkpoint_folder(parted.sparkSession)
-            one = one.checkpoint()
+            one = kept(one)
         out = one if out is None else out.unionByName(one)
     return out if out is not None else fn(parted, queries)

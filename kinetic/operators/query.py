@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from kinetic.functions.motion import at_time, valid
 from kinetic.operators import index_box, index_curve
 from kinetic.operators.partitions import fan_out, inside, part_stats
-from kinetic.sources.shared import checkpoint_folder
+from kinetic.sources.shared import kept
 
 _ANSWER = ["qid", "oid", "px", "py"]
 
@@ -103,7 +103,6 @@ def knn_merged(parted: DataFrame, queries: DataFrame) -> DataFrame:
 
 def knn_growing(parted: DataFrame, queries: DataFrame, side: float = 10000.0, rounds: int = 24, bits: int = index_curve.BITS) -> DataFrame:
     """By range queries over curve keys: a radius from the density, doubled for the queries that have fewer than k objects inside it."""
-    checkpoint_folder(parted.sparkSession)
     total = parted.count()
     if not total:
         return knn_scan(parted, queries)
@@ -112,11 +111,11 @@ def knn_growing(parted: DataFrame, queries: DataFrame, side: float = 10000.0, ro
     for _ in range(rounds):
         box = todo.select("qid", (F.col("cx") - F.col("radius")).alias("xlo"), (F.col("cy") - F.col("radius")).alias("ylo"), (F.col("cx") + F.col("radius")).alias("xhi"), (F.col("cy") + F.col("radius")).alias("yhi"), "t")
         near = curve_candidates(parted, box, bits).join(F.broadcast(todo), "qid").select("qid", "oid", _dist2().alias("dist2"), "k", "radius").where("dist2 <= radius * radius")
-        best = top_k(near).checkpoint()
+        best = kept(top_k(near))
         full = best.groupBy("qid", "k").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= F.least(F.col("k"), F.lit(total))).select("qid")
         part = best.join(F.broadcast(full), "qid", "left_semi")
         out = part if out is None else out.unionByName(part)
-        todo = todo.join(F.broadcast(full), "qid", "left_anti").withColumn("radius", F.col("radius") * 2).checkpoint()
+        todo = kept(todo.join(F.broadcast(full), "qid", "left_anti").withColumn("radius", F.col("radius") * 2))
         if todo.isEmpty():
             break
     return out.drop("k")

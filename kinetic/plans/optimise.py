@@ -11,7 +11,7 @@ from kinetic.plans import quad
 from kinetic.plans.domain import speed_layers
 from kinetic.plans.expansion import range_costs
 from kinetic.plans.params import OptimizerParams
-from kinetic.sources.shared import checkpoint_folder
+from kinetic.sources.shared import kept
 
 #: Cost of (s, r] inside the flattened costs, which are ordered by r, then s.
 _COST = "costs[r * (r - 1) div 2 + s]"
@@ -123,11 +123,10 @@ def optimise(mo: DataFrame, p: OptimizerParams, keep=None) -> Optimised:
     """Layers, counts, trees, range costs and the cheapest plan.
 
     ``keep`` is applied to the tables that are used more than once (at most
-    q * 4**depth rows); by default they are written to the checkpoint folder,
+    q * 4**depth rows); by default they are written to the shared folder,
     so that the objects are read twice only: for the layers and for the counts.
     """
-    checkpoint_folder(mo.sparkSession)
-    keep = keep or (lambda df: df.checkpoint())
+    keep = keep or kept
     layers = keep(speed_layers(mo, p))
     cells = keep(quad.cell_counts(mo, p, layers))
     tested = quad.uniformity(cells, p)
@@ -138,12 +137,11 @@ def optimise(mo: DataFrame, p: OptimizerParams, keep=None) -> Optimised:
 
 def optimise_sampled(mo: DataFrame, p: OptimizerParams, fraction: float, seed: int = 7) -> Optimised:
     """The optimiser over a sample: the test sees raw sample counts, the costs counts that are scaled up."""
-    checkpoint_folder(mo.sparkSession)
-    sample = mo.sample(False, fraction, seed).checkpoint()
-    layers = speed_layers(sample, p).checkpoint()
-    cells = quad.cell_counts(sample, p, layers).checkpoint()
+    sample = kept(mo.sample(False, fraction, seed))
+    layers = kept(speed_layers(sample, p))
+    cells = kept(quad.cell_counts(sample, p, layers))
     tested = quad.uniformity(cells, p)
-    splits = quad.split_cells(tested).checkpoint()
+    splits = kept(quad.split_cells(tested))
     scaled = cells.withColumn("n", F.floor(F.col("n") / fraction + F.lit(0.5)).cast("long"))
-    cost = range_costs(scaled, splits, layers, p).checkpoint()
+    cost = kept(range_costs(scaled, splits, layers, p))
     return Optimised(layers, scaled, tested, splits, cost, optimal_plan(cost, layers))

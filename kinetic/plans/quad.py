@@ -83,7 +83,7 @@ def tree_leaves(splits: DataFrame, layers: DataFrame) -> DataFrame:
 
 def candidate_cells(splits: DataFrame, layers: DataFrame) -> DataFrame:
     """level, code, own, par: every cell of any tree, with the counts over layers 0..q of splits of it and of its parent up to each layer."""
-    q = layers.agg(F.max("layer").alias("q"))
+    q = layers.agg(F.max("layer").alias("q")).where("q IS NOT NULL")
     by_cell = splits.groupBy("level", "code").agg(F.collect_list("layer").alias("cuts"))  # at most q layers
     kids = _children(by_cell).select("level", "code", F.col("cuts").alias("par_cuts"))
     root = q.select(F.lit(0).alias("level"), F.lit(0).cast("long").alias("code"), F.sequence(F.lit(1), F.col("q")).alias("par_cuts"))

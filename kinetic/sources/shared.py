@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import SparkSession
+import uuid
+
+from pyspark.sql import DataFrame, SparkSession
 
 
 def checkpoint_folder(spark: SparkSession) -> str:
@@ -18,3 +20,10 @@ def checkpoint_folder(spark: SparkSession) -> str:
         named = "file://" + tempfile.mkdtemp(prefix="kinetic-checkpoint-")
     sc.setCheckpointDir(named)
     return named
+
+
+def kept(df: DataFrame, name: str = "table") -> DataFrame:
+    """df as a Parquet table in the shared folder, reread: lineage ends here, executors can be lost, and its size is known to later joins."""
+    path = f"{checkpoint_folder(df.sparkSession).rstrip('/')}/kinetic-{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
