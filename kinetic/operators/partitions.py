@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinetic.functions.motion import at_time, quadrant_of, valid
@@ -98,3 +98,21 @@ def run_partitioned(queries: DataFrame, parted: DataFrame, fn: Callable[[DataFra
             one = kept(one)
         out = one if out is None else out.unionByName(one)
     return out if out is not None else fn(parted, queries)
+
+
+def asof_plan(updates: DataFrame, plans: DataFrame) -> DataFrame:
+    """updates (ts, ...) +plan_id: the newest plan valid at each update, from plans (valid_from, plan_id).
+
+    The plans of one day are a row each; both streams of rows are merged by
+    day, so that no window holds all updates. A plan of an earlier day is
+    found through the newest plan at the start of each day.
+    """
+    day = F.date_trunc("day", F.col("ts"))
+    days = updates.select(day.alias("_day")).distinct()
+    starts = days.join(F.broadcast(plans), F.col("valid_from") <= F.col("_day")).groupBy("_day").agg(F.max_by("plan_id", "valid_from").alias("plan_id")).select("_day", F.col("_day").alias("ts"), "plan_id")
+    changes = plans.select(F.date_trunc("day", "valid_from").alias("_day"), F.col("valid_from").alias("ts"), "plan_id")
+    known = starts.unionByName(changes).withColumn("_new", F.lit(0))
+    rows = updates.withColumn("_day", day).withColumn("_new", F.lit(1))
+    w = Window.partitionBy("_day").orderBy("ts", "_new").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    both = rows.unionByName(known, allowMissingColumns=True).withColumn("plan_id", F.last("plan_id", ignorenulls=True).over(w))
+    return both.where("_new = 1").drop("_day", "_new")
