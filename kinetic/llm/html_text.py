@@ -44,7 +44,7 @@ class Lines(HTMLParser):
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.open: list[tuple[str, bool, bool, int]] = []  # tag, silent, furniture, container
+        self.open: list[tuple[str, bool, int, int]] = []  # tag, silent, furniture, container
         self.lines: list[list] = []
         self.silent = self.furniture = self.links = 0
         self.container = self.containers = 0
@@ -68,8 +68,10 @@ class Lines(HTMLParser):
         a = {k: v or "" for k, v in attrs}
         content = any(t in ("article", "main") for t, *_ in self.open)
         named = a.get("role", "").lower() in ROLES or bool(NAMES.search(a.get("class", "")) or NAMES.search(a.get("id", ""))) or "hidden" in a or a.get("aria-hidden") == "true"
-        outer = tag in ("html", "body", "article", "main")
-        furniture = not outer and (named or tag in FURNITURE and not (tag == "header" and content))
+        if tag == "main":
+            furniture = -self.furniture  # content, whatever wraps it
+        else:
+            furniture = int(tag not in ("html", "body") and (named or tag in FURNITURE and not (tag == "header" and content)))
         self.open.append((tag, tag in SILENT, furniture, self.container))
         self.silent += tag in SILENT
         self.furniture += furniture

@@ -384,6 +384,13 @@ def test_main_text():
     assert html_text.main_text("<p>open <b>never closed") == "open never closed"
 
 
+def test_wrappers_and_comments():
+    page = '<div class="page has-sidebar"><main><article><h1>A</h1><p>B</p></article></main></div><section class="comments"><article class="comment"><p>Not this</p></article></section>'
+    assert html_text.main_text(page) == "A\n\nB"
+    page = '<article><p>B</p></article><article class="comment"><p>Not this</p></article>'
+    assert html_text.main_text(page) == "B"
+
+
 def test_main_text_without_an_article():
     long = "A sentence with a good many words in it that goes on for a while. " * 4
     page = f"<body><div class=menu><a>One</a> <a>Two</a></div><div><h2>Title</h2><p>{long}</p><p>Short.</p><p>{long}</p></div><div class='sidebar'><p>{long}</p></div></body>"
