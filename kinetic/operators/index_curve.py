@@ -10,7 +10,7 @@ BITS, PHASES, PERIOD, SIDE = 6, 2, 120.0, 10000.0
 PREFIX = 6
 #: Turns of the Hilbert curve: by state and quadrant (x bit, y bit), the rank of the quadrant and the next state (fixed values).
 HILBERT_RANK = ((0, 1, 3, 2), (0, 3, 1, 2), (2, 1, 3, 0), (2, 3, 1, 0))
-HILBERT_NEXT = ((1, 0, 3, 0), (0, 2, 1, 1), (2, 1, 2, 3), (3, 3, 0, 2))
+HILBERT_NEXT = ((1, 0, 2, 0), (0, 3, 1, 1), (2, 2, 0, 3), (3, 1, 3, 2))
 
 
 def z_code(gx: Column, gy: Column, bits: int) -> Column:
