@@ -17,8 +17,8 @@ from pyspark.sql import functions as F
 
 
 BLOCK_DOCS = 64
-#: Rows that are ranked together, about: sources are dealt into so many parts.
-RANKED_ROWS = 50_000
+#: Rows that are ranked together, about: sources are dealt into as many parts as that takes, and into LEAST_PARTS at least.
+RANKED_ROWS, LEAST_PARTS = 50_000, 32
 #: Weights are counted in parts of this many; larger totals are scaled down.
 PARTS = 1000
 
@@ -97,13 +97,13 @@ def mix_sources(df: DataFrame, weights: dict[str, float] | None = None, id_col:
     weights = weights or root_weights(sizes)
     least = min(weights.values())
     whole = scaled({s: weights.get(s, least) for s in sizes})
-    parts = max(1, -(-max(sizes.values()) // RANKED_ROWS))
+    parts = max(LEAST_PARTS, -(-max(sizes.values()) // RANKED_ROWS))
     # rank within a source without gathering it: its parts follow each other, so the rows of the parts before are added
     rows = rows.withColumn("_part", F.pmod("_h", F.lit(parts)).cast("int"))
     before = rows.groupBy("mix_source", "_part").agg(F.count(F.lit(1)).alias("_n"))
     before = before.select("mix_source", "_part", F.coalesce(F.sum("_n").over(Window.partitionBy("mix_source").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
     ranked = rows.withColumn("_rank", F.row_number().over(Window.partitionBy("mix_source", "_part").orderBy("_h", F.col(id_col))))
-    ranked = ranked.join(F.broadcast(before), ["mix_source", "_part"])  # sources x parts rows: a row for each RANKED_ROWS rows of the table
+    ranked = ranked.join(F.broadcast(before), ["mix_source", "_part"])  # sources x parts rows: a row for each RANKED_ROWS rows of a source, or LEAST_PARTS
     ranked = ranked.withColumn("_at", F.col("_before") + F.col("_rank") - 1).withColumn("mix_block", F.floor(F.col("_at") / block).cast("long")).withColumn("_within", F.pmod(F.col("_at"), F.lit(block)))
     plan, turns = [], []
     for p, ph in enumerate(phases({s: -(-n // block) for s, n in sizes.items()}, whole)):
