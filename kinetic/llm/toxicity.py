@@ -3,9 +3,11 @@
 Expressions with many endings are as common as single words, so the models
 predict each letter of a word from the letters before it. Toxic and ordinary
 documents have counts of their own for long histories; both fall back on
-continuation counts of short histories that they share, and both leave the
-same mass to them, so that rare expressions speak for neither. A document's
-score comes from the difference of its log-likelihoods divided by its length.
+continuation counts of short histories that they share. What toxic counts leave
+over behind a history goes to the ordinary probability there, so that a history
+speaks as far as toxic documents have counted it: not at all where none has it,
+a little behind a rare one. A document's score comes from the difference of its
+log-likelihoods divided by its length.
 """
 
 from __future__ import annotations
@@ -15,16 +17,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from kinetic.llm.common import fold, text_or_empty, written
 
 #: Letters of history that each class counts, and those of the shared orders below.
 HISTORY, SHARED = 7, (3, 1)
-#: A history that fewer toxic documents have, or that has a smaller share of all that toxic documents count, or that no
-#: ordinary one has, is rare: only shared counts speak there. By the share, at most 2**22 histories are not rare.
-RARE, RARE_SHARE = 4, 2.0**-22
 #: Discount of absolute discounting (fixed value).
 DISCOUNT = 0.75
 #: Log ratio from which a word counts as evidence of its own.
@@ -34,6 +33,8 @@ CALIBRATION_ROWS = 2048
 CALIBRATION_FOLD = 4
 #: Labels up to so many rows are broadcast to the documents; more meet them in a shuffle.
 BROADCAST_LABELS = 2_000_000
+#: Models up to so many grams are broadcast to the documents; words meet the grams of larger ones in a join. Scores are the same.
+BROADCAST_GRAMS = 2**22
 CUT = 0.5
 _EDGES = ".,;:!?\"'()[]*#$%&|-_"
 _OPEN, _CLOSE = "\x02", "\x03"
@@ -54,6 +55,12 @@ def grams_of(word: str, history: int = HISTORY) -> list[str]:
     return [s[max(0, k - history) : k + 1] for k in range(1, len(s))]
 
 
+def _cuts(word: str) -> Column:
+    """``grams_of`` of a column of plain words."""
+    s = F.concat(F.lit(_OPEN), F.col(word), F.lit(_CLOSE))
+    return F.transform(F.sequence(F.lit(2), F.length(word) + 2), lambda e: F.substring(s, F.greatest(F.lit(1), e - HISTORY), F.least(e, F.lit(HISTORY + 1))))
+
+
 def _count_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held: tuple[Counter, Counter] = (Counter(), Counter())
 
@@ -81,14 +88,12 @@ def training_rows(df: DataFrame, labels: DataFrame, id_col: str, text_col: str,
 
 
 def log_ratios(rows: DataFrame) -> DataFrame:
-    """gram, ratio: log of a letter's probability in toxic documents over that in ordinary ones, behind every history that both know.
+    """gram, ratio: log of a letter's probability in toxic documents over that in ordinary ones, behind every history of toxic documents.
 
-    ``rows``: text, y. A word counts once in a document.
+    ``rows``: text, y. A word counts once in a document. Behind the other histories the ratio is 0, as for grams that are not in the table.
     """
     words = written(rows.select("text", "y").mapInArrow(_count_words, "w string, t long, o long").groupBy("w").agg(F.sum("t").alias("t"), F.sum("o").alias("o")), "words")
-    s = F.concat(F.lit(_OPEN), F.col("w"), F.lit(_CLOSE))
-    cuts = F.transform(F.sequence(F.lit(2), F.length("w") + 2), lambda e: F.substring(s, F.greatest(F.lit(1), e - HISTORY), F.least(e, F.lit(HISTORY + 1))))
-    grams = words.select(F.explode(cuts).alias("gram"), "t", "o").groupBy("gram").agg(F.sum("t").alias("t"), F.sum("o").alias("o"))
+    grams = words.select(F.explode(_cuts("w")).alias("gram"), "t", "o").groupBy("gram").agg(F.sum("t").alias("t"), F.sum("o").alias("o"))
     grams = written(grams.select("gram", F.expr("substring(gram, 1, length(gram) - 1)").alias("past"), F.right("gram", F.lit(1)).alias("letter"), "t", "o"), "grams")
     # shared orders: in how many longer histories a letter follows a short one
     tables, upper = [], grams.select("past", "letter")
@@ -105,16 +110,17 @@ def log_ratios(rows: DataFrame) -> DataFrame:
         else:
             table = table.withColumn("short", F.right("past", F.lit(lower[0]))).join(lower[1].select(F.col("past").alias("short"), "letter", F.col("p").alias("below")), ["short", "letter"])
         lower = (h, written(table.select("past", "letter", ((F.col("n") - DISCOUNT) / F.col("all") + DISCOUNT * F.col("kinds") / F.col("all") * F.col("below")).alias("p")), "shared"))
-    rare = max(RARE, (grams.agg(F.sum("t")).first()[0] or 0) * RARE_SHARE)
-    past = grams.groupBy("past").agg(F.sum("t").alias("all_t"), F.sum("o").alias("all_o"), F.sum((F.col("t") > 0).cast("long")).alias("kinds_t"), F.sum((F.col("o") > 0).cast("long")).alias("kinds_o")).where((F.col("all_t") >= rare) & (F.col("all_o") > 0))
-    mass = DISCOUNT * F.least(F.col("kinds_t") / F.col("all_t"), F.col("kinds_o") / F.col("all_o"))
-    known = grams.join(past.withColumn("mass", mass), "past").withColumn("short", F.right("past", F.lit(SHARED[0])))
+    past = grams.groupBy("past").agg(F.sum("t").alias("all_t"), F.sum("o").alias("all_o"), F.sum((F.col("t") > 0).cast("long")).alias("kinds_t"), F.sum((F.col("o") > 0).cast("long")).alias("kinds_o")).where("all_t > 0")
+    known = grams.join(past, "past").withColumn("short", F.right("past", F.lit(SHARED[0])))
     known = known.join(lower[1].select(F.col("past").alias("short"), "letter", "p"), ["short", "letter"])
 
-    def probability(c: str):
-        return F.greatest(F.col(c) / F.col(f"all_{c}") - F.col("mass") / F.col(f"kinds_{c}"), F.lit(0.0)) + F.col("mass") * F.col("p")
+    def probability(c: str, below: Column) -> Column:
+        """A class's discounted share; the rest, which is all where the class has no count, falls to what lies below."""
+        share = (F.greatest(F.col(c) - DISCOUNT, F.lit(0.0)) + DISCOUNT * F.col(f"kinds_{c}") * below) / F.col(f"all_{c}")
+        return F.when(F.col(f"all_{c}") > 0, share).otherwise(below)
 
-    return written(known.select("gram", F.ln(probability("t") / probability("o")).cast("float").alias("ratio")).where("ratio <> 0"), "ratios")
+    known = known.withColumn("p_o", probability("o", F.col("p")))
+    return written(known.select("gram", F.ln(probability("t", F.col("p_o")) / F.col("p_o")).cast("float").alias("ratio")).where("ratio <> 0"), "ratios")
 
 
 class Ratios:
@@ -157,14 +163,40 @@ class Ratios:
         return out
 
 
+def _joined_differences(rows: DataFrame, ratios: DataFrame) -> DataFrame:
+    """``_differences`` by joins: distinct words meet the grams, then documents their words."""
+    from pyspark.sql.types import ArrayType, LongType, StringType, StructField, StructType
+
+    fields = [f for f in rows.schema.fields if f.name != "text"]
+    names = [F.col(f"`{f.name}`") for f in fields]
+    schema = StructType([*fields, StructField("_row", LongType()), StructField("_w", ArrayType(StringType()))])
+
+    def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for at in range(0, b.num_rows, 500):
+                part = b.slice(at, 500)
+                words = pa.array([[plain(w) for w in set(t.split())] for t in part.column("text").to_pylist()], pa.list_(pa.string()))
+                yield pa.RecordBatch.from_arrays([*[part.column(f.name) for f in fields], part.column("_row"), words], names=schema.names)
+
+    lists = written(rows.select(*names, F.monotonically_increasing_id().alias("_row"), "text").mapInArrow(listed, schema), "words")
+    pairs = lists.select("_row", F.explode("_w").alias("w"))
+    grams = pairs.select("w").distinct().select("w", F.explode(_cuts("w")).alias("gram"))
+    values = grams.join(ratios, "gram").groupBy("w").agg(F.sum(F.col("ratio").cast("double")).alias("v"))
+    sums = pairs.join(values, "w").groupBy("_row").agg(F.sum("v").alias("total"), F.sum(F.greatest(F.col("v") - EVIDENCE, F.lit(0.0))).alias("evidence"))
+    none = F.lit(0.0)
+    return lists.join(sums, "_row", "left").select(*names, F.coalesce("total", none).alias("total"), F.coalesce("evidence", none).alias("evidence"), F.size("_w").cast("long").alias("words"))
+
+
 def _differences(rows: DataFrame, ratios: DataFrame) -> DataFrame:
     """rows (other columns, text) -> other columns, total, evidence, words."""
+    if ratios.count() > BROADCAST_GRAMS:
+        return _joined_differences(rows, ratios)
     spark = rows.sparkSession
     fields = [f for f in rows.schema.fields if f.name != "text"]
     from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
     schema = StructType([*fields, StructField("total", DoubleType()), StructField("evidence", DoubleType()), StructField("words", LongType())])
-    table = ratios.toArrow()  # the letters behind at most 1 / RARE_SHARE histories
+    table = ratios.toArrow()  # BROADCAST_GRAMS rows at most
     model = spark.sparkContext.broadcast(Ratios(table.column("gram").to_pylist(), table.column("ratio").to_numpy()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

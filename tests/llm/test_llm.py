@@ -372,6 +372,25 @@ def test_classifiers_odd(spark, odd, none):
         assert fn(none, no).count() == 0
 
 
+def test_rare_and_toxic_only_histories_count(spark):
+    rows = [("vilegrub here", 1), *[(f"plain words w{i} vile", 0) for i in range(30)], *[(f"other t{i} here", 1) for i in range(40)]]
+    got = {r["gram"]: r["ratio"] for r in toxicity.log_ratios(spark.createDataFrame(rows, "text string, y int")).collect()}
+    assert got["\x02vileg"] > 0  # a history that one toxic document has
+    assert got["\x02vilegr"] > 0 and got["vilegrub"] > 0  # histories that no ordinary document has
+    assert not any(g.startswith("\x02plai") for g in got)  # none that only ordinary ones have
+
+
+def test_joined_model_scores_as_the_broadcast_one(spark, monkeypatch):
+    df, labels = labelled(spark, 200)
+    df = df.unionByName(docs(spark, [(None, "vilegrub, vilegrub ...", "a"), (7, "vilegrubs", "a"), (901, None, "a")]))
+    found = []
+    for most in (2**22, 0):
+        monkeypatch.setattr(toxicity, "BROADCAST_GRAMS", most)
+        found.append(sorted((str(r["doc_id"]), r["score"]) for r in toxicity.toxicity_scores(df, labels).collect()))
+    assert len(found[0]) == 203 and [i for i, _ in found[0]] == [i for i, _ in found[1]]
+    assert np.allclose([s for _, s in found[0]], [s for _, s in found[1]], atol=1e-6)
+
+
 # HTML
 
 
