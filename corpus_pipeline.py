@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from kinetic.llm.common import table, written
-from kinetic.llm.exact_dedup import exact_dedup
+from kinetic.llm.exact_dedup import exact_dedup, normalised
 from kinetic.llm.mixing import in_mixed_order
 from kinetic.llm.ngram_join import ngram_join
 from kinetic.llm.packing import pack_documents
@@ -24,9 +24,16 @@ def _key() -> Column:
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document that stays of each group of equal texts; a row of it where a table repeats rows."""
-    kept = exact_dedup(docs).where("kept").select(_key().alias("_k"))
-    return docs.withColumn("_k", _key()).join(kept, "_k", "left_semi").dropDuplicates(["_k"]).select(*docs.columns)
+    """The document that stays of each group of equal texts; the longest row of it where a table repeats its id.
+
+    Ids may be null or name several texts, so a decision belongs to an id and a digest. The rows kept of one digest have one id.
+    """
+    keys = ["_k", "_null", "_digest"]
+    own = {"_k": _key(), "_null": F.col("doc_id").isNull()}
+    kept = exact_dedup(docs).where("kept").select(*[c.alias(n) for n, c in own.items()], F.unhex("text_sha256").alias("_digest")).distinct()
+    rows = docs.withColumns(own | {"_digest": F.unhex(F.sha2(normalised(F.col("text")), 256))})
+    first = F.row_number().over(Window.partitionBy(*keys).orderBy(F.char_length("text").desc_nulls_last(), "text"))  # a limit of one row goes before the shuffle
+    return rows.withColumn("_r", first).where("_r = 1").join(kept, keys, "left_semi").select(*docs.columns)
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

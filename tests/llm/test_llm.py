@@ -453,3 +453,11 @@ def test_pipeline_odd(spark, odd, none):
     for frame in (odd, none):
         for _, stage in cp.STAGES[1:]:
             assert stage(spark, frame, "").count() >= 0
+
+
+def test_exact_stage_keeps_null_ids_and_repeated_ids(spark):
+    import corpus_pipeline as cp
+
+    rows = [(None, "first text", "a"), (None, "second text", "a"), (None, "second  text", "a"), (4, "third text", "a"), (4, "fourth text", "a"), (4, "fourth  text", "b"), (6, "third  text", "a"), (6, "fifth", "a"), (-(2**63), "sixth", "a"), (None, "sixth", "a")]
+    got = sorted((str(r["doc_id"]), r["text"]) for r in cp.exact(spark, docs(spark, rows), "").collect())
+    assert got == sorted([("None", "first text"), ("None", "second  text"), ("4", "fourth  text"), ("6", "third  text"), ("6", "fifth"), (str(-(2**63)), "sixth")])
