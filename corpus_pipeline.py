@@ -9,7 +9,7 @@ from kinetic.llm.common import table, written
 from kinetic.llm.exact_dedup import exact_dedup, normalised
 from kinetic.llm.mixing import in_mixed_order
 from kinetic.llm.ngram_join import ngram_join
-from kinetic.llm.packing import pack_documents
+from kinetic.llm.packing import pack_mixed
 from kinetic.llm.quality import quality_scores
 
 
@@ -48,8 +48,8 @@ def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every piece of every document with its sequence and place."""
-    return pack_documents(docs)
+    """Every piece of every document with its sequence and place; sequences are numbered, and filled, in the order of the mix."""
+    return pack_mixed(docs)
 
 
 STAGES = [("quality", quality), ("exact_dedup", exact), ("near_duplicates", near), ("mixing", mixing), ("packing", packing)]

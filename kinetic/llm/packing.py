@@ -16,12 +16,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetic.llm.common import written
+from kinetic.llm.mixing import mix_sources
 from kinetic.llm.tokens import crc32, default_tokenizer, encoder
 
 CAPACITY = 1024
 #: Pieces that one group packs at a time.
 GROUP_PIECES = 16_384
 ROUNDS = 6
+#: Pieces that one group packs at a time where sequences follow an order: no piece is further from its place than about as many.
+ORDERED_PIECES = 1_024
+#: Pieces of one document that sequence numbers in an order tell apart.
+_PIECES = 2**24
 
 
 def lower_bound(sizes: np.ndarray, capacity: int) -> int:
@@ -80,32 +85,47 @@ def best_fit(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray,
     return place, offset, np.array(used, np.int64)
 
 
-def pieces_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokenizer: str | None = None, capacity: int = CAPACITY) -> DataFrame:
-    """doc_id, piece, start, length, ids_crc32: every document's ids with the end id; longer ones are cut, the first piece takes the rest of the division."""
+def cut_documents(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokenizer: str | None = None, capacity: int = CAPACITY, keep: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id, keep, pieces (piece, start, length, ids_crc32): a row for each document; ones longer than capacity are cut, the first piece takes the rest of the division."""
     tokenizer = tokenizer or default_tokenizer()
+    kept = df.select(F.col(id_col).cast("long").alias("doc_id"), *[F.col(f"`{c}`") for c in keep])
+    from pyspark.sql.types import ArrayType, IntegerType, LongType, StructField, StructType
+
+    piece = StructType([StructField("piece", IntegerType()), *(StructField(c, LongType()) for c in ("start", "length", "ids_crc32"))])
+    schema = StructType([*kept.schema.fields, StructField("pieces", ArrayType(piece))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec = encoder(tokenizer)
-        for b in batches:
-            docs, texts = b.column("doc_id").to_pylist(), b.column("t").to_pylist()
-            for at in range(0, len(texts), 500):
-                out = []
-                for d, ids in zip(docs[at : at + 500], codec.documents(texts[at : at + 500]), strict=True):
+        for whole in batches:
+            for at in range(0, whole.num_rows, 500):
+                b = whole.slice(at, 500)
+                ends, out = [0], []
+                for ids in codec.documents(b.column("_t").to_pylist()):
                     start, size = 0, (len(ids) - 1) % capacity + 1
                     for k in range(-(-len(ids) // capacity)):
-                        out.append((d, k, start, size, crc32(ids[start : start + size])))
+                        out.append((k, start, size, crc32(ids[start : start + size])))
                         start, size = start + size, capacity
-                doc, piece, start, length, crc = zip(*out, strict=True)
-                yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(piece, pa.int32()), *(pa.array(x, pa.int64()) for x in (start, length, crc))], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+                    ends.append(len(out))
+                k, start, length, crc = zip(*out, strict=True)
+                struct = pa.StructArray.from_arrays([pa.array(k, pa.int32()), *(pa.array(x, pa.int64()) for x in (start, length, crc))], names=piece.names)
+                yield pa.RecordBatch.from_arrays([*[b.column(c) for c in schema.names[:-1]], pa.ListArray.from_arrays(pa.array(ends, pa.int32()), struct)], names=schema.names)
+
+    return df.select(F.col(id_col).cast("long").alias("doc_id"), *[F.col(f"`{c}`") for c in keep], F.col(text_col).alias("_t")).mapInArrow(run, schema)
 
-    return df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("t")).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
+
+def pieces_of(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokenizer: str | None = None, capacity: int = CAPACITY) -> DataFrame:
+    """doc_id, piece, start, length, ids_crc32: every document's ids with the end id, cut to the capacity."""
+    return cut_documents(df, id_col, text_col, tokenizer, capacity).select("doc_id", F.inline("pieces"))
 
 
-def _packer(columns: list[str], capacity: int, r: int, last: bool):
-    """Packs one group of round r; after the last round nothing is handed over."""
+def _packer(columns: list[str], capacity: int, r: int, last: bool, order: str | None = None):
+    """Packs one group of round r; after the last round nothing is handed over. With an order, a sequence has the number of its first piece."""
+    if order:
+        columns = [order, *(c for c in columns if c != order)]
 
     def run(key: tuple, group: pa.Table) -> pa.Table:
         group = group.select(columns).sort_by([(c, "ascending") for c in columns])
+        g = key[0].as_py()
         sizes = group.column("length").to_numpy().astype(np.int64)
         place, offset, used = best_fit(sizes, capacity)
         stay = np.ones(len(used), bool)
@@ -114,7 +134,13 @@ def _packer(columns: list[str], capacity: int, r: int, last: bool):
                 stay = used == capacity
             elif used.min() < capacity:
                 stay[used.argmin()] = False
-        made = {"sequence_id": (r << 56) + (key[0].as_py() << 24) + place, "offset": offset, "placed": stay[place]}
+        number = (r << 56) + (g << 24) + place
+        if order:
+            first = np.full(len(used), np.iinfo(np.int64).max)
+            np.minimum.at(first, place, group.column(order).to_numpy() * _PIECES + group.column("piece").to_numpy())
+            number = first[place]
+            group = group.append_column("_g", pa.array(np.full(len(place), g), pa.int64()))
+        made = {"sequence_id": number, "offset": offset, "placed": stay[place]}
         for name, values in made.items():
             group = group.append_column(name, pa.array(values))
         return group
@@ -122,7 +148,17 @@ def _packer(columns: list[str], capacity: int, r: int, last: bool):
     return run
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_PIECES, rounds: int = ROUNDS) -> DataFrame:
+def _ranges(rest: DataFrame, groups: int) -> DataFrame:
+    """Joins neighbouring groups _g to ``groups`` new ones of about equally many pieces."""
+    counts = sorted((r["_g"], r["n"]) for r in rest.groupBy("_g").agg(F.count(F.lit(1)).alias("n")).collect())  # a row for each ORDERED_PIECES documents
+    total, before, new = sum(n for _, n in counts), 0, []
+    for g, n in counts:
+        new.append((g, (2 * before + n) * groups // (2 * total)))
+        before += n
+    return rest.join(F.broadcast(rest.sparkSession.createDataFrame(new, "_g long, _new long")), "_g").drop("_g").withColumnRenamed("_new", "_g")
+
+
+def pack(pieces: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_PIECES, rounds: int = ROUNDS, order: str | None = None) -> DataFrame:
     """+sequence_id, offset for pieces with a length of 1..capacity; other columns stay.
 
     Whole pieces fill a sequence each. A group is certified when it needs no
@@ -130,14 +166,21 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_
     only, a group with a gap all that are not full. Rounds end when one group
     has packed all that was handed over. Rows may repeat: each is placed. An
     empty table gives an empty result.
+
+    ``order``: a column with a number from 0 for each document, without large
+    gaps. Groups are then ranges of it, neighbours hand over to each other, and
+    sequence_id grows with the first piece in a sequence.
     """
     columns = pieces.columns
     fields = pieces.schema.fields
-    full = pieces.where(F.col("length") >= capacity).withColumn("sequence_id", -1 - F.monotonically_increasing_id()).withColumn("offset", F.lit(0).cast("long"))
+    full = pieces.where(F.col("length") >= capacity).withColumn("sequence_id", F.col(order) * _PIECES + F.col("piece") if order else -1 - F.monotonically_increasing_id()).withColumn("offset", F.lit(0).cast("long"))
     rest, done = pieces.where(F.col("length") < capacity), [full]
     from pyspark.sql.types import BooleanType, LongType, StructField, StructType
 
-    schema = StructType([*fields, StructField("sequence_id", LongType()), StructField("offset", LongType()), StructField("placed", BooleanType())])
+    columns_of_rest = [*[F.col(f"`{c}`") for c in columns], *([F.col("_g")] if order else [])]
+    if order:
+        rest = rest.withColumn("_g", F.floor(F.col(order) / group_pieces).cast("long"))
+    schema = StructType([*fields, *([StructField("_g", LongType())] if order else []), StructField("sequence_id", LongType()), StructField("offset", LongType()), StructField("placed", BooleanType())])
     for r in range(rounds):
         n = rest.count()
         if not n:
@@ -145,10 +188,10 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_
         groups = -(-n // group_pieces)
         last = groups == 1 or r == rounds - 1
 
-        dealt = rest.withColumn("_g", F.pmod(F.xxhash64(F.lit(r), *[F.col(f"`{c}`") for c in columns]), F.lit(groups)))
-        packed = written(dealt.groupBy("_g").applyInArrow(_packer(columns, capacity, r, last), schema), "packed")
-        done.append(packed.where("placed").drop("placed"))
-        rest = packed.where("NOT placed").select(*[F.col(f"`{c}`") for c in columns])
+        dealt = _ranges(rest, groups) if order else rest.withColumn("_g", F.pmod(F.xxhash64(F.lit(r), *[F.col(f"`{c}`") for c in columns]), F.lit(groups)))
+        packed = written(dealt.groupBy("_g").applyInArrow(_packer(columns, capacity, r, last, order), schema), "packed")
+        done.append(packed.where("placed").drop("placed", "_g") if order else packed.where("placed").drop("placed"))
+        rest = packed.where("NOT placed").select(*columns_of_rest)
         if last:
             break
     out = done[0]
@@ -160,3 +203,13 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, group_pieces: int = GROUP_
 def pack_documents(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokenizer: str | None = None, capacity: int = CAPACITY) -> DataFrame:
     """Every piece of every document with its sequence and place. Null texts are empty documents of one id."""
     return pack(written(pieces_of(df, id_col, text_col, tokenizer, capacity), "pieces"), capacity)
+
+
+def pack_mixed(df: DataFrame, weights: dict[str, float] | None = None, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", tokenizer: str | None = None, capacity: int = CAPACITY, group_pieces: int = ORDERED_PIECES) -> DataFrame:
+    """``pack_documents`` +mix_position, with sequences in the order of the mix: any beginning of them has the sources at their target weights, but for about a group.
+
+    Positions follow from ids, sources and weights alone, so they are those of ``in_mixed_order`` however its files are read.
+    """
+    cut = written(cut_documents(df, id_col, text_col, tokenizer, capacity, (source_col,)), "cut")
+    pieces = mix_sources(cut, weights, "doc_id", source_col).select("doc_id", "mix_position", F.inline("pieces"))
+    return pack(written(pieces, "pieces"), capacity, group_pieces, order="mix_position")

@@ -461,3 +461,16 @@ def test_exact_stage_keeps_null_ids_and_repeated_ids(spark):
     rows = [(None, "first text", "a"), (None, "second text", "a"), (None, "second  text", "a"), (4, "third text", "a"), (4, "fourth text", "a"), (4, "fourth  text", "b"), (6, "third  text", "a"), (6, "fifth", "a"), (-(2**63), "sixth", "a"), (None, "sixth", "a")]
     got = sorted((str(r["doc_id"]), r["text"]) for r in cp.exact(spark, docs(spark, rows), "").collect())
     assert got == sorted([("None", "first text"), ("None", "second  text"), ("4", "fourth  text"), ("6", "third  text"), ("6", "fifth"), (str(-(2**63)), "sixth")])
+
+
+def test_packed_sequences_follow_the_mix(spark):
+    import corpus_pipeline as cp
+
+    text = F.concat(F.lit("some words "), F.repeat(F.lit("and more "), F.pmod(F.xxhash64("id"), F.lit(300)).cast("int")))
+    df = spark.range(9000).select(F.col("id").alias("doc_id"), text.alias("text"), F.when(F.col("id") % 10 == 0, "rare").otherwise("most").alias("source"))
+    rows = sorted(cp.packing(spark, df, "").collect(), key=lambda r: r["sequence_id"])
+    check_packing(rows, 1024)
+    assert sorted(r["doc_id"] for r in rows) == list(range(9000))
+    # root weights: 30 to 90 until position 3,600
+    for head in (1000, 2000, 3000):
+        assert abs(sum(r["doc_id"] % 10 == 0 for r in rows[:head]) / head - 0.25) < 0.05
