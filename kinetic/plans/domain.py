@@ -2,19 +2,22 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinetic.functions.motion import valid
 from kinetic.plans.params import OptimizerParams
 
 
-def _summed(layered: DataFrame, representative: str) -> DataFrame:
-    """edge, top (upper speed of the edge) -> layers without gaps: layer, edge, lo, hi, rep, n, width."""
-    micro = F.floor(F.col("speed") * 1000000 + F.lit(0.5)).cast("long")
-    rows = layered.groupBy("edge", "top", "width").agg(F.count(F.lit(1)).alias("n"), F.sum(micro).alias("_sum"), F.max("speed").alias("_max"))
+def sums_of_speed() -> list[Column]:
+    """What a layer needs of its objects: their number, the sum of their speeds in whole micro-units, and the greatest."""
+    return [F.count(F.lit(1)).alias("n"), F.sum(F.floor(F.col("speed") * 1000000 + F.lit(0.5)).cast("long")).alias("sum"), F.max("speed").alias("most")]
+
+
+def _summed(rows: DataFrame, representative: str) -> DataFrame:
+    """edge, top (upper speed of the edge), width, n, sum, most -> layers without gaps: layer, edge, lo, hi, rep, n, width."""
     order = Window.orderBy("edge")  # at most q rows
-    rep = F.col("_max") if representative == "max" else F.col("_sum") / 1000000 / F.col("n")
+    rep = F.col("most") if representative == "max" else F.col("sum") / 1000000 / F.col("n")
     return rows.select(
         F.row_number().over(order).alias("layer"), F.col("edge").cast("int").alias("edge"), F.coalesce(F.lag("top").over(order), F.lit(0.0)).alias("lo"), F.col("top").alias("hi"), rep.alias("rep"), "n", "width"
     )
@@ -52,7 +55,13 @@ def layered(mo: DataFrame, p: OptimizerParams) -> DataFrame:
 
 def speed_layers(mo: DataFrame, p: OptimizerParams) -> DataFrame:
     """layer 1.., edge, lo, hi, rep, n, width; layers that no object is in are left out and the rest renumbered."""
-    return _summed(layered(mo, p), p.representative)
+    rows = layered(mo, p).groupBy("edge", "top", "width").agg(*sums_of_speed())
+    return _summed(rows, p.representative)
+
+
+def layers_of(finest: DataFrame, p: OptimizerParams) -> DataFrame:
+    """The same layers from counts that are already there: edge, top, width, n, sum, most of every layer and cell."""
+    return _summed(finest.groupBy("edge", "top", "width").agg(*[F.sum(c).alias(c) for c in ("n", "sum")], F.max("most").alias("most")), p.representative)
 
 
 def kde_layers(layers: DataFrame, bandwidth: float) -> DataFrame:

@@ -18,8 +18,8 @@ from pyspark.sql import functions as F
 from kinetic.plans.params import OptimizerParams
 from kinetic.plans.quad import candidate_cells, layer_counts
 
-#: Up to this count logarithms of factorials come from a table; beyond it from sums over the node's capacity.
-TABLE_COUNT = 1_000_000
+#: Up to this count logarithms of factorials come from a table of fixed size; beyond it from sums over the node's capacity.
+TABLE_COUNT = 1 << 17
 
 
 def node_side(side: Column, count: Column, capacity: int) -> Column:
@@ -65,24 +65,34 @@ def node_max_prob(counts: DataFrame, capacity: int, by: list[str]) -> DataFrame:
     return rows.withColumn("prob", share("cum") - F.when(F.col("before") > 0, share("before")).otherwise(0.0))
 
 
-class _LogFalling:
-    """ln of falling factorials of c terms for arrays of counts."""
+_log_factorials: np.ndarray | None = None
 
-    def __init__(self, c: int, most: int):
-        self.c = c
-        self.table = np.concatenate([[0.0], np.cumsum(np.log(np.arange(1, most + 1, dtype=np.float64)))]) if most <= TABLE_COUNT else None
 
-    def ratio(self, below: np.ndarray, upto: np.ndarray) -> np.ndarray:
-        """C(below, c) / C(upto, c) for upto > c; 0 where below < c."""
-        ok = below >= self.c
-        b, u = np.where(ok, below, self.c), np.maximum(upto, self.c)
-        if self.table is not None:
-            log = (self.table[b] - self.table[b - self.c]) - (self.table[u] - self.table[u - self.c])
-        else:
-            log = np.zeros(len(b))
-            for i in range(self.c):
-                log += np.log1p((b - u) / (u - i))
-        return np.where(ok, np.exp(log), 0.0)
+def log_factorials() -> np.ndarray:
+    """ln n! for n = 0..TABLE_COUNT, made once in a process."""
+    global _log_factorials
+    if _log_factorials is None:
+        _log_factorials = np.concatenate([[0.0], np.cumsum(np.log(np.arange(1, TABLE_COUNT + 1, dtype=np.float64)))])
+    return _log_factorials
+
+
+def falling_ratio(below: np.ndarray, upto: np.ndarray, c: int) -> np.ndarray:
+    """C(below, c) / C(upto, c) for upto > c; 0 where below < c.
+
+    Each element is worked out by its own counts, whatever else is in the arrays.
+    """
+    out = np.zeros(len(below))
+    few = (below >= c) & (upto <= TABLE_COUNT)
+    many = (below >= c) & (upto > TABLE_COUNT)
+    if few.any():
+        t, b, u = log_factorials(), below[few], upto[few]
+        out[few] = np.exp((t[b] - t[b - c]) - (t[u] - t[u - c]))
+    if many.any():
+        b, u, log = below[many], upto[many], np.zeros(int(many.sum()))
+        for i in range(c):
+            log += np.log1p((b - u) / (u - i))
+        out[many] = np.exp(log)
+    return out
 
 
 def _nodes(n: np.ndarray, p: OptimizerParams) -> np.ndarray:
@@ -98,14 +108,13 @@ def cell_costs(level: np.ndarray, own: np.ndarray, par: np.ndarray, cum: np.ndar
     """
     q, t, c = cum.shape[1] - 1, p.horizon, p.capacity
     out = {k: np.zeros((q + 1, q + 1)) for k in ("one", "quad", "region", "speed", "n", "regions")}
-    falls = _LogFalling(c, int(cum[:, -1].max(initial=1)))
     side = p.side / 2.0**level
     for s in range(q):
         prob = np.zeros((len(cum), q))
         for r in range(s + 1, q + 1):
             n, before = cum[:, r] - cum[:, s], cum[:, r - 1] - cum[:, s]
             grown = n > before
-            keep = np.where(n > c, falls.ratio(before, n), 0.0)
+            keep = np.where(n > c, falling_ratio(before, n, c), 0.0)
             keep = np.where(grown, keep, 1.0)
             prob *= keep[:, None]
             prob[:, r - 1] = np.where(grown, 1 - keep, 0.0)
@@ -138,6 +147,7 @@ def range_costs(cells: DataFrame, splits: DataFrame, layers: DataFrame, p: Optim
     every = candidate_cells(splits, layers).join(layer_counts(cells, layers), ["level", "code"], "left")
     speeds = layers.agg(F.transform(F.array_sort(F.collect_list(F.struct("layer", "rep"))), lambda x: x["rep"]).alias("reps"))
     every = every.crossJoin(F.broadcast(speeds)).select("level", "own", "par", F.coalesce("cum", F.expr("transform(own, x -> 0L)")).alias("cum"), "reps")
+    every = every.repartition(max(1, every.sparkSession.sparkContext.defaultParallelism), "level", "code")  # a few thousand cells, each worth q * q steps
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables = [b for b in batches if b.num_rows]

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kinetic.plans import quad
-from kinetic.plans.domain import speed_layers
+from kinetic.plans.domain import layers_of
 from kinetic.plans.expansion import range_costs
 from kinetic.plans.params import OptimizerParams
 from kinetic.sources.shared import kept
@@ -124,24 +124,21 @@ def optimise(mo: DataFrame, p: OptimizerParams, keep=None) -> Optimised:
 
     ``keep`` is applied to the tables that are used more than once (at most
     q * 4**depth rows); by default they are written to the shared folder,
-    so that the objects are read twice only: for the layers and for the counts.
+    so that the objects are read for their greatest speed and for the counts.
     """
-    keep = keep or kept
-    layers = keep(speed_layers(mo, p))
-    cells = keep(quad.cell_counts(mo, p, layers))
+    return _from_counts((keep or kept)(quad.finest_counts(mo, p)), p, keep or kept)
+
+
+def _from_counts(finest: DataFrame, p: OptimizerParams, keep, fraction: float = 1.0) -> Optimised:
+    layers = keep(layers_of(finest, p))
+    cells = keep(quad.cells_of(finest, p, layers))
     tested = quad.uniformity(cells, p)
     splits = keep(quad.split_cells(tested))
-    cost = keep(range_costs(cells, splits, layers, p))
-    return Optimised(layers, cells, tested, splits, cost, optimal_plan(cost, layers))
+    scaled = cells if fraction == 1.0 else cells.withColumn("n", F.floor(F.col("n") / fraction + F.lit(0.5)).cast("long"))
+    cost = keep(range_costs(scaled, splits, layers, p))
+    return Optimised(layers, scaled, tested, splits, cost, optimal_plan(cost, layers))
 
 
 def optimise_sampled(mo: DataFrame, p: OptimizerParams, fraction: float, seed: int = 7) -> Optimised:
     """The optimiser over a sample: the test sees raw sample counts, the costs counts that are scaled up."""
-    sample = kept(mo.sample(False, fraction, seed))
-    layers = kept(speed_layers(sample, p))
-    cells = kept(quad.cell_counts(sample, p, layers))
-    tested = quad.uniformity(cells, p)
-    splits = kept(quad.split_cells(tested))
-    scaled = cells.withColumn("n", F.floor(F.col("n") / fraction + F.lit(0.5)).cast("long"))
-    cost = kept(range_costs(scaled, splits, layers, p))
-    return Optimised(layers, scaled, tested, splits, cost, optimal_plan(cost, layers))
+    return _from_counts(kept(quad.finest_counts(kept(mo.sample(False, fraction, seed)), p)), p, kept, fraction)

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from kinetic.plans.domain import layered
+from kinetic.plans.domain import layered, sums_of_speed
 from kinetic.plans.params import OptimizerParams
 
 
@@ -24,8 +24,9 @@ def cell_code(p: OptimizerParams, depth: int, x: str = "x", y: str = "y") -> Col
 
 
 def finest_counts(mo: DataFrame, p: OptimizerParams) -> DataFrame:
-    """edge, code, n at the deepest counted level: the one step that reads every object."""
-    return layered(mo, p).select("edge", cell_code(p, p.counted_depth).alias("code")).groupBy("edge", "code").agg(F.count(F.lit(1)).alias("n"))
+    """edge, top, width, code, n, sum, most at the deepest counted level: the one step that reads every object."""
+    rows = layered(mo, p).select("edge", "top", "width", "speed", cell_code(p, p.counted_depth).alias("code"))
+    return rows.groupBy("edge", "top", "width", "code").agg(*sums_of_speed())
 
 
 def _renumbered(cube: DataFrame, layers: DataFrame) -> DataFrame:
@@ -34,8 +35,13 @@ def _renumbered(cube: DataFrame, layers: DataFrame) -> DataFrame:
 
 def cell_counts(mo: DataFrame, p: OptimizerParams, layers: DataFrame) -> DataFrame:
     """layer, level, code, n for all levels: counted once at the deepest level, then summed over path prefixes."""
+    return cells_of(finest_counts(mo, p), p, layers)
+
+
+def cells_of(finest: DataFrame, p: OptimizerParams, layers: DataFrame) -> DataFrame:
+    """``cell_counts`` from ``finest_counts``."""
     d = p.counted_depth
-    levels = finest_counts(mo, p).select("edge", "code", "n", F.explode(F.sequence(F.lit(0), F.lit(d))).alias("level"))
+    levels = finest.select("edge", "code", "n", F.explode(F.sequence(F.lit(0), F.lit(d))).alias("level"))
     cube = levels.select("edge", "level", F.expr(f"shiftright(code, 2 * ({d} - level))").alias("code"), "n").groupBy("edge", "level", "code").agg(F.sum("n").alias("n"))
     return _renumbered(cube, layers)
 

@@ -95,11 +95,17 @@ def _steps(df: DataFrame, steps: list[dict[str, str]]) -> DataFrame:
     return df
 
 
+def _once(df: DataFrame, *columns: str) -> DataFrame:
+    """The columns behind a generator of one row: filters on them are not rewritten over the steps below, which would repeat every step for every use."""
+    return df.select(F.inline(F.array(F.struct(*columns))))
+
+
 def mo_orders(spark: SparkSession, sf_dir: str, regime: str = "mix-L", any_direction: bool = False) -> DataFrame:
     """Vehicles of a city: positions round 25 hubs, three speed classes by regime, 16 directions or any."""
     orders = read(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_totalprice", "o_orderdate", "o_orderpriority")
     customers = read(spark, sf_dir, "customer").select("c_custkey", "c_nationkey")
-    return _steps(orders.join(customers, F.col("o_custkey") == F.col("c_custkey")), orders_expressions(regime, any_direction)).select(*COLUMNS)
+    rows = _steps(orders.join(customers, F.col("o_custkey") == F.col("c_custkey")), orders_expressions(regime, any_direction))
+    return _once(rows, *COLUMNS)
 
 
 def mo_lineitem(spark: SparkSession, sf_dir: str, m: int | None = None) -> DataFrame:
@@ -112,19 +118,19 @@ def mo_lineitem(spark: SparkSession, sf_dir: str, m: int | None = None) -> DataF
     if m is not None:
         rows = rows.where(F.expr(f"(l_partkey * 7 + l_suppkey) % 6 < {m}"))
     oid = F.expr("l_orderkey * 1000003 + cast(l_linenumber as bigint) * 7919 + l_partkey * 104729 + l_suppkey * 1299709 + cast(round(l_extendedprice * 100) as bigint) * 15485863 + cast(l_quantity as bigint) * 32452843 + cast(datediff(l_shipdate, date'1992-01-01') as bigint) * 49979687")
-    return _steps(rows.withColumn("oid", oid), lineitem_expressions()).select(*COLUMNS)
+    return _once(_steps(rows.withColumn("oid", oid), lineitem_expressions()), *COLUMNS)
 
 
 def mo_events(spark: SparkSession, sf_dir: str, rush: bool = False, one_object_per_event: bool = False) -> DataFrame:
     """Status updates of taxis; ``rush`` injects a peak at noon and night."""
     rows = _steps(read(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp")), events_expressions(rush))
     rows = rows.withColumn("oid", F.col("event_id" if one_object_per_event else "user_id"))
-    return rows.select(*COLUMNS, "ts", "hr", "event_id")
+    return _once(rows, *COLUMNS, "ts", "hr", "event_id")
 
 
 def mo_embed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Objects with continuous, nearly normal velocities."""
-    return _steps(read(spark, sf_dir, "embeddings").select("vec_id", "embedding"), embed_expressions()).select(*COLUMNS)
+    return _once(_steps(read(spark, sf_dir, "embeddings").select("vec_id", "embedding"), embed_expressions()), *COLUMNS)
 
 
 def q_range(spark: SparkSession, sf_dir: str, window: int = 400, t: int = 60) -> DataFrame:

@@ -94,12 +94,36 @@ def test_costs_of_a_range_by_enumeration():
         assert out["quad"][s, r] == pytest.approx(four, rel=1e-9)
 
 
-def test_long_sums_equal_the_table():
-    small = expansion._LogFalling(102, 5000)
-    big = expansion._LogFalling(102, 5000)
-    big.table = None
+def test_long_sums_equal_the_table(monkeypatch):
     b, u = np.array([150, 2000, 101, 4000]), np.array([300, 2500, 500, 4001])
-    assert np.allclose(small.ratio(b, u), big.ratio(b, u), rtol=1e-9)
+    table = expansion.falling_ratio(b, u, 102)
+    monkeypatch.setattr(expansion, "TABLE_COUNT", 0)
+    assert np.allclose(table, expansion.falling_ratio(b, u, 102), rtol=1e-9)
+
+
+def test_cells_cost_the_same_whatever_else_is_there():
+    p, speeds = OptimizerParams(capacity=102), np.array([1.0, 3.0, 9.0])
+    cum = np.array([[0, 1, 1, 2], [0, 0, 46, 90], [0, 400, 900, 4000], [0, 0, 0, 0], [0, 90_000, 140_000, 300_000]])
+    level, own, par = np.zeros(5), np.zeros((5, 4), int), np.tile(np.arange(4), (5, 1))
+    whole = expansion.cell_costs(level, own, par, cum, speeds, p)
+    alone = [expansion.cell_costs(level[i : i + 1], own[i : i + 1], par[i : i + 1], cum[i : i + 1], speeds, p) for i in range(5)]
+    for k, v in whole.items():
+        assert np.allclose(v, sum(x[k] for x in alone), rtol=1e-13)
+
+
+@pytest.mark.parametrize("tasks", [1, 8, 211])
+def test_plan_does_not_depend_on_the_tasks(spark, tasks):
+    from kinetic.sources.standins import mo_orders
+
+    before = {k: spark.conf.get(k) for k in ("spark.sql.shuffle.partitions", "spark.sql.adaptive.coalescePartitions.enabled")}
+    spark.conf.set("spark.sql.shuffle.partitions", str(tasks))
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        plan = optimise.optimise(mo_orders(spark, "/root/testdata/sf0.01"), OptimizerParams(q=10)).plan.orderBy("part").collect()
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v)
+    assert [r["hi_layer"] for r in plan] == [4, 10]
 
 
 def test_node_costs_cross_where_they_should(spark):
