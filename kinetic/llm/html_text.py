@@ -3,12 +3,16 @@
 The standard library's parser streams over the page; every block of text is a
 line with its characters, its tags and the characters inside links. Smoothed
 ratios above a threshold form content regions; lines of the region's container
-are then kept whole, and lines that markup names as page furniture never count.
+are then kept whole. Markup that names page furniture takes the pieces of text
+inside it, and no others; a name on an element that the page's text is wrapped
+in means nothing.
 """
 
 from __future__ import annotations
 
+import heapq
 import re
+from collections import Counter
 from collections.abc import Iterator
 from html.parser import HTMLParser
 
@@ -22,7 +26,7 @@ BLOCKS = frozenset("address article aside blockquote body center dd details dial
 #: Elements without content (fixed values).
 EMPTY = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 #: Elements whose text is never shown as content (fixed values).
-SILENT = frozenset("script style noscript template head title svg math iframe object canvas audio video select textarea button option".split())
+SILENT = frozenset("script style noscript template head title svg iframe object canvas audio video select textarea button option".split())
 #: Elements that are page furniture (fixed values).
 FURNITURE = frozenset("nav footer aside form menu dialog header".split())
 #: Roles and words of classes and ids that name furniture (fixed values).
@@ -31,6 +35,11 @@ NAMES = re.compile(
     r"(?:^|[-_\s])(?:ad|ads|advert|adverts|advertisement|advertising|banner|sponsor|sponsored|promo|promotion|nav|navbar|navigation|menu|breadcrumb|breadcrumbs|sidebar|side|aside|widget|footer|header|masthead|cookie|cookies|consent|gdpr|notice|popup|modal|overlay|newsletter|subscribe|signup|login|share|sharing|social|related|recommended|trending|comment|comments|commentlist|disqus|replies|reply|respond|pagination|pager|copyright|legal|skip|toolbar)(?:$|[-_\s\d])",
     re.I,
 )
+#: Names of what readers wrote, which stays furniture however long it is (fixed values).
+READERS = re.compile(r"(?:^|[-_\s])(?:comment|comments|commentlist|disqus|replies|reply|respond)(?:$|[-_\s\d])", re.I)
+#: Names of the head of an article, which is content (fixed values).
+HEADS = re.compile(r"(?:^|[-_\s])(?:header|masthead)(?:$|[-_\s\d])", re.I)
+OWN_HEAD = re.compile(r"(?:^|\s)(?:post|article|entry|story|content)[-_]{1,2}header(?:$|\s)", re.I)
 #: An open element that the next one of its kind closes, and what closes it (fixed values).
 CLOSES = {"p": BLOCKS, "li": frozenset({"li"}), "dt": frozenset({"dt", "dd"}), "dd": frozenset({"dt", "dd"}), "tr": frozenset({"tr"}), "td": frozenset({"td", "th", "tr"}), "th": frozenset({"td", "th", "tr"}), "option": frozenset({"option"})}
 #: What an implied end does not reach past (fixed values).
@@ -39,21 +48,42 @@ SPACE = re.compile(r"\s+")
 SIGMA = 1.0
 
 
+def _furniture_name(a: dict[str, str], content: bool) -> tuple[bool, bool]:
+    """Whether an element's attributes name furniture, and whether they name what readers wrote."""
+    named = a.get("role", "").lower() in ROLES or "hidden" in a or a.get("aria-hidden") == "true"
+    readers = False
+    for x in (a.get("class", ""), a.get("id", "")):
+        if NAMES.search(x):
+            # the head of an article is part of it
+            plain = HEADS.sub(" ", x) if content else OWN_HEAD.sub(" ", x)
+            named = named or bool(NAMES.search(plain))
+            readers = readers or bool(READERS.search(plain))
+    return named, readers
+
+
 class Lines(HTMLParser):
-    """Blocks of a page in order: [pieces of text, tags, characters in links, furniture, container]."""
+    """Blocks of a page in order: [pieces, tags, container]; a piece is (text, characters in links, furniture element).
+
+    ``marks`` tells of each furniture element its parent mark, whether only a
+    name makes it so, whether readers wrote it, and the characters inside it.
+    Every event costs a constant, apart from the elements that it closes.
+    """
 
     def __init__(self):
         super().__init__(convert_charrefs=True)
-        self.open: list[tuple[str, bool, int, int]] = []  # tag, silent, furniture, container
+        self.open: list[tuple] = []  # tag, silent, mark before, container before
+        self.counts: Counter = Counter()  # open elements by tag
+        self.inner: list[Counter] = [Counter()]  # the same, since each open fence
         self.lines: list[list] = []
-        self.silent = self.furniture = self.links = 0
-        self.container = self.containers = 0
-        self.now = [[], 0, 0, False, 0]
+        self.marks: list[list] = [[-1, False, False, 0]]  # parent, name only, readers, characters; 0 is no furniture
+        self.mark = 0
+        self.silent = self.container = self.containers = 0
+        self.now = [[], 0, 0]
 
     def _cut(self) -> None:
         if self.now[0]:
             self.lines.append(self.now)
-            self.now = [[], 0, 0, False, 0]
+            self.now = [[], 0, 0]
 
     def handle_starttag(self, tag, attrs):
         if tag in BLOCKS:
@@ -65,17 +95,22 @@ class Lines(HTMLParser):
             return
         while self.open and tag in CLOSES.get(self.open[-1][0], ()):
             self._pop()
-        a = {k: v or "" for k, v in attrs}
-        content = any(t in ("article", "main") for t, *_ in self.open)
-        named = a.get("role", "").lower() in ROLES or bool(NAMES.search(a.get("class", "")) or NAMES.search(a.get("id", ""))) or "hidden" in a or a.get("aria-hidden") == "true"
-        if tag == "main":
-            furniture = -self.furniture  # content, whatever wraps it
+        content = bool(self.counts["article"] or self.counts["main"])
+        self.open.append((tag, tag in SILENT, self.mark, self.container))
+        self.counts[tag] += 1
+        if tag in FENCES:
+            self.inner.append(Counter())
         else:
-            furniture = int(tag not in ("html", "body") and (named or tag in FURNITURE and not (tag == "header" and content)))
-        self.open.append((tag, tag in SILENT, furniture, self.container))
+            self.inner[-1][tag] += 1
         self.silent += tag in SILENT
-        self.furniture += furniture
-        self.links += tag == "a"
+        if tag == "main":
+            self.mark = 0  # content, whatever wraps it
+        elif tag not in ("html", "body"):
+            named, readers = _furniture_name({k: v or "" for k, v in attrs}, content) if attrs else (False, False)
+            tagged = tag in FURNITURE and not (tag == "header" and content)
+            if named or tagged:
+                self.marks.append([self.mark, not tagged, readers, 0])
+                self.mark = len(self.marks) - 1
         if tag in ("article", "main"):
             self.containers += 1
             self.container = self.containers
@@ -85,34 +120,60 @@ class Lines(HTMLParser):
         if tag not in EMPTY:
             self.handle_endtag(tag)
 
-    def _pop(self) -> None:
-        tag, silent, furniture, self.container = self.open.pop()
+    def _pop(self) -> str:
+        tag, silent, self.mark, self.container = self.open.pop()
         if tag in BLOCKS:
             self._cut()
+        self.counts[tag] -= 1
+        if tag in FENCES:
+            self.inner.pop()
+        else:
+            self.inner[-1][tag] -= 1
         self.silent -= silent
-        self.furniture -= furniture
-        self.links -= tag == "a"
+        return tag
 
     def handle_endtag(self, tag):
         if tag in BLOCKS:
             self._cut()
         self.now[1] += 1
-        for k in range(len(self.open) - 1, -1, -1):
-            if self.open[k][0] == tag:
-                while len(self.open) > k:
-                    self._pop()
-                return
-            if tag not in FENCES and self.open[k][0] in FENCES:
-                return
+        if self.counts[tag] if tag in FENCES else self.inner[-1][tag]:
+            while self._pop() != tag:
+                pass
 
     def handle_data(self, data):
         if self.silent or not data:
             return
-        line = self.now
-        line[0].append(data)
-        if self.links:
-            line[2] += len(data.strip())
-        line[3], line[4] = self.furniture > 0, self.container
+        size = len(data.strip())
+        self.now[0].append((data, size if self.counts["a"] else 0, self.mark))
+        self.marks[self.mark][3] += size
+        self.now[2] = self.container
+
+
+def _shown(marks: list[list]) -> list[bool]:
+    """For each mark whether text directly under it is content.
+
+    A name takes the text under it, unless next to nothing would be left of the
+    page: then the element is a wrapper, and its name means nothing.
+    """
+    whole = [m[3] for m in marks]  # with all marks inside
+    inside: list[list[int]] = [[] for _ in marks]
+    for i in range(len(marks) - 1, 0, -1):
+        whole[marks[i][0]] += whole[i]
+        inside[marks[i][0]].append(i)
+    shown = [True] + [False] * (len(marks) - 1)
+    left, at = marks[0][3], 0
+    edge: list[tuple[int, int]] = []  # named elements right under what is shown, the largest first
+    while True:
+        for i in inside[at]:
+            if marks[i][1] and not marks[i][2]:
+                heapq.heappush(edge, (-whole[i], i))
+        if not edge:
+            return shown
+        size, at = heapq.heappop(edge)
+        if -2 * size <= whole[0] or 5 * left >= -size:
+            return shown
+        shown[at] = True
+        left += marks[at][3]
 
 
 def _regions(ratio: np.ndarray) -> np.ndarray:
@@ -144,11 +205,16 @@ def main_text(html: str | None) -> str:
     parser.feed(html or "")
     parser.close()
     parser._cut()
+    shown = _shown(parser.marks)
     lines = []
-    for pieces, tags, linked, furniture, container in parser.lines:
-        text = SPACE.sub(" ", "".join(pieces)).strip()
+    for pieces, tags, container in parser.lines:
+        own = [p for p in pieces if shown[p[2]]]
+        text = SPACE.sub(" ", "".join(p[0] for p in own)).strip()
+        furniture = not text
+        if furniture:
+            text = SPACE.sub(" ", "".join(p[0] for p in pieces)).strip()
         if text:
-            lines.append((text, max(1, tags), linked, furniture, container))
+            lines.append((text, max(1, tags), sum(p[1] for p in (pieces if furniture else own)), furniture, container))
     candidates = [x for x in lines if not x[3]]
     if not candidates:
         return ""
