@@ -13,6 +13,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -114,17 +115,20 @@ class SequenceFile:
 
 
 def write_token_files(df: DataFrame, folder: str, id_col: str = "doc_id", text_col: str = "text", tokenizer: str | None = None, length: int = SEQUENCE, docs_per_shard: int = 20_000) -> DataFrame:
-    """Writes every whole text's ids in ascending id order; returns a row for each shard: ids, index, first, n_docs, n_tokens, start.
+    """Writes every whole text's ids in ascending id order; returns a row for each shard: part, ids, index, first, n_docs, n_tokens, start.
 
     Null texts are empty documents; null ids come first; equal ids follow each
-    other by text. ``start`` counts the ids of all shards before. A task that
+    other by a hash of their text and their place in the table, so that a
+    repeated id is no single shard. ``start`` counts the ids of all shards
+    before, which ``part`` orders. A task that
     is run again writes files of another name, and only those that the shard
     table names count.
     """
     tokenizer = tokenizer or default_tokenizer()
     rows = df.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("t"))
     n = max(1, -(-rows.select("doc_id").count() // docs_per_shard))
-    rows = rows.repartitionByRange(n, F.asc_nulls_first("doc_id")).sortWithinPartitions(F.asc_nulls_first("doc_id"), "t")
+    order = [F.asc_nulls_first("doc_id"), F.asc("h"), F.asc("at")]
+    rows = rows.withColumn("h", F.xxhash64("t")).withColumn("at", F.monotonically_increasing_id()).repartitionByRange(n, *order).sortWithinPartitions(*order).select("doc_id", "t")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         codec, writer, docs, first = encoder(tokenizer), None, 0, None
@@ -147,13 +151,14 @@ def write_token_files(df: DataFrame, folder: str, id_col: str = "doc_id", text_c
             writer.close()
             index.close()
             sink.close()
-            yield pa.RecordBatch.from_pydict({"ids": [f"{name}.ids.arrow"], "index": [f"{name}.index.arrow"], "first": pa.array([first], pa.int64()), "n_docs": [docs], "n_tokens": [writer.total]})
+            yield pa.RecordBatch.from_pydict({"part": [TaskContext.get().partitionId()], "ids": [f"{name}.ids.arrow"], "index": [f"{name}.index.arrow"], "first": pa.array([first], pa.int64()), "n_docs": [docs], "n_tokens": [writer.total]})
 
-    shards = written(rows.mapInArrow(run, "ids string, index string, first long, n_docs long, n_tokens long"), "shards")
+    # tasks of one stage are numbered in the order of their ranges
+    shards = written(rows.mapInArrow(run, "part long, ids string, index string, first long, n_docs long, n_tokens long"), "shards")
     from pyspark.sql import Window
 
     # a row for each shard, not for each document
-    before = Window.orderBy(F.asc_nulls_first("first")).rowsBetween(Window.unboundedPreceding, -1)
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     return shards.withColumn("start", F.coalesce(F.sum("n_tokens").over(before), F.lit(0)))
 
 

@@ -92,17 +92,18 @@ class Pieces(dict):
 
 
 class Encoder:
-    """ids as little-endian uint16 (or uint32 for larger vocabularies) bytes, equal to those of the whole text.
+    """ids as little-endian uint16 (or uint32 for larger vocabularies) bytes, equal to the library's for the whole text.
 
-    Special tokens' strings in a text are ordinary text. ``most`` bounds the
-    pieces kept in each of two generations.
+    Texts that hold the string of an added token go to the library whole, which
+    reads it as that token. ``most`` bounds the pieces kept in each of two
+    generations.
     """
 
     def __init__(self, path: str, most: int = 450_000):
         from tokenizers import Tokenizer
 
         self.model = Tokenizer.from_file(path)
-        self.model.encode_special_tokens = True
+        self.added = [t.content for t in self.model.get_added_tokens_decoder().values() if t.content]
         self.dtype = np.dtype("<u2" if max(self.model.get_vocab().values()) < 65536 else "<u4")
         self.kept = Pieces(self.model, self.dtype, most)
         self.end = np.array([END_ID], self.dtype).tobytes()
@@ -115,7 +116,7 @@ class Encoder:
         get, out, heads, odd = self.kept.__getitem__, [b""] * len(texts), [], []
         for i, text in enumerate(texts):
             first, *rest = text.split(" ")
-            if first and not first[-1].isspace():
+            if first and not first[-1].isspace() and not any(a in text for a in self.added):
                 try:
                     out[i] = b"".join(map(get, rest))
                     heads.append((i, first))
