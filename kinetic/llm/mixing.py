@@ -5,22 +5,25 @@ at slot floor(j K / k) and due by slot ceil((j + 1) K / k); earliest deadline
 first gives each slot to a released block. The schedule repeats after K slots,
 so one period stands for it at any length, and at every slot each source is
 less than one block from its share. When a source has no block left the others
-go on by their weights among themselves.
+go on by their weights among themselves. Weights are never rounded.
 """
 
 from __future__ import annotations
 
 import heapq
+import math
+from fractions import Fraction
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-
 BLOCK_DOCS = 64
 #: Rows that are ranked together, about: sources are dealt into as many parts as that takes, and into LEAST_PARTS at least.
 RANKED_ROWS, LEAST_PARTS = 50_000, 32
-#: Weights are counted in parts of this many; larger totals are scaled down.
+#: Default targets are whole numbers of this many parts.
 PARTS = 1000
+#: Slots of all stretches' periods together, at most: they are worked out on the driver. Weights that need more are refused.
+MOST_SLOTS = 5_000_000
 
 
 def period(weights: dict[str, int]) -> list[str]:
@@ -66,47 +69,64 @@ def phases(blocks: dict[str, int], weights: dict[str, int]) -> list[dict]:
     return out
 
 
-def scaled(weights: dict[str, float], parts: int = PARTS) -> dict[str, int]:
-    """Weights as positive whole numbers; ratios are kept to one part in ``parts``, and each source gets one part at least."""
-    top = sum(weights.values())
-    if all(float(w).is_integer() and w > 0 for w in weights.values()) and top <= 10 * parts:
-        return {s: int(w) for s, w in weights.items()}
-    return {s: max(1, round(parts * w / top)) for s, w in weights.items()}
+def exact_weights(weights: dict[str, float]) -> dict[str, int]:
+    """The whole numbers that stand in exactly the ratios of the weights, which are read as the decimal numbers that they print as."""
+    if any(not math.isfinite(w) or w < 0 for w in weights.values()):
+        raise ValueError("weights have to be finite and not negative")
+    parts = {s: Fraction(str(w)) for s, w in weights.items()}
+    whole = math.lcm(*(f.denominator for f in parts.values())) if parts else 1
+    counts = {s: int(f * whole) for s, f in parts.items()}
+    shared = math.gcd(*counts.values()) or 1
+    return {s: n // shared for s, n in counts.items()}
+
+
+def root_weights(sizes: dict[str, int]) -> dict[str, int]:
+    """Default targets: a source's share of the square roots of all sizes in parts of PARTS, one at least; small sources are lifted."""
+    total = sum(n**0.5 for n in sizes.values())
+    return {s: max(1, round(PARTS * n**0.5 / total)) for s, n in sizes.items()}
 
 
-def root_weights(sizes: dict[str, int]) -> dict[str, float]:
-    """Default targets: the square root of a source's documents, which lifts small sources."""
-    return {s: n**0.5 for s, n in sizes.items()}
+_MADE = ("mix_source", "mix_block", "mix_release", "mix_deadline", "mix_slot", "mix_position")
 
 
 def mix_sources(df: DataFrame, weights: dict[str, float] | None = None, id_col: str = "doc_id", source_col: str = "source", block: int = BLOCK_DOCS) -> DataFrame:
-    """df +mix_source, mix_block, mix_release, mix_deadline, mix_slot, mix_position: every row, once.
-
-    A source's rows are ordered by a hash of their id, and ``block``
-    of them make a block; the last one may be shorter. Null sources are the
-    source ''. Sources without a weight have the least one given. mix_position
-    orders all rows (rows that repeat an id lie side by side in any order).
-    Release and deadline are slots of the whole schedule, in the stretch that
-    the block falls into. An empty table gives an empty result.
+    """df +mix_source, mix_block, mix_release, mix_deadline, mix_slot, mix_position: every row, once; clashing columns are replaced.
+
+    A source's rows are ordered by a hash of their id (rows without an id by
+    their place in the table), and ``block`` of them make a block; the last one
+    may be shorter. Null sources are the source ''. Sources that ``weights``
+    does not name have the least weight that it gives above 0. A source of
+    weight 0 has no turn: its rows come back with null in the columns from
+    mix_block on. mix_position orders the other rows; rows that repeat an id lie
+    side by side in any order. Weights hold exactly: after every slot each
+    source is less than one block from its share, until one of them ends.
+    Weights whose ratios take more than MOST_SLOTS slots to come round are
+    refused with a ValueError. Release and deadline are slots of the whole
+    schedule, in the stretch that the block falls into. An empty table gives an
+    empty result.
     """
     spark = df.sparkSession
-    rows = df.withColumn("mix_source", F.coalesce(F.col(source_col).cast("string"), F.lit(""))).withColumn("_h", F.xxhash64(F.col(id_col)))
-    sizes = {r["mix_source"]: r["n"] for r in rows.groupBy("mix_source").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each source
-    if not sizes:
-        return rows.drop("_h").select("*", *[F.lit(0).cast("long").alias(c) for c in ("mix_block", "mix_release", "mix_deadline", "mix_slot", "mix_position")])
-    weights = weights or root_weights(sizes)
-    least = min(weights.values())
-    whole = scaled({s: weights.get(s, least) for s in sizes})
-    parts = max(LEAST_PARTS, -(-max(sizes.values()) // RANKED_ROWS))
+    rest = [c for c in df.columns if c not in _MADE]
+    # all columns of the input travel in one, so that none meets a name that is used here
+    rows = df.select(F.coalesce(F.col(f"`{source_col}`").cast("string"), F.lit("")).alias("s"), F.col(f"`{id_col}`").alias("id"), F.struct(*[F.col(f"`{c}`") for c in rest]).alias("row") if rest else F.lit(None).alias("row"))
+    rows = rows.withColumn("h", F.when(F.col("id").isNotNull(), F.xxhash64("id")).otherwise(F.xxhash64(F.monotonically_increasing_id())))
+    sizes = {r["s"]: r["n"] for r in rows.groupBy("s").agg(F.count(F.lit(1)).alias("n")).collect()}  # a row for each source
+    given = weights or root_weights(sizes)
+    least = min((w for w in given.values() if w > 0), default=1)
+    whole = exact_weights({s: given.get(s, least) for s in sizes})
+    served = {s: w for s, w in whole.items() if w > 0}
+    if sum(served.values()) * len(served) > MOST_SLOTS:
+        raise ValueError(f"the weights of {len(served)} sources come round after {sum(served.values())} slots only: give rounder ones")
+    parts = max(LEAST_PARTS, -(-max(sizes.values(), default=0) // RANKED_ROWS))
     # rank within a source without gathering it: its parts follow each other, so the rows of the parts before are added
-    rows = rows.withColumn("_part", F.pmod("_h", F.lit(parts)).cast("int"))
-    before = rows.groupBy("mix_source", "_part").agg(F.count(F.lit(1)).alias("_n"))
-    before = before.select("mix_source", "_part", F.coalesce(F.sum("_n").over(Window.partitionBy("mix_source").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
-    ranked = rows.withColumn("_rank", F.row_number().over(Window.partitionBy("mix_source", "_part").orderBy("_h", F.col(id_col))))
-    ranked = ranked.join(F.broadcast(before), ["mix_source", "_part"])  # sources x parts rows: a row for each RANKED_ROWS rows of a source, or LEAST_PARTS
-    ranked = ranked.withColumn("_at", F.col("_before") + F.col("_rank") - 1).withColumn("mix_block", F.floor(F.col("_at") / block).cast("long")).withColumn("_within", F.pmod(F.col("_at"), F.lit(block)))
+    rows = rows.withColumn("part", F.pmod("h", F.lit(parts)).cast("int"))
+    before = rows.groupBy("s", "part").agg(F.count(F.lit(1)).alias("n"))
+    before = before.select("s", "part", F.coalesce(F.sum("n").over(Window.partitionBy("s").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    ranked = rows.withColumn("rank", F.row_number().over(Window.partitionBy("s", "part").orderBy("h", "id")))
+    ranked = ranked.join(before, ["s", "part"])  # sources x parts rows: a row for each RANKED_ROWS rows of a source, or LEAST_PARTS
+    ranked = ranked.withColumn("at", F.col("before") + F.col("rank") - 1).withColumn("block", F.floor(F.col("at") / block).cast("long"))
     plan, turns = [], []
-    for p, ph in enumerate(phases({s: -(-n // block) for s, n in sizes.items()}, whole)):
+    for p, ph in enumerate(phases({s: -(-n // block) for s, n in sizes.items() if s in served}, served)):
         for s, w in ph["weights"].items():
             if ph["until"][s] > ph["done"][s]:
                 plan.append((p, s, ph["done"][s], ph["until"][s], ph["slot"], w, len(ph["order"])))
@@ -114,20 +134,23 @@ def mix_sources(df: DataFrame, weights: dict[str, float] | None = None, id_col:
         for t, s in enumerate(ph["order"]):
             turns.append((p, s, seen.get(s, 0), t))
             seen[s] = seen.get(s, 0) + 1
-    # sources x stretches and slots x stretches: bounded by the number of sources and PARTS
-    plan_df = spark.createDataFrame(plan, "_phase int, mix_source string, _from long, _until long, _slot long, _w long, _total long")
-    turns_df = spark.createDataFrame(turns, "_phase int, mix_source string, _turn long, _t long")
-    out = ranked.alias("r").join(F.broadcast(plan_df).alias("p"), (F.col("r.mix_source") == F.col("p.mix_source")) & (F.col("mix_block") >= F.col("_from")) & (F.col("mix_block") < F.col("_until"))).drop(F.col("p.mix_source"))
-    j = F.col("mix_block") - F.col("_from")
-    out = out.withColumn("_j", j).withColumn("_turn", F.pmod(j, F.col("_w")))
-    out = out.join(F.broadcast(turns_df), ["_phase", "mix_source", "_turn"])
-    out = out.withColumn("mix_slot", F.col("_slot") + F.floor(F.col("_j") / F.col("_w")).cast("long") * F.col("_total") + F.col("_t"))
-    out = out.withColumn("mix_release", F.col("_slot") + F.expr("_j * _total div _w")).withColumn("mix_deadline", F.col("_slot") + F.expr("((_j + 1) * _total + _w - 1) div _w"))
-    out = out.withColumn("mix_position", F.col("mix_slot") * block + F.col("_within"))
-    return out.select(*[F.col(f"`{c}`") for c in df.columns if not c.startswith("mix_")], "mix_source", "mix_block", "mix_release", "mix_deadline", "mix_slot", "mix_position")
+    # sources x stretches and slots x stretches: MOST_SLOTS rows at most
+    stretch = spark.createDataFrame(plan, "phase int, p_s string, from long, until long, slot long, w long, total long")
+    turn = spark.createDataFrame(turns, "t_phase int, t_s string, turn long, t long")
+    fits = (F.col("s") == F.col("p_s")) & (F.col("block") >= F.col("from")) & (F.col("block") < F.col("until"))
+    out = ranked.join(F.broadcast(stretch), fits, "left").withColumn("j", F.col("block") - F.col("from"))
+    turn = F.broadcast(turn) if len(turns) <= 200_000 else turn
+    out = out.join(turn, (F.col("phase") == F.col("t_phase")) & (F.col("s") == F.col("t_s")) & (F.pmod("j", F.col("w")) == F.col("turn")), "left")
+    position = {
+        "mix_source": F.col("s"), "mix_block": F.when(F.col("w").isNotNull(), F.col("block")), "mix_release": F.expr("slot + j * total div w"), "mix_deadline": F.expr("slot + ((j + 1) * total + w - 1) div w"),
+        "mix_slot": F.expr("slot + (j div w) * total + t"), "mix_position": F.expr(f"(slot + (j div w) * total + t) * {block} + at % {block}"),
+    }
+    return out.select(*[F.col(f"row.`{c}`").alias(c) for c in rest], *[c.alias(n) for n, c in position.items()])
 
 
 def in_mixed_order(df: DataFrame, weights: dict[str, float] | None = None, id_col: str = "doc_id", source_col: str = "source", block: int = BLOCK_DOCS) -> DataFrame:
-    """The rows of df, dealt into files in the order of the mix; columns as in df."""
-    mixed = mix_sources(df, weights, id_col, source_col, block)
-    return mixed.repartitionByRange("mix_position").sortWithinPartitions("mix_position").select(*[F.col(f"`{c}`") for c in df.columns])
+    """The rows of df, dealt into files in the order of the mix, with rows of weight 0 behind all others; columns as in df."""
+    whole = df.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{source_col}`").alias("source"), F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("whole"))
+    mixed = mix_sources(whole, weights, "id", "source", block)
+    order = F.asc_nulls_last("mix_position")
+    return mixed.repartitionByRange(order).sortWithinPartitions(order).select(*[F.col(f"whole.`{c}`").alias(c) for c in df.columns])

@@ -95,12 +95,14 @@ def test_bucket_counts_by_hand():
 
 # tokens, files, packing
 
-HARD = ["", " ", "a  b", " a b ", "\n a", "a \nb", "<|endoftext|> x", "it's 's", "　c d", "\x1c a", "a\n\n b", "ñandú çéà. größe,", "²³ a½ x_y %%% a,b", "日本語 テスト", "🙂 ok"]
+HARD = ["", " ", "a  b", " a b ", "\n a", "a \nb", "<|endoftext|> x", "a <|endoftext|> b", "a b<|endoftext|>c d", "<|endoftext", "it's 's", "　c d", "\x1c a", "a\n\n b", "ñandú çéà. größe,", "²³ a½ x_y %%% a,b", "日本語 テスト", "🙂 ok"]
 
 
 def test_ids_equal_the_library():
-    e = Encoder(default_tokenizer(), most=3)
-    want = [x.ids for x in e.model.encode_batch(HARD, add_special_tokens=False)]
+    from tokenizers import Tokenizer
+
+    e, plain = Encoder(default_tokenizer(), most=3), Tokenizer.from_file(default_tokenizer())
+    want = [x.ids for x in plain.encode_batch(HARD, add_special_tokens=False)]
     for _ in range(2):
         assert [x[:-1].tolist() for x in e.documents(HARD)] == want
     assert e.documents([None])[0].tolist() == [2]
@@ -121,6 +123,18 @@ def test_token_files(spark, odd, none):
     assert arrow_files.token_files_round_trip(none).count() == 0
 
 
+def test_repeated_ids_share_no_shard(spark):
+    rows = [(None if i % 3 else i, f"text number {i}", "a") for i in range(90)]
+    df = docs(spark, rows).repartition(4)
+    shards = arrow_files.write_token_files(df, fresh_path(spark, "test"), docs_per_shard=10)
+    assert max(r["n_docs"] for r in shards.collect()) < 30
+    got = sorted(arrow_files.read_token_files(shards).collect(), key=lambda r: r["start"])
+    ids = Counter((i, crc32(x)) for (i, _, _), x in zip(rows, encoder(default_tokenizer()).documents([t for _, t, _ in rows]), strict=True))
+    assert Counter((r["doc_id"], r["ids_crc32"]) for r in got) == ids
+    assert [r["doc_id"] for r in got] == sorted((r["doc_id"] for r in got), key=lambda i: (i is not None, i))
+    assert all(a["start"] + a["n_tokens"] == b["start"] for a, b in zip(got, got[1:], strict=False))
+
+
 def test_sequences_of_a_file(spark, odd):
     shard = arrow_files.write_token_files(odd, fresh_path(spark, "test"), length=8).first()
     with arrow_files.SequenceFile(shard["ids"]) as f:
@@ -163,6 +177,28 @@ def test_groups_exchange_what_does_not_fill(spark):
     assert sorted(r["doc_id"] for r in rows) == list(range(3000))
     low = packing.lower_bound(np.array(sizes), 100)
     assert low <= used <= 1.02 * low  # groups of 300 pieces lose about a sequence each to best fit on its own
+    proof = packing.certificate(spark.createDataFrame(rows), 100).first()
+    assert (proof["sequences"], proof["bound"], proof["gap"]) == (used, low, used - low)
+    assert all(1 <= r["group_bound"] <= r["group_sequences"] for r in rows)
+
+
+def test_equal_pieces_are_dealt_apart(spark):
+    pieces = spark.range(4000).select(F.lit(None).cast("long").alias("doc_id"), F.lit(0).alias("piece"), F.lit(0).cast("long").alias("start"), F.lit(40).cast("long").alias("length"), F.lit(0).cast("long").alias("ids_crc32"))
+    rows = packing.pack(pieces, capacity=100, group_pieces=500).collect()
+    assert len(rows) == 4000 and check_packing(rows, 100) == 2000 and max(r["group_sequences"] for r in rows) < 500
+
+
+def test_packing_a_gap_anew_is_never_worse():
+    rng = np.random.default_rng(1)
+    for _ in range(60):
+        sizes = rng.integers(20, 60, 40)
+        place, offset, used, bound = packing.certified_fit(sizes, 100)
+        plain = len(packing.best_fit(sizes, 100)[2])
+        assert bound <= len(used) <= plain and (np.bincount(place, sizes) == used).all() and used.max() <= 100
+        for b in range(len(used)):
+            inside = np.flatnonzero(place == b)
+            inside = inside[np.argsort(offset[inside])]
+            assert (offset[inside] == np.cumsum(sizes[inside]) - sizes[inside]).all()
 
 
 def test_lower_bounds():
@@ -261,6 +297,40 @@ def test_bands_reach_the_recall():
 # mixing
 
 
+def test_weights_are_exact():
+    assert mixing.exact_weights({"a": 0.3, "b": 0.1, "c": 0}) == {"a": 3, "b": 1, "c": 0}
+    assert mixing.exact_weights({"a": 1e-4, "b": 1}) == {"a": 1, "b": 10000}
+    with pytest.raises(ValueError):
+        mixing.exact_weights({"a": -1.0})
+
+
+def test_no_weight_no_turn_and_clashing_names(spark):
+    names = ["s", "id", "h", "row", "rank", "part", "_total", "mix_note", "mix_slot", "p_s"]
+    rows = [(i, "abz"[i % 3], *range(len(names))) for i in range(60)]
+    df = spark.createDataFrame(rows, ["doc_id", "source", *names])
+    got = mixing.mix_sources(df, {"a": 0.75, "b": 0.25, "z": 0}, block=2)
+    assert [c for c in got.columns if not c.startswith("mix_")] == ["doc_id", "source", *[n for n in names if not n.startswith("mix_")]] and "mix_note" in got.columns
+    got = got.collect()
+    assert len(got) == 60 and all((r["mix_slot"] is None) == (r["source"] == "z") and r["rank"] == 4 and r["mix_note"] == 7 for r in got)
+    assert mixing.in_mixed_order(df, {"a": 0.75, "b": 0.25, "z": 0}, block=2).columns == df.columns
+    with pytest.raises(ValueError):
+        mixing.mix_sources(df, {"a": 1.0000001, "b": 1.0, "z": 1.0})
+
+
+def test_no_drift_from_target_weights(spark):
+    sizes = {"a": 9000, "b": 300, "c": 20_000}
+    df = spark.createDataFrame([(i, s) for s, n in sizes.items() for i in range(n)], "doc_id long, source string")
+    weights = {"a": 0.317, "b": 0.011, "c": 0.672}
+    rows = mixing.mix_sources(df, weights, block=4).select("mix_slot", "mix_source").distinct().orderBy("mix_slot").collect()
+    left, seen = {s: -(-n // 4) for s, n in sizes.items()}, Counter()
+    for t, r in enumerate(rows, 1):
+        seen[r["mix_source"]] += 1
+        assert all(abs(seen[s] - w * t) < 1 for s, w in weights.items())
+        if any(seen[s] == n for s, n in left.items()):
+            break
+    assert t > 6000
+
+
 def test_pfair_periods():
     for weights in ({"a": 5, "b": 3, "c": 2}, {"a": 1}, {"a": 7, "b": 7, "c": 1, "d": 20}):
         order, total = mixing.period(weights), sum(weights.values())
