@@ -8,14 +8,14 @@ from pyspark.sql import functions as F
 from kinetic.llm.common import table, written
 from kinetic.llm.exact_dedup import exact_dedup, normalised
 from kinetic.llm.mixing import in_mixed_order
-from kinetic.llm.ngram_join import ngram_join
+from kinetic.llm.ngram_join import one_of_each
 from kinetic.llm.packing import pack_mixed
-from kinetic.llm.quality import quality_scores
+from kinetic.llm.quality import good_rows
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the neighbours' vote does not reject."""
-    return quality_scores(docs, table(spark, sf_dir, "labels"), keep=docs.columns).where("predicted = 1").select(*docs.columns)
+    return good_rows(docs, table(spark, sf_dir, "labels"))
 
 
 def _key() -> Column:
@@ -28,18 +28,17 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     Ids may be null or name several texts, so a decision belongs to an id and a digest. The rows kept of one digest have one id.
     """
-    keys = ["_k", "_null", "_digest"]
-    own = {"_k": _key(), "_null": F.col("doc_id").isNull()}
-    kept = exact_dedup(docs).where("kept").select(*[c.alias(n) for n, c in own.items()], F.unhex("text_sha256").alias("_digest")).distinct()
-    rows = docs.withColumns(own | {"_digest": F.unhex(F.sha2(normalised(F.col("text")), 256))})
-    first = F.row_number().over(Window.partitionBy(*keys).orderBy(F.char_length("text").desc_nulls_last(), "text"))  # a limit of one row goes before the shuffle
-    return rows.withColumn("_r", first).where("_r = 1").join(kept, keys, "left_semi").select(*docs.columns)
+    own = F.struct(_key().alias("k"), F.col("doc_id").isNull().alias("none"))
+    kept = exact_dedup(docs).where("kept").select(own.alias("own"), F.unhex("text_sha256").alias("digest")).distinct()
+    text = F.col("text")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), own.alias("own"), F.unhex(F.sha2(normalised(text), 256)).alias("digest"), F.char_length(text).alias("size"), F.xxhash64(text).alias("tie"))
+    first = F.row_number().over(Window.partitionBy("own", "digest").orderBy(F.col("size").desc_nulls_last(), "tie"))  # a limit of one row goes before the shuffle
+    return rows.withColumn("r", first).where("r = 1").join(kept, ["own", "digest"], "left_semi").select(*[F.col(f"row.`{c}`").alias(c) for c in docs.columns])
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the least id of each group that hangs together by n-gram links; documents without words stay."""
-    kept = ngram_join(docs).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(_key().alias("_k"))
-    return docs.withColumn("_k", _key()).join(kept, "_k", "left_semi").select(*docs.columns)
+    """Of each group that hangs together by n-gram links the document with the least id (null ids last); documents without words stay."""
+    return one_of_each(docs)
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

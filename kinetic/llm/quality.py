@@ -43,7 +43,7 @@ def shape(word: str) -> str:
     """Letters of a word as x (X with two capitals or more), digits as 0; other characters stay, at most three of a kind in a row."""
     for pattern, sign in _SHAPES:
         word = pattern.sub(lambda m, s=sign: s if m[0] not in ("X", "x") else m[0], word)
-    return re.sub(r"(.)\1{3,}", r"\1\1\1", word)[:12]
+    return re.sub(r"(.)\1{3,}", r"\1\1\1", word)
 
 
 class _Terms(dict):
@@ -130,16 +130,24 @@ def _sample(docs: DataFrame, labels: DataFrame, label_col: str, per_label: int)
     share = n.get(1, 0) / max(1, sum(n.values()))
     parts = [known.where(F.col("y") == y).orderBy(F.xxhash64("d"), "d").limit(per_label) for y in (0, 1)]
     # of a checked size: 2 * per_label ids
-    return docs.join(F.broadcast(parts[0].unionByName(parts[1])), docs["doc_id"] == F.col("d")).select("d", "t", "y"), share
+    rows = docs.join(F.broadcast(parts[0].unionByName(parts[1])), docs["doc_id"] == F.col("d"))
+    return rows.groupBy("d", "y").agg(F.min("t").alias("t")).select("d", "t", "y"), share  # of texts that share an id the least
+
+
+def good_rows(df: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", per_label: int = SAMPLE_PER_LABEL, cut: float = CUT) -> DataFrame:
+    """The rows of df, with its columns, whose score is ``cut`` or more."""
+    whole = df.select(F.col(f"`{id_col}`").alias("id"), F.col(f"`{text_col}`").alias("text"), F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("whole"))
+    scored = quality_scores(whole, labels, "id", "text", label_col, per_label, cut, keep=["whole"])
+    return scored.where("predicted = 1").select(*[F.col(f"whole.`{c}`").alias(c) for c in df.columns])
 
 
 def quality_scores(df: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", per_label: int = SAMPLE_PER_LABEL, cut: float = CUT, keep: list[str] | None = None) -> DataFrame:
-    """doc_id, held_out, score, predicted for every whole text (``keep`` adds input columns).
+    """doc_id, held_out, score, predicted for every whole text (``keep``: score, predicted and these input columns instead).
 
-    Learns from at most ``per_label`` rows of each label outside the held-out
-    fold; of rows that repeat an id, all count. Null texts are empty; null ids
-    are scored too. Without labels every score is 0.5. An empty table gives an
-    empty result.
+    Learns from at most ``per_label`` labelled ids of each label outside the
+    held-out fold; of texts that share such an id the least counts. Null texts
+    are empty; null ids are scored too. Without labels every score is 0.5. An
+    empty table gives an empty result.
     """
     keep = keep or []
     docs = df.select(F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("t"))

@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import math
 import re
+import time
 import zlib
 from collections import Counter
 
@@ -378,11 +379,19 @@ def test_urls_by_hand(spark):
     assert judge_urls(df.limit(0), queries.URL_RULES).count() == 0 and judge_urls(df, []).where("verdict = 'allow'").count() == len(urls)
 
 
+def test_long_urls_take_time_in_proportion():
+    machine = ShiftAnd([Rule("com", "/a*z", "block"), *[Rule(f"h{i}.net", "/", "block") for i in range(40)]])
+    start = time.process_time()
+    got = machine.run([("com", "/en/")] * 3000 + [("com", "/a" + "y" * 1_000_000 + "z"), ("h7.net", "/" + "é" * 300_000)])
+    assert not got[:3000].any() and np.flatnonzero(got[3000]).tolist() == [0] and np.flatnonzero(got[3001]).tolist() == [8]
+    assert time.process_time() - start < 8
+
+
 def test_globs_equal_regex():
     rules = [Rule("ex*.com", "/a?c", "block"), Rule("b.org", "/*z", "block"), Rule("*", "/q", "block")] + [Rule(f"h{i}.net", f"/p{i}", "block") for i in range(30)]
-    hosts, paths = ["ex.com", "www.exam.com", "b.org", "ab.org", "h7.net", "q"], ["/abc", "/ac", "/aacz", "/q", "/p7x", "", "/zz"]
+    hosts, paths = ["ex.com", "www.exam.com", "b.org", "ab.org", "h7.net", "q"], ["/abc", "/ac", "/aéc", "/a🙂c", "/aacz", "/q", "/p7x", "", "/zz"]
     cases = [(h, p) for h in hosts for p in paths]
-    got = ShiftAnd(rules).run([[*b".", *h.encode(), 256, *p.encode()] for h, p in cases])
+    got = ShiftAnd(rules).run(cases)
 
     def pattern(glob):
         return "".join(".*" if c == "*" else "." if c == "?" else re.escape(c) for c in glob)
@@ -520,9 +529,15 @@ def test_pipeline_stages(spark, sf):
 def test_pipeline_odd(spark, odd, none):
     import corpus_pipeline as cp
 
-    for frame in (odd, none):
-        for _, stage in cp.STAGES[1:]:
-            assert stage(spark, frame, "").count() >= 0
+    left = {"exact_dedup": 5, "near_duplicates": 6, "mixing": 8, "packing": None}
+    for name, stage in cp.STAGES[1:]:
+        got = stage(spark, odd, "").collect()
+        if name == "packing":
+            check_packing(got, 1024)
+            assert {r["doc_id"] for r in got} == {i for i, _, _ in ODD}
+        else:
+            assert len(got) == left[name] and list(got[0].asDict()) == odd.columns
+        assert stage(spark, none, "").count() == 0
 
 
 def test_exact_stage_keeps_null_ids_and_repeated_ids(spark):
@@ -544,3 +559,99 @@ def test_packed_sequences_follow_the_mix(spark):
     # root weights: 30 to 90 until position 3,600
     for head in (1000, 2000, 3000):
         assert abs(sum(r["doc_id"] % 10 == 0 for r in rows[:head]) / head - 0.25) < 0.05
+
+
+# rows that a single key would lose or gather
+
+
+def test_join_tells_texts_of_one_id_apart(spark):
+    a, b = (" ".join(f"{x}{i}" for i in range(60)) for x in "ab")
+    rows = [(1, a), (1, b), (2, a + " more"), (3, b + " more"), (None, a + " other"), (None, "alone " + "in a text of its own"), (3, b + " more"), (None, None)]
+    got = Counter((r["doc_id"], r["class_id"], r["n_links"]) for r in ngram_join.ngram_join(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == Counter([(1, 1, 2), (1, 1, 2), (2, 1, 2), (3, 1, 2), (3, 1, 2), (None, 1, 2), (None, None, 0), (None, None, 0)])
+
+
+def test_one_of_each_class_stays(spark):
+    a, b = (" ".join(f"{x}{i}" for i in range(60)) for x in "ab")
+    rows = [(1, a, "x"), (1, b, "x"), (2, a + " more", "x"), (3, b + " more", "x"), (None, a + " other", "x"), (None, "alone in a text of its own", "x"), (3, b + " more", "x"), (None, None, "x"), (None, "", "x"), (7, " ", "x"), (8, "c d e f g", "x"), (8, "c d e f g", "x")]
+    got = Counter((r["doc_id"], r["text"]) for r in ngram_join.one_of_each(docs(spark, rows)).collect())
+    assert got == Counter([(1, a), (1, b), (None, "alone in a text of its own"), (None, None), (None, ""), (7, " "), (8, "c d e f g")])
+
+
+def test_recall_of_the_bands():
+    rng = np.random.default_rng(3)
+    a, b = ngram_join._permutations(24 * 5)
+    met = 0
+    for _ in range(300):
+        whole = rng.integers(0, 2**63, 110, np.int64).astype(np.uint64)
+        x, y = np.unique(whole[:100]), np.unique(whole[10:])  # 90 of 110 in common: 0.82
+        s, t = (ngram_join.signatures(g, a, b).reshape(24, 5) for g in (x, y))
+        met += (s == t).all(1).any()
+    assert met >= 0.99 * 300
+
+
+def test_components_of_a_chain_and_a_star(spark):
+    edges = [(i, i + 1) for i in range(200)] + [(1000, 1000 + i) for i in range(1, 300)]
+    got = {r["v"]: r["c"] for r in ngram_join.components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert got == {**{i: 0 for i in range(201)}, **{1000 + i: 1000 for i in range(300)}}
+
+
+def test_quality_stage_with_clashing_names(spark):
+    import corpus_pipeline as cp
+
+    df, labels = labelled(spark, 200)
+    path = fresh_path(spark, "labels")
+    labels.write.parquet(f"{path}/labels.parquet")
+    df = df.withColumns({"predicted": F.lit("p"), "held_out": F.lit("h"), "whole": F.lit(1), "_doc": F.lit(2)})
+    got = cp.quality(spark, df, path)
+    assert got.columns == df.columns
+    left = {r["doc_id"] for r in got.where("predicted = 'p' AND score = 0.5").collect()}
+    want = {r["doc_id"] for r in quality.quality_scores(df, labels).where("predicted = 1").collect()}
+    assert left == want and 0 < len(left) < 200
+    assert cp.quality(spark, docs(spark, ODD), path).count() <= len(ODD) and cp.quality(spark, df.limit(0), path).count() == 0
+
+
+def test_fingerprints_of_a_repeated_id_are_many_ranges(spark):
+    rows = [(None if i % 3 else i, f"text number {i}", "a") for i in range(300)]
+    df = docs(spark, rows)
+    bounds = fingerprint._range_bounds(df.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("k"), F.xxhash64("text").alias("h")), 10)
+    assert len(bounds) > 20 and bounds == sorted(set(bounds))
+    got = fingerprint.neighbour_fingerprints(df, rows_per_range=10).collect()
+    assert Counter(r["doc_id"] for r in got) == Counter(i for i, _, _ in rows)
+    order = [t for _, t, _ in sorted(((i, t, 0) for i, t, _ in rows if i is not None), reverse=True)]
+    want = {hashlib.sha256(fingerprint.edited(a, b).encode()).hexdigest() for a, b in zip(order, order[1:], strict=False)}
+    assert want <= {r["edited_sha256"] for r in got}
+
+
+def slow_digest(text: bytes) -> str:
+    """The digest by counting, a triplet at a time."""
+    counts = [0] * 256
+    for k in range(len(text)):
+        for (i, j), m in zip(((1, 2), (1, 3), (2, 3)), (0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D), strict=True):
+            if k + j < len(text):
+                h = text[k] | text[k + i] << 8 | text[k + j] << 16
+                h = (h * m & 0xFFFFFFFF) ^ (h >> 7)
+                counts[(h * 0x9E3779B1 & 0xFFFFFFFF) >> 24] += 1
+    ranked = sorted(counts)
+    q = ranked[63], ranked[127], ranked[191]
+    codes = [sum(c > x for x in q) for c in counts]
+    size, top = min(255, round(math.log(len(text) + 1) / math.log(1.25))), max(q[2], 1)
+    body = bytes(codes[i] << 6 | codes[i + 1] << 4 | codes[i + 2] << 2 | codes[i + 3] for i in range(0, 256, 4))
+    return (bytes([size, q[0] * 15 // top << 4 | q[1] * 15 // top]) + body).hex()
+
+
+def test_digests_equal_counting_by_hand():
+    texts = [b"", b"ab", b"abc", "naïve café".encode(), bytes(range(256)) * 3, b"x" * 5000]
+    assert fingerprint.digests(texts) == [slow_digest(t) for t in texts]
+
+
+def test_votes_equal_brute_force():
+    rng = np.random.default_rng(6)
+    counts, labels = rng.random((40, quality.TERMS)).astype(np.float32), (rng.random(40) < 0.4).astype(np.int64)
+    model = quality.fit(counts, labels, 0.4, 8)
+    asked = rng.random((7, quality.TERMS)).astype(np.float32)
+    for x, got in zip(asked, model.score(asked), strict=True):
+        v = x @ model.axes
+        near = sorted(((float(v @ w) / float(np.linalg.norm(v)), y, g) for w, y, g in zip(model.vectors, labels, model.weights, strict=True)), reverse=True)[: quality.NEIGHBOURS]
+        votes = [(max(s, 0) ** quality.SHARPNESS * g, y) for s, y, g in near]
+        assert got == pytest.approx(sum(a * y for a, y in votes) / sum(a for a, _ in votes), rel=1e-3)
