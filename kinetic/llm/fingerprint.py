@@ -13,7 +13,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from kinetic.llm.common import text_or_empty
@@ -123,34 +123,51 @@ def edited(text: str, following: str) -> str:
 _OUT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
 
-def neighbour_fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", rows_per_range: int = 20_000) -> DataFrame:
+#: Rows of a range, about, and ranges at most: their bounds are two numbers each, held by the driver and by every task.
+RANGE_ROWS, MOST_RANGES = 8_000, 16_384
+#: Rows that are drawn for each range, to set the bounds by.
+DRAWN = 24
+
+
+def _range_bounds(rows: DataFrame, rows_per_range: int) -> list[tuple[int, int]]:
+    """Greatest (k, h) of each range but the last, and of all; from a bounded draw and one pass. Empty for an empty table."""
+    n = rows.count()
+    if not n:
+        return []
+    ranges = min(MOST_RANGES, -(-n // rows_per_range))
+    share = min(1.0, DRAWN * ranges / n)
+    drawn = rows.select(F.struct("k", "h").alias("key"), (F.rand(11) < share).alias("hit"))
+    got = drawn.agg(F.max("key").alias("top"), F.collect_list(F.when(F.col("hit"), F.col("key"))).alias("drawn")).first()  # DRAWN * MOST_RANGES pairs, about
+    drawn, top = sorted(tuple(r) for r in got["drawn"]), tuple(got["top"])
+    cuts = {drawn[i * len(drawn) // ranges] for i in range(1, ranges)} if drawn else set()
+    return [*sorted(c for c in cuts if c < top), top]
+
+
+def neighbour_fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", rows_per_range: int = RANGE_ROWS) -> DataFrame:
     """Digests of every whole text and of its edited text, with their likeness to each other and to the next document's.
 
     Documents follow each other by descending id, and after the last comes the
-    first. Equal ids follow each other by text; null ids come last. A table of
-    one row has itself as next; an empty table gives no rows. Rows are dealt by
-    id range, each range gets a copy of the first document of the next one, and
-    each range is then read once in order: one shuffle of the texts.
+    first. Equal ids follow each other by a hash of their text; null ids come
+    last. A table of one row has itself as next; an empty table gives no rows.
+    Rows are dealt by ranges of id and hash, so that a repeated id is no single
+    range; each range gets a copy of the first document of the next one and is
+    read once in order: one shuffle of the texts. Rows that are equal in id and
+    text share a range.
     """
     from kinetic.llm.common import rows_of
 
     low = -(2**63)
-    rows = df.select(F.coalesce(F.col(id_col).cast("long"), F.lit(low)).alias("k"), F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("t"))
-    ids = rows.select("k")
-    n = ids.count()
-    if n == 0:
+    rows = df.select(F.coalesce(F.col(id_col).cast("long"), F.lit(low)).alias("k"), F.col(id_col).cast("long").alias("doc_id"), text_or_empty(text_col).alias("t")).withColumn("h", F.xxhash64("t"))
+    bounds = _range_bounds(rows.select("k", "h"), rows_per_range)
+    if not bounds:
         return df.sparkSession.createDataFrame([], _OUT)
-    parts = max(1, min(n, -(-n // rows_per_range)))
-    bounds = sorted(set(ids.approxQuantile("k", [i / parts for i in range(1, parts)], 0.25 / parts))) if parts > 1 else []
-    # range r holds bounds[r-1] < k <= bounds[r]; ranges are read from the last to the first
-    ranged = rows.withColumn("r", _range_of(F.col("k"), [int(b) for b in bounds]) if bounds else F.lit(0))
-    tops = {r["r"]: r["top"] for r in ranged.groupBy("r").agg(F.max("k").alias("top")).collect()}  # a row for each range
-    order = sorted(tops, reverse=True)
-    before = {r: order[i - 1] for i, r in enumerate(order)}  # the range that is read before; the first follows the last
-    to = F.create_map(*[x for r in order for x in (F.lit(r), F.struct(F.lit(tops[r]).alias("top"), F.lit(before[r]).alias("into")))])[F.col("r")]
-    dealt = ranged.withColumn("to", to)
-    dealt = dealt.select("k", "doc_id", "t", F.explode(F.when(F.col("k") == F.col("to.top"), F.array(F.struct(F.col("r"), F.lit(0).alias("guest")), F.struct(F.col("to.into").alias("r"), F.lit(1).alias("guest")))).otherwise(F.array(F.struct(F.col("r"), F.lit(0).alias("guest"))))).alias("x"))
-    dealt = dealt.select(F.col("x.r").alias("r"), F.col("x.guest").alias("guest"), "k", "doc_id", "t").repartition(max(len(order), 1), "r").sortWithinPartitions("r", "guest", F.desc("k"), "t")
+    # range r holds what lies above bounds[r - 1], up to bounds[r]; ranges are read from the last to the first
+    ranged = rows.withColumn("r", _range_of(F.col("k"), F.col("h"), bounds)).withColumn("top", F.struct(_nth([k for k, _ in bounds], F.col("r")).alias("k"), _nth([h for _, h in bounds], F.col("r")).alias("h")))
+    own = F.struct(F.col("r"), F.lit(0).alias("guest"))
+    guest = F.struct(F.when(F.col("r") + 1 < len(bounds), F.col("r") + 1).otherwise(0).alias("r"), F.lit(1).alias("guest"))  # the last range is read first, and follows the first one's last row
+    dealt = ranged.select("k", "h", "doc_id", "t", F.explode(F.when(F.struct("k", "h") == F.col("top"), F.array(own, guest)).otherwise(F.array(own))).alias("x"))
+    order = ["r", "guest", F.desc("k"), F.desc("h"), "t"]
+    dealt = dealt.select(F.col("x.r").alias("r"), F.col("x.guest").alias("guest"), "k", "h", "doc_id", "t").repartitionById(len(bounds), F.col("r")).sortWithinPartitions(*order).select("r", "guest", "doc_id", "t")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []  # rows that await the row behind them: r, guest, doc_id, text
@@ -183,9 +200,19 @@ def neighbour_fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str
     return dealt.mapInArrow(run, _OUT)
 
 
-def _range_of(k, bounds: list[int]):
-    """How many bounds lie below k, by halving: a nested expression of logarithmic depth."""
-    if not bounds:
-        return F.lit(0)
-    mid = len(bounds) // 2
-    return F.when(k <= F.lit(bounds[mid]), _range_of(k, bounds[:mid])).otherwise(F.lit(mid + 1) + _range_of(k, bounds[mid + 1 :]))
+def _nth(values: list[int], at: Column) -> Column:
+    return F.element_at(F.array(*map(F.lit, values)), at + 1)
+
+
+def _range_of(k: Column, h: Column, bounds: list[tuple[int, int]]) -> Column:
+    """How many bounds lie below (k, h), by halving an array of them."""
+    ks, hs = (F.array(*[F.lit(b[i]) for b in bounds]) for i in (0, 1))
+
+    def step(a: Column, _: Column) -> Column:
+        mid = F.floor((a["lo"] + a["hi"]) / 2).cast("int")
+        below = (F.element_at(ks, mid + 1) < k) | ((F.element_at(ks, mid + 1) == k) & (F.element_at(hs, mid + 1) < h))
+        done = a["lo"] >= a["hi"]
+        return F.struct(F.when(~done & below, mid + 1).otherwise(a["lo"]).alias("lo"), F.when(~done & ~below, mid).otherwise(a["hi"]).alias("hi"))
+
+    start = F.struct(F.lit(0).alias("lo"), F.lit(len(bounds) - 1).alias("hi"))
+    return F.aggregate(F.sequence(F.lit(1), F.lit(len(bounds).bit_length())), start, step, lambda a: a["lo"])
