@@ -15,10 +15,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Ends the host inside the canonical form; no byte of a URL has this code.
-BORDER = 256
-END = 257
-SYMBOLS = 258
+#: Symbols: any character that no rule has, the border between host and path, and the end; the rules' own characters follow.
+OTHER, BORDER, END, OWN = 0, 1, 2, 3
+#: Characters of the URLs that advance together, about, with what pads them.
+CELLS = 2_000_000
+#: Fewer URLs than this are taken one by one.
+FEW = 8
 ONE = np.uint64(1)
 
 
@@ -44,17 +46,22 @@ class ShiftAnd:
     """
 
     def __init__(self, rules: list[Rule]):
+        own = sorted({"."} | {c for r in rules for c in r.host + r.path})
+        symbol = {c: OWN + i for i, c in enumerate(own)}
+        self.chars, self.dot = np.array([ord(c) for c in own], np.uint32), symbol["."]
+        symbols_ = OWN + len(own)
+        anything = [s for s in range(symbols_) if s not in (BORDER, END)]
         places: list[tuple[set[int] | None, bool, bool]] = []  # symbols, star before it, in the host
         self.first, self.last = [], []
         for r in rules:
             self.first.append(len(places))
             star = True  # a dot precedes the canonical host, so that a suffix glob meets the host and its subdomains
             for host, part in ((True, "." + r.host), (False, r.path)):
-                for b in part.encode():
-                    if b == ord("*"):
+                for c in part:
+                    if c == "*":
                         star = True
                         continue
-                    places.append((None if b == ord("?") else {b}, star, host))
+                    places.append((None if c == "?" else {symbol[c]}, star, host))
                     star = False
                 if host:
                     places.append(({BORDER}, star, True))
@@ -62,32 +69,58 @@ class ShiftAnd:
             self.last.append(len(places))
             places.append((set(), True, False))  # accepting: whatever follows in the path
         self.words = max(1, -(-len(places) // 64))
-        self.step = np.zeros((SYMBOLS, self.words), np.uint64)
-        self.stay = np.zeros((SYMBOLS, self.words), np.uint64)
+        self.step = np.zeros((symbols_, self.words), np.uint64)
+        self.stay = np.zeros((symbols_, self.words), np.uint64)
         self.start = np.zeros(self.words, np.uint64)
         for i in self.first:
             self.start[i // 64] |= ONE << np.uint64(i % 64)
         for i, (symbols, star, host) in enumerate(places):
             bit = ONE << np.uint64(i % 64)
-            field = [s for s in range(256)]
-            for s in field if symbols is None else symbols:
+            for s in anything if symbols is None else symbols:
                 self.step[s, i // 64] |= bit
             if star:
-                for s in field + ([] if host else [BORDER]):
+                for s in anything + ([] if host else [BORDER]):
                     self.stay[s, i // 64] |= bit
         for i in self.last:  # accepted paths stay so to the end and beyond it
             self.stay[END, i // 64] |= ONE << np.uint64(i % 64)
 
-    def run(self, urls: list[list[int]]) -> np.ndarray:
-        """Boolean matrix urls x rules. Bit i set: everything before place i has been met."""
+    def encoded(self, host: str, path: str) -> np.ndarray:
+        """Symbols of a URL: a dot, the host, the border, the path; one for each character."""
+        code = np.frombuffer((host + path).encode("utf-32-le", "surrogatepass"), "<u4")
+        at = np.minimum(np.searchsorted(self.chars, code), len(self.chars) - 1)
+        symbols = np.where(self.chars[at] == code, at + OWN, OTHER)
+        return np.concatenate([[self.dot], symbols[: len(host)], [BORDER], symbols[len(host) :]]).astype(np.int16)
+
+    def run(self, urls: list[tuple[str, str]]) -> np.ndarray:
+        """Boolean matrix of (host, path) x rules. URLs of like length advance together, CELLS characters at a time."""
+        fits = np.zeros((len(urls), len(self.last)), bool)
+        lengths = np.array([len(h) + len(p) + 2 for h, p in urls], np.int64)
+        order = np.argsort(-lengths, kind="stable")
+        start = 0
+        while start < len(order):
+            part = order[start : start + max(1, CELLS // int(lengths[order[start]]))]
+            symbols = [self.encoded(*urls[u]) for u in part]
+            fits[part] = self._advance(symbols) if len(part) >= FEW else np.array([self._alone(s) for s in symbols])
+            start += len(part)
+        return fits
+
+    def _alone(self, url: np.ndarray) -> list[bool]:
+        """The same for one URL, with its state as one long integer."""
+        step, stay = ([int.from_bytes(row.astype("<u8").tobytes(), "little") for row in table] for table in (self.step, self.stay))
+        state = int.from_bytes(self.start.astype("<u8").tobytes(), "little")
+        for c in url.tolist():
+            state = (state & step[c]) << 1 | state & stay[c]
+        return [bool(state >> i & 1) for i in self.last]
+
+    def _advance(self, urls: list[np.ndarray]) -> np.ndarray:
+        """For URLs from the longest to the shortest. Bit i of a state: everything before place i has been met."""
         n = len(urls)
         lengths = np.fromiter(map(len, urls), np.int64, n)
         state = np.tile(self.start, (n, 1))
-        order = np.argsort(-lengths, kind="stable")
-        flat = np.full((n, int(lengths.max(initial=0))), END, np.int16)
-        for row, u in enumerate(order):
-            flat[row, : lengths[u]] = urls[u]
-        live = np.searchsorted(-lengths[order], -np.arange(flat.shape[1]), side="left")
+        flat = np.full((n, int(lengths[0])), END, np.int16)
+        for row, u in enumerate(urls):
+            flat[row, : len(u)] = u
+        live = np.searchsorted(-lengths, -np.arange(flat.shape[1]), side="left")
         for at in range(flat.shape[1]):
             m = live[at]
             c, d = flat[:m, at], state[:m]
@@ -97,7 +130,7 @@ class ShiftAnd:
             state[:m] = moved | (d & self.stay[c])
         fits = np.zeros((n, len(self.last)), bool)
         for k, i in enumerate(self.last):
-            fits[order, k] = (state[:, i // 64] >> np.uint64(i % 64)) & ONE == ONE
+            fits[:, k] = (state[:, i // 64] >> np.uint64(i % 64)) & ONE == ONE
         return fits
 
 
@@ -140,7 +173,7 @@ def judge_urls(df: DataFrame, rules: list[Rule], url_col: str = "url", keep: lis
             if not b.num_rows:
                 continue
             hosts, paths = (b.column(n).to_pylist() for n in ("host", "path"))
-            fits = machine.run([[*b".", *h.encode(), BORDER, *p.encode()] for h, p in zip(hosts, paths, strict=True)])
+            fits = machine.run(list(zip(hosts, paths, strict=True)))
             won = np.where(fits.any(1), fits.argmax(1), len(ranked)) if ranked else np.zeros(b.num_rows, np.int64)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(names[won].tolist(), pa.string()), pa.array(says[won].tolist(), pa.string())], names=[*b.schema.names, "rule", "verdict"])
 
