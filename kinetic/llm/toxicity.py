@@ -6,8 +6,9 @@ documents have counts of their own for long histories; both fall back on
 continuation counts of short histories that they share. What toxic counts leave
 over behind a history goes to the ordinary probability there, so that a history
 speaks as far as toxic documents have counted it: not at all where none has it,
-a little behind a rare one. A document's score comes from the difference of its
-log-likelihoods divided by its length.
+a little behind a rare one. A document's score comes from the difference of the
+log-likelihoods of all its words divided by their number, with what single
+words tell beyond a threshold beside it.
 """
 
 from __future__ import annotations
@@ -33,9 +34,11 @@ CALIBRATION_ROWS = 2048
 CALIBRATION_FOLD = 4
 #: Labels up to so many rows are broadcast to the documents; more meet them in a shuffle.
 BROADCAST_LABELS = 2_000_000
-#: Models up to so many grams are broadcast to the documents; words meet the grams of larger ones in a join. Scores are the same.
+#: Models up to so many grams, of 16 bytes each, are broadcast to the documents; words meet the grams of larger ones in a join. Scores are the same.
 BROADCAST_GRAMS = 2**22
 CUT = 0.5
+#: Spark's seed of xxhash64 (fixed value).
+SEED = 42
 _EDGES = ".,;:!?\"'()[]*#$%&|-_"
 _OPEN, _CLOSE = "\x02", "\x03"
 
@@ -124,10 +127,9 @@ def log_ratios(rows: DataFrame) -> DataFrame:
 
 
 class Ratios:
-    """Log ratios of words, from a table of grams' hashes."""
+    """Log ratios of words, from a table of grams' hashes (XXH64 with Spark's seed)."""
 
-    def __init__(self, grams: list[str], ratio: np.ndarray):
-        keys = self._hashes(grams)
+    def __init__(self, keys: np.ndarray, ratio: np.ndarray):
         order = np.argsort(keys)
         self.keys, self.ratio = keys[order], ratio[order].astype(np.float64)
 
@@ -135,7 +137,7 @@ class Ratios:
     def _hashes(grams: list[str]) -> np.ndarray:
         import xxhash
 
-        return np.fromiter(map(xxhash.xxh64_intdigest, grams), np.uint64, len(grams))
+        return np.fromiter((xxhash.xxh64_intdigest(g, SEED) for g in grams), np.uint64, len(grams))
 
     def of(self, words: list[str]) -> np.ndarray:
         parts = [grams_of(plain(w)) for w in words]
@@ -147,8 +149,8 @@ class Ratios:
         return np.add.reduceat(np.where(self.keys[at] == keys, self.ratio[at], 0.0), np.cumsum(sizes) - sizes)
 
     def documents(self, texts: list[str], kept: dict[str, float], most: int = 300_000) -> list[tuple[float, float, int]]:
-        """Sum of the words' log ratios, sum of what goes beyond EVIDENCE, and distinct words of each text."""
-        cut = [set(t.split()) for t in texts]
+        """Over all words of each text: sum of their log ratios, sum of what goes beyond EVIDENCE, and their number."""
+        cut = [t.split() for t in texts]
         new = [w for w in set().union(*cut) if w not in kept]
         if len(kept) + len(new) > most:
             kept.clear()
@@ -169,22 +171,26 @@ def _joined_differences(rows: DataFrame, ratios: DataFrame) -> DataFrame:
 
     fields = [f for f in rows.schema.fields if f.name != "text"]
     names = [F.col(f"`{f.name}`") for f in fields]
-    schema = StructType([*fields, StructField("_row", LongType()), StructField("_w", ArrayType(StringType()))])
+    word = StructType([StructField("w", StringType()), StructField("n", LongType())])
+    schema = StructType([*fields, StructField("_row", LongType()), StructField("_w", ArrayType(word))])
 
     def listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 500):
                 part = b.slice(at, 500)
-                words = pa.array([[plain(w) for w in set(t.split())] for t in part.column("text").to_pylist()], pa.list_(pa.string()))
-                yield pa.RecordBatch.from_arrays([*[part.column(f.name) for f in fields], part.column("_row"), words], names=schema.names)
+                counts = [Counter(map(plain, t.split())) for t in part.column("text").to_pylist()]
+                ends = pa.array(np.cumsum([0, *map(len, counts)]), pa.int32())
+                pairs = pa.StructArray.from_arrays([pa.array([w for c in counts for w in c], pa.string()), pa.array([n for c in counts for n in c.values()], pa.int64())], names=["w", "n"])
+                yield pa.RecordBatch.from_arrays([*[part.column(f.name) for f in fields], part.column("_row"), pa.ListArray.from_arrays(ends, pairs)], names=schema.names)
 
     lists = written(rows.select(*names, F.monotonically_increasing_id().alias("_row"), "text").mapInArrow(listed, schema), "words")
-    pairs = lists.select("_row", F.explode("_w").alias("w"))
+    pairs = lists.select("_row", F.inline("_w"))
     grams = pairs.select("w").distinct().select("w", F.explode(_cuts("w")).alias("gram"))
     values = grams.join(ratios, "gram").groupBy("w").agg(F.sum(F.col("ratio").cast("double")).alias("v"))
-    sums = pairs.join(values, "w").groupBy("_row").agg(F.sum("v").alias("total"), F.sum(F.greatest(F.col("v") - EVIDENCE, F.lit(0.0))).alias("evidence"))
-    none = F.lit(0.0)
-    return lists.join(sums, "_row", "left").select(*names, F.coalesce("total", none).alias("total"), F.coalesce("evidence", none).alias("evidence"), F.size("_w").cast("long").alias("words"))
+    beyond = F.greatest(F.col("v") - EVIDENCE, F.lit(0.0))
+    sums = pairs.join(values, "w").groupBy("_row").agg(F.sum(F.col("v") * F.col("n")).alias("total"), F.sum(beyond * F.col("n")).alias("evidence"))
+    none, words = F.lit(0.0), F.aggregate("_w", F.lit(0).cast("long"), lambda a, x: a + x["n"])
+    return lists.join(sums, "_row", "left").select(*names, F.coalesce("total", none).alias("total"), F.coalesce("evidence", none).alias("evidence"), words.alias("words"))
 
 
 def _differences(rows: DataFrame, ratios: DataFrame) -> DataFrame:
@@ -196,8 +202,8 @@ def _differences(rows: DataFrame, ratios: DataFrame) -> DataFrame:
     from pyspark.sql.types import DoubleType, LongType, StructField, StructType
 
     schema = StructType([*fields, StructField("total", DoubleType()), StructField("evidence", DoubleType()), StructField("words", LongType())])
-    table = ratios.toArrow()  # BROADCAST_GRAMS rows at most
-    model = spark.sparkContext.broadcast(Ratios(table.column("gram").to_pylist(), table.column("ratio").to_numpy()))
+    table = ratios.select(F.xxhash64("gram").alias("key"), "ratio").toArrow()  # BROADCAST_GRAMS rows at most
+    model = spark.sparkContext.broadcast(Ratios(table.column("key").to_numpy().view(np.uint64), table.column("ratio").to_numpy()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kept: dict[str, float] = {}
