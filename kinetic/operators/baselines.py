@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -49,13 +50,38 @@ def refine_seeds(mo: DataFrame, seeds: list[tuple[float, float]], rounds: int) -
     return seeds
 
 
-def seed_parts(mo: DataFrame, k: int = 5, refine: int = 0) -> DataFrame:
-    """+part, quadrant 0: each object to the nearest of k seeds; ``refine`` rounds move the seeds first."""
+def seed_router(mo: DataFrame, k: int = 5, refine: int = 0, how: str = "nearest") -> Callable[[DataFrame], DataFrame]:
+    """A rule fitted to mo: +part, quadrant 0 of any objects.
+
+    ``refine`` rounds move the seeds first. ``how``: nearest seed, or the part
+    whose box of velocities (of its nearest members) grows least, the nearest of
+    equal ones.
+    """
     seeds = spread_seeds(mo, k)
     if not seeds:
-        return valid(mo).withColumn("part", F.lit(1)).withColumn("quadrant", F.lit(0))
+        return lambda rows: valid(rows).withColumn("part", F.lit(1)).withColumn("quadrant", F.lit(0))
     seeds = refine_seeds(mo, seeds, refine)
-    return valid(mo).withColumn("part", _nearest([_seed_distance(s) for s in seeds])).withColumn("quadrant", F.lit(0))
+    near = [_seed_distance(s) for s in seeds]
+    rule = _nearest(near)
+    if how == "enlargement":
+        # boxes of the inner half of each seed's members: where objects in between go is what the rule decides
+        rows = valid(mo).withColumn("part", rule).withColumn("d", F.least(*near) if len(near) > 1 else near[0])
+        half = rows.groupBy("part").agg(F.percentile_approx("d", 0.5, 1000).alias("cut"))
+        inner = rows.join(F.broadcast(half), "part").where("d <= cut").groupBy("part").agg(F.min("vx").alias("x0"), F.max("vx").alias("x1"), F.min("vy").alias("y0"), F.max("vy").alias("y1"))
+        boxes = {r["part"]: (r["x0"], r["x1"], r["y0"], r["y1"]) for r in inner.collect()}  # k rows
+        growth = []
+        for i, (x, y) in enumerate(seeds, 1):
+            x0, x1, y0, y1 = boxes.get(i, (x, x, y, y))
+            wide = F.greatest(F.lit(x1), F.col("vx")) - F.least(F.lit(x0), F.col("vx"))
+            high = F.greatest(F.lit(y1), F.col("vy")) - F.least(F.lit(y0), F.col("vy"))
+            growth.append(F.struct((wide * high - F.lit((x1 - x0) * (y1 - y0))).alias("g"), near[i - 1].alias("d"), F.lit(i).alias("part")))
+        rule = F.least(*growth)["part"] if len(growth) > 1 else F.lit(1)
+    return lambda rows: valid(rows).withColumn("part", rule).withColumn("quadrant", F.lit(0))
+
+
+def seed_parts(mo: DataFrame, k: int = 5, refine: int = 0, how: str = "nearest") -> DataFrame:
+    """+part, quadrant 0: mo under the rule that is fitted to it."""
+    return seed_router(mo, k, refine, how)(mo)
 
 
 def _axis_distance(axis: tuple[float, float]) -> Column:
@@ -89,27 +115,36 @@ def dominant_axes(mo: DataFrame, axes: int = 2, rounds: int = 10) -> list[tuple[
     return start
 
 
-def axis_parts(mo: DataFrame, axes: int = 2, outliers: bool = True, rounds: int = 10, share: float = 0.9, rotate: bool = False) -> DataFrame:
-    """+part, quadrant 0: each object to its nearest axis; those farther than nine tenths are from theirs form the last part.
+def axis_router(mo: DataFrame, axes: int = 2, outliers: bool = True, rounds: int = 10, share: float = 0.9, rotate: bool = False) -> Callable[[DataFrame], DataFrame]:
+    """A rule fitted to mo: +part, quadrant 0 of any objects. Each goes to its nearest axis; those farther than nine tenths are from theirs form the last part.
 
     The distance that parts them comes from counts by tenths of a unit.
     ``rotate`` adds rx, ry, rvx, rvy: place and velocity along the part's axis.
     """
     fitted = dominant_axes(mo, axes, rounds)
     near = [_axis_distance(a) for a in fitted]
-    rows = valid(mo).withColumn("part", _nearest(near)).withColumn("_d", F.least(*near) if len(near) > 1 else near[0])
+    rule, least = _nearest(near), F.least(*near) if len(near) > 1 else near[0]
     if outliers:
-        hist = [(r["b"], r["n"]) for r in rows.groupBy(F.floor(F.col("_d") * 10).cast("long").alias("b")).agg(F.count(F.lit(1)).alias("n")).orderBy("b").collect()]  # as many rows as the top speed has tenths
+        hist = [(r["b"], r["n"]) for r in valid(mo).groupBy(F.floor(least * 10).cast("long").alias("b")).agg(F.count(F.lit(1)).alias("n")).orderBy("b").collect()]  # as many rows as the top speed has tenths
         total, seen, cut = sum(n for _, n in hist), 0, math.inf
         for b, n in hist:
             seen += n
             if seen >= share * total:
                 cut = (b + 1) / 10
                 break
-        rows = rows.withColumn("part", F.when(F.col("_d") > cut, F.lit(axes + 1)).otherwise(F.col("part")))
-    out = rows.withColumn("quadrant", F.lit(0)).drop("_d")
-    if rotate:
-        ax, ay = (F.element_at(F.array(*[F.lit(a[i]) for a in fitted], F.lit(1.0 - i)), F.least(F.col("part"), F.lit(len(fitted) + 1))) for i in (0, 1))
-        for name, (p, q) in {"rx": ("x", "y"), "rvx": ("vx", "vy")}.items():
-            out = out.withColumn(name, F.col(p) * ax + F.col(q) * ay).withColumn(name.replace("x", "y"), F.col(q) * ax - F.col(p) * ay)
-    return out
+        rule = F.when(least > cut, F.lit(axes + 1)).otherwise(rule)
+
+    def route(rows: DataFrame) -> DataFrame:
+        out = valid(rows).withColumn("part", rule).withColumn("quadrant", F.lit(0))
+        if rotate:
+            ax, ay = (F.element_at(F.array(*[F.lit(a[i]) for a in fitted], F.lit(1.0 - i)), F.least(F.col("part"), F.lit(len(fitted) + 1))) for i in (0, 1))
+            for name, (p, q) in {"rx": ("x", "y"), "rvx": ("vx", "vy")}.items():
+                out = out.withColumn(name, F.col(p) * ax + F.col(q) * ay).withColumn(name.replace("x", "y"), F.col(q) * ax - F.col(p) * ay)
+        return out
+
+    return route
+
+
+def axis_parts(mo: DataFrame, axes: int = 2, outliers: bool = True, rounds: int = 10, share: float = 0.9, rotate: bool = False) -> DataFrame:
+    """+part, quadrant 0: mo under the rule that is fitted to it."""
+    return axis_router(mo, axes, outliers, rounds, share, rotate)(mo)

@@ -56,27 +56,50 @@ def _meets(dt: Column) -> Column:
     return (F.col("n.xlo") + xlo <= F.col("q.xhi")) & (F.col("n.xhi") + xhi >= F.col("q.xlo")) & (F.col("n.ylo") + ylo <= F.col("q.yhi")) & (F.col("n.yhi") + yhi >= F.col("q.ylo"))
 
 
-def candidate_nodes(nodes: DataFrame, queries: DataFrame, t0: float = 0.0, two_levels: bool = False) -> DataFrame:
+def candidate_nodes(nodes: DataFrame, queries: DataFrame, t0: float = 0.0, two_levels: bool = True, scope: Column | None = None) -> DataFrame:
     """qid, part, quadrant, node: leaves whose grown box meets the window at the query's time.
 
     ``two_levels`` tests parents first; leaves then join by their parent. The
-    queries are a given, small set; the nodes are not broadcast.
+    queries are a given, small set; the nodes are not broadcast. ``scope``: a
+    condition on n (nodes) and q (queries) that has to hold besides.
     """
     q = F.broadcast(queries.alias("q"))
     dt = F.col("t") - F.lit(t0)
+    meets = _meets(dt) if scope is None else _meets(dt) & scope
     if not two_levels:
-        return nodes.alias("n").join(q, _meets(dt)).select("qid", "part", "quadrant", "node")
-    tops = parent_boxes(nodes).alias("n").join(q, _meets(dt)).select("q.*", "part", "quadrant", F.col("node").alias("parent"))
-    leaves = parents(nodes).join(tops.select("part", "quadrant", "parent", "qid"), ["part", "quadrant", "parent"]).alias("n")
+        return nodes.alias("n").join(q, meets).select("qid", "part", "quadrant", "node")
+    tops = parent_boxes(nodes).alias("n").join(q, meets).select("qid", "part", "quadrant", F.col("node").alias("parent"))
+    leaves = parents(nodes).join(tops, ["part", "quadrant", "parent"]).alias("n")
     return leaves.join(q, (F.col("n.qid") == F.col("q.qid")) & _meets(dt)).select(F.col("n.qid").alias("qid"), "part", "quadrant", "node")
 
 
-def distances(nodes: DataFrame, queries: DataFrame, t0: float = 0.0) -> DataFrame:
-    """qid, k, node, n, mind2, maxd2: squared distances of the centre to the nearest and farthest place a member can have at the query's time."""
+def with_distances(rows: DataFrame, t0: float = 0.0) -> DataFrame:
+    """Nodes beside queries +mind2, maxd2: squared distances of the centre to the nearest and farthest place a member can have at the query's time."""
     dt = F.col("t") - F.lit(t0)
-    rows = nodes.join(F.broadcast(queries), F.lit(True))
     x0, x1 = F.col("xlo") + F.least(F.col("vxlo") * dt, F.col("vxhi") * dt), F.col("xhi") + F.greatest(F.col("vxlo") * dt, F.col("vxhi") * dt)
     y0, y1 = F.col("ylo") + F.least(F.col("vylo") * dt, F.col("vyhi") * dt), F.col("yhi") + F.greatest(F.col("vylo") * dt, F.col("vyhi") * dt)
     near = [F.greatest(a - F.col(c), F.lit(0.0), F.col(c) - b) for a, b, c in ((x0, x1, "cx"), (y0, y1, "cy"))]
     far = [F.greatest(F.abs(a - F.col(c)), F.abs(b - F.col(c))) for a, b, c in ((x0, x1, "cx"), (y0, y1, "cy"))]
-    return rows.select("qid", "k", "cx", "cy", "t", *_NODE, "n", (near[0] * near[0] + near[1] * near[1]).alias("mind2"), (far[0] * far[0] + far[1] * far[1]).alias("maxd2"))
+    return rows.withColumn("mind2", near[0] * near[0] + near[1] * near[1]).withColumn("maxd2", far[0] * far[0] + far[1] * far[1])
+
+
+def nearest_nodes(nodes: DataFrame, queries: DataFrame, most: int, t0: float = 0.0, scope: Column | None = None) -> DataFrame:
+    """qid, k, cx, cy, t, part, quadrant, node: leaves that may hold one of the k nearest.
+
+    Every parent is met by every query; leaves only where their parent may hold
+    a neighbour. ``most``: the greatest k.
+    """
+    tops = parent_boxes(nodes).alias("n").join(F.broadcast(queries.alias("q")), scope if scope is not None else F.lit(True))
+    tops = _may_hold(with_distances(tops, t0), most).select("qid", "k", "cx", "cy", "t", "part", "quadrant", F.col("node").alias("parent"))
+    leaves = parents(nodes).join(tops, ["part", "quadrant", "parent"])
+    return _may_hold(with_distances(leaves, t0), most).select("qid", "k", "cx", "cy", "t", *_NODE)
+
+
+def _may_hold(far: DataFrame, most: int) -> DataFrame:
+    """Rows that may hold one of the query's k nearest: not farther than the farthest member of the first nodes that hold k together."""
+    w = Window.partitionBy("qid").orderBy("maxd2", *_NODE)
+    # k nodes hold k objects; the literal bound keeps as many rows of each task before the shuffle
+    first = far.select("qid", "k", "n", "maxd2", *_NODE).withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= most)
+    first = first.withColumn("_sum", F.sum("n").over(w.rowsBetween(Window.unboundedPreceding, Window.currentRow)))
+    certain = first.groupBy("qid").agg(F.coalesce(F.min(F.when(F.col("_sum") >= F.col("k"), F.col("maxd2"))), F.lit(float("inf"))).alias("_tau"))
+    return far.join(F.broadcast(certain), "qid").where("mind2 <= _tau").drop("_tau")

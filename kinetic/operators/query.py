@@ -24,45 +24,74 @@ def range_scan(mo: DataFrame, queries: DataFrame) -> DataFrame:
     return _answers(valid(mo).join(F.broadcast(queries), inside()))
 
 
-def range_box(parted: DataFrame, queries: DataFrame, capacity: int = 102, two_levels: bool = False, objects: DataFrame | None = None) -> DataFrame:
-    """By boxes: leaves that meet the window, then the objects in them."""
+def range_box(parted: DataFrame | None, queries: DataFrame, capacity: int = 102, two_levels: bool = True, objects: DataFrame | None = None, nodes: DataFrame | None = None) -> DataFrame:
+    """By boxes: leaves that meet the window, then the objects in them. ``objects`` and ``nodes``: an index that is there already."""
     objects = objects if objects is not None else index_box.build_nodes(parted, capacity)
-    hits = index_box.candidate_nodes(index_box.node_boxes(objects), queries, two_levels=two_levels)
+    nodes = nodes if nodes is not None else index_box.node_boxes(objects)
+    hits = index_box.candidate_nodes(nodes, queries, two_levels=two_levels)
     return _answers(objects.join(hits, ["part", "quadrant", "node"]).join(F.broadcast(queries), "qid").where(inside()))
 
 
-def range_curve(parted: DataFrame, queries: DataFrame, bits: int = index_curve.BITS, curve: str = "z") -> DataFrame:
-    """By curve keys: runs of keys, then the objects in them."""
-    return _answers(curve_candidates(parted, queries, bits, curve).join(F.broadcast(queries), "qid").where(inside()))
+def range_curve(parted: DataFrame | None, queries: DataFrame, bits: int = index_curve.BITS, curve: str = "z", keyed: DataFrame | None = None, stats: DataFrame | None = None) -> DataFrame:
+    """By curve keys: runs of keys, then the objects in them. ``keyed`` and ``stats``: an index that is there already."""
+    return _answers(curve_candidates(parted, queries, bits, curve, keyed, stats).join(F.broadcast(queries), "qid").where(inside()))
 
 
-def curve_candidates(parted: DataFrame, queries: DataFrame, bits: int = index_curve.BITS, curve: str = "z") -> DataFrame:
-    keyed = index_curve.curve_keys(parted, bits, curve)
-    runs = index_curve.curve_intervals(queries, index_curve.key_stats(keyed), bits, curve)
+def curve_candidates(parted: DataFrame | None, queries: DataFrame, bits: int = index_curve.BITS, curve: str = "z", keyed: DataFrame | None = None, stats: DataFrame | None = None) -> DataFrame:
+    keyed = keyed if keyed is not None else index_curve.curve_keys(parted, bits, curve)
+    runs = index_curve.curve_intervals(queries, stats if stats is not None else index_curve.key_stats(keyed), bits, curve)
     return index_curve.probe_intervals(keyed, runs)
 
 
-def range_pushdown(parted: DataFrame, queries: DataFrame, stats: DataFrame | None = None) -> DataFrame:
-    """By bounds on the stored columns that each part's velocities imply; over a layout they prune row groups and parts."""
-    f = fan_out(queries, stats if stats is not None else part_stats(parted)).alias("f")
-    o = parted.alias("o")
-    rows = o.join(F.broadcast(f), (F.col("o.part") == F.col("f.part")) & (F.col("o.quadrant") == F.col("f.quadrant")) & F.col("o.x").between(F.col("sxlo"), F.col("sxhi")) & F.col("o.y").between(F.col("sylo"), F.col("syhi")))
-    return _answers(rows.drop(F.col("f.part"), F.col("f.quadrant")).where(inside()))
+#: Cells of a side of the grid that windows and objects meet in where their bounds are not literal.
+GRID = 16
+#: Windows by part up to which literal bounds are written into the scans, and cells of windows up to which they are broadcast.
+LITERAL_WINDOWS, BROADCAST_CELLS = 512, 2_000_000
+
+
+def range_pushdown(parted: DataFrame, queries: DataFrame, stats: DataFrame | None = None, side: float = 10000.0) -> DataFrame:
+    """By bounds on the stored columns that each part's velocities imply.
+
+    A few windows become literals: each part is one scan, whose filters prune
+    partitions and row groups of a layout. More of them meet the objects in the
+    cells of a grid that they cover, by an equi-join. ``stats`` (a row for each
+    part and quadrant) come from the objects if the layout has none.
+    """
+    f = kept(fan_out(queries, stats if stats is not None else part_stats(parted)))
+    n = f.count()
+    if n <= LITERAL_WINDOWS:
+        return _literal_scans(parted, queries, f.collect())
+
+    def cell(c: str) -> Column:
+        return F.least(F.lit(GRID - 1), F.greatest(F.lit(0), F.floor(F.col(c) / side * GRID))).cast("int")
+
+    across = f.withColumn("gx", F.explode(F.sequence(cell("sxlo"), cell("sxhi")))).withColumn("gy", F.explode(F.sequence(cell("sylo"), cell("syhi")))).alias("f")
+    across = F.broadcast(across) if n * GRID * GRID <= BROADCAST_CELLS else across
+    o = parted.withColumn("gx", cell("x")).withColumn("gy", cell("y")).alias("o")
+    met = (F.col("o.part") == F.col("f.part")) & (F.col("o.quadrant") == F.col("f.quadrant")) & (F.col("o.gx") == F.col("f.gx")) & (F.col("o.gy") == F.col("f.gy"))
+    rows = o.join(across, met & F.col("o.x").between(F.col("sxlo"), F.col("sxhi")) & F.col("o.y").between(F.col("sylo"), F.col("syhi")))
+    return _answers(rows.select("o.*", *[F.col(f"f.{c}") for c in ("qid", "t", "xlo", "xhi", "ylo", "yhi")]).where(inside()))
+
+
+def _literal_scans(parted: DataFrame, queries: DataFrame, windows: list) -> DataFrame:
+    """One scan for each part and quadrant, with the bounds of all its windows as literals."""
+    by: dict[tuple, Column] = {}
+    for w in windows:
+        key = (w["part"], w["quadrant"])
+        met = F.col("x").between(w["sxlo"], w["sxhi"]) & F.col("y").between(w["sylo"], w["syhi"])
+        by[key] = by[key] | met if key in by else met
+    out = None
+    for (part, quadrant), met in by.items():
+        one = parted.where((F.col("part") == part) & (F.col("quadrant") == quadrant)).where(met)
+        out = one if out is None else out.unionByName(one)
+    out = out if out is not None else parted.limit(0)
+    return _answers(out.join(F.broadcast(queries), inside()))
 
 
 def layout_range(spark, path: str, query: dict) -> DataFrame:
     """One query over a written layout: literal bounds for each part reach the Parquet scan as pushed filters."""
-    rows = spark.read.parquet(path)
-    stats = part_stats(rows).collect()  # a row for each part and quadrant
-    dt, out = query["t"], None
-    for s in stats:
-        part = rows.where((F.col("part") == s["part"]) & (F.col("quadrant") == s["quadrant"]))
-        lo, hi = dt - s["thi"], dt - s["tlo"]
-        for c, a, b in (("x", "xlo", "xhi"), ("y", "ylo", "yhi")):
-            part = part.where((F.col(c) >= query[a] - max(s[f"v{c}hi"] * lo, s[f"v{c}hi"] * hi)) & (F.col(c) <= query[b] - min(s[f"v{c}lo"] * lo, s[f"v{c}lo"] * hi)))
-        out = part if out is None else out.unionByName(part)
-    out = out if out is not None else rows
-    return _answers(out.withColumns({k: F.lit(v) for k, v in query.items()}).where(inside()))
+    one = spark.createDataFrame([tuple(query[c] for c in ("qid", "xlo", "ylo", "xhi", "yhi", "t"))], "qid long, xlo double, ylo double, xhi double, yhi double, t double")
+    return range_pushdown(spark.read.parquet(path), one)
 
 
 def _dist2() -> Column:
@@ -70,55 +99,59 @@ def _dist2() -> Column:
     return dx * dx + dy * dy
 
 
-def top_k(rows: DataFrame) -> DataFrame:
-    """The k nearest of each query (ties by id); Spark keeps k rows of each task before the shuffle."""
+def greatest_k(queries: DataFrame) -> int:
+    """The largest k of a given, small set of queries."""
+    return int(queries.agg(F.max("k")).first()[0] or 0)
+
+
+def top_k(rows: DataFrame, most: int) -> DataFrame:
+    """The k nearest of each query (ties by id). ``most``, the greatest k, is a literal, so that no task sends more rows of a query into the shuffle."""
     w = Window.partitionBy("qid").orderBy("dist2", "oid")
-    return rows.withColumn("rank", F.row_number().over(w)).where("rank <= k").select("qid", F.col("rank").cast("long").alias("rank"), "oid", "dist2", "k")
+    return rows.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= most).where("rank <= k").select("qid", F.col("rank").cast("long").alias("rank"), "oid", "dist2", "k")
 
 
 def knn_scan(mo: DataFrame, queries: DataFrame) -> DataFrame:
-    """qid, rank, oid, dist2 over every object."""
+    """qid, rank, oid, dist2 over every object; the truth of the others."""
     rows = valid(mo).join(F.broadcast(queries), F.lit(True)).select("qid", "oid", _dist2().alias("dist2"), "k")
-    # a literal bound lets the optimiser cut each task's rows; queries of one set share their largest k
-    return top_k(rows).drop("k")
+    return top_k(rows, greatest_k(queries)).drop("k")
 
 
-def knn_box(parted: DataFrame, queries: DataFrame, capacity: int = 102, objects: DataFrame | None = None) -> DataFrame:
-    """By boxes: nodes in the order of their farthest member until k objects are certain, then every node that may be nearer."""
+def knn_box(parted: DataFrame | None, queries: DataFrame, capacity: int = 102, objects: DataFrame | None = None, nodes: DataFrame | None = None, scope: Column | None = None) -> DataFrame:
+    """By boxes: parents, then leaves that may hold a neighbour, then the objects in them. ``objects`` and ``nodes``: an index that is there already."""
     objects = objects if objects is not None else index_box.build_nodes(parted, capacity)
-    far = index_box.distances(index_box.node_boxes(objects), queries)
-    w = Window.partitionBy("qid").orderBy("maxd2", "part", "quadrant", "node").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    certain = far.withColumn("_sum", F.sum("n").over(w)).groupBy("qid").agg(F.coalesce(F.min(F.when(F.col("_sum") >= F.col("k"), F.col("maxd2"))), F.lit(float("inf"))).alias("tau"))
-    open_nodes = far.join(certain, "qid").where("mind2 <= tau").select("qid", "k", "cx", "cy", "t", "part", "quadrant", "node")
-    rows = objects.join(open_nodes, ["part", "quadrant", "node"]).select("qid", "oid", _dist2().alias("dist2"), "k")
-    return top_k(rows).drop("k")
+    nodes = nodes if nodes is not None else index_box.node_boxes(objects)
+    most = greatest_k(queries)
+    rows = objects.join(index_box.nearest_nodes(nodes, queries, most, scope=scope), ["part", "quadrant", "node"]).select("qid", "oid", _dist2().alias("dist2"), "k")
+    return top_k(rows, most).drop("k")
 
 
 def knn_merged(parted: DataFrame, queries: DataFrame) -> DataFrame:
     """The k nearest of every part, then of those."""
+    most = greatest_k(queries)
     rows = parted.join(F.broadcast(queries), F.lit(True)).select("qid", "part", "oid", _dist2().alias("dist2"), "k")
     local = Window.partitionBy("qid", "part").orderBy("dist2", "oid")
-    return top_k(rows.withColumn("_r", F.row_number().over(local)).where("_r <= k").drop("_r", "part")).drop("k")
+    near = rows.withColumn("_r", F.row_number().over(local)).where(F.col("_r") <= most).where("_r <= k")
+    return top_k(near.drop("_r", "part"), most).drop("k")
 
 
-def knn_growing(parted: DataFrame, queries: DataFrame, side: float = 10000.0, rounds: int = 24, bits: int = index_curve.BITS) -> DataFrame:
-    """By range queries over curve keys: a radius from the density, doubled for the queries that have fewer than k objects inside it."""
-    total = parted.count()
+def knn_growing(parted: DataFrame | None, queries: DataFrame, side: float = 10000.0, bits: int = index_curve.BITS, keyed: DataFrame | None = None, stats: DataFrame | None = None) -> DataFrame:
+    """By range queries over curve keys: a radius from the density, doubled for the queries that have fewer than k objects inside it, until all are answered."""
+    total = (keyed if keyed is not None else parted).count()
     if not total:
-        return knn_scan(parted, queries)
+        return knn_scan(keyed if keyed is not None else parted, queries)
+    most = greatest_k(queries)
     reach = F.lit(side) * F.sqrt(F.col("k") / (math.pi * total))
     todo, out = queries.withColumn("radius", reach), None
-    for _ in range(rounds):
+    while True:
         box = todo.select("qid", (F.col("cx") - F.col("radius")).alias("xlo"), (F.col("cy") - F.col("radius")).alias("ylo"), (F.col("cx") + F.col("radius")).alias("xhi"), (F.col("cy") + F.col("radius")).alias("yhi"), "t")
-        near = curve_candidates(parted, box, bits).join(F.broadcast(todo), "qid").select("qid", "oid", _dist2().alias("dist2"), "k", "radius").where("dist2 <= radius * radius")
-        best = kept(top_k(near))
+        near = curve_candidates(parted, box, bits, keyed=keyed, stats=stats).join(F.broadcast(todo), "qid").select("qid", "oid", _dist2().alias("dist2"), "k", "radius").where("dist2 <= radius * radius")
+        best = kept(top_k(near, most))
         full = best.groupBy("qid", "k").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= F.least(F.col("k"), F.lit(total))).select("qid")
         part = best.join(F.broadcast(full), "qid", "left_semi")
         out = part if out is None else out.unionByName(part)
         todo = kept(todo.join(F.broadcast(full), "qid", "left_anti").withColumn("radius", F.col("radius") * 2))
         if todo.isEmpty():
-            break
-    return out.drop("k")
+            return out.drop("k")
 
 
 def last_known(samples: DataFrame, queries: DataFrame) -> DataFrame:

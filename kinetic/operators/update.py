@@ -2,26 +2,29 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kinetic.functions.motion import latest_status
 from kinetic.operators.partitions import assign_parts
-from kinetic.plans.optimise import Optimised, optimise
+from kinetic.plans.optimise import Optimised, optimise_by
 from kinetic.plans.params import OptimizerParams
 
 STATE = ["x", "y", "vx", "vy", "speed", "t_ref", "ts", "event_id"]
 
 
-def apply_updates(state: DataFrame, updates: DataFrame, plan: DataFrame) -> tuple[DataFrame, DataFrame]:
+def apply_updates(state: DataFrame, updates: DataFrame, plan: DataFrame | Callable[[DataFrame], DataFrame]) -> tuple[DataFrame, DataFrame]:
     """(new state, moves): the newest status of each object wins; a move tells what happens to each updated object.
 
-    Actions: insert (unknown object), update (same part), migrate (delete and
+    ``plan``: speed ranges, or the rule of another partitioner. Actions: insert (unknown object), update (same part), migrate (delete and
     insert), late (older than what is known: dropped). Part and quadrant
     together name the place.
     """
-    new = assign_parts(latest_status(updates, columns=STATE), plan)
-    old = assign_parts(state.select("oid", *STATE), plan)
+    route = plan if callable(plan) else lambda rows: assign_parts(rows, plan)
+    new = route(latest_status(updates, columns=STATE))
+    old = route(state.select("oid", *STATE))
     o = old.select("oid", *[F.col(c).alias(f"o_{c}") for c in [*STATE, "part", "quadrant"]])
     both = o.join(new, "oid", "full_outer")
     newer = F.col("o_ts").isNull() | (F.struct("ts", "event_id") > F.struct("o_ts", "o_event_id"))
@@ -59,9 +62,17 @@ def compact(spark, path: str, out: str) -> None:
 
 
 def refresh_plan(rows: DataFrame, p: OptimizerParams, period: str = "hr") -> dict[int, Optimised]:
-    """An optimised plan for each value of the period column (the hours of a day)."""
-    hours = [r[0] for r in rows.select(period).distinct().orderBy(period).collect()]  # 24 at most
-    return {h: optimise(rows.where(F.col(period) == h), p) for h in hours}
+    """An optimised plan for each value of the period column (the hours of a day), from one count of all rows."""
+    return optimise_by(rows, p, period)
+
+
+def plans_by(plans: dict[int, Optimised], period: str = "hr") -> DataFrame:
+    """period, part, lo_layer, hi_layer, lo, hi, quadrants, cost: the plans of all periods as one table."""
+    out = None
+    for value, x in sorted(plans.items()):
+        one = x.plan.withColumn(period, F.lit(value))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def plan_cost(plan: DataFrame, cost: DataFrame, layers: DataFrame, new_layers: DataFrame) -> DataFrame:

@@ -23,10 +23,10 @@ def _summed(rows: DataFrame, representative: str) -> DataFrame:
     )
 
 
-def equal_width(mo: DataFrame, q: int) -> DataFrame:
-    """mo +edge 1..q, top, width: half-open layers (lo, hi] of one width up to the greatest speed."""
-    top = mo.agg((F.max("speed") / q).alias("width"))
-    rows = mo.crossJoin(F.broadcast(top))  # one row
+def equal_width(mo: DataFrame, q: int, *by: str) -> DataFrame:
+    """mo +edge 1..q, top, width: half-open layers (lo, hi] of one width up to the greatest speed (of each value of ``by``, which has few)."""
+    top = mo.groupBy(*by).agg((F.max("speed") / q).alias("width"))
+    rows = mo.join(F.broadcast(top), list(by)) if by else mo.crossJoin(F.broadcast(top))  # one row
     edge = F.when(F.col("width") > 0, F.least(F.lit(q), F.greatest(F.lit(1), F.ceil(F.col("speed") / F.when(F.col("width") > 0, F.col("width")))))).otherwise(1).cast("int")
     return rows.withColumn("edge", edge).withColumn("top", F.col("edge") * F.col("width"))
 
@@ -49,8 +49,8 @@ def distinct_speeds(mo: DataFrame, q: int) -> DataFrame:
 LAYERINGS = {"equal_width": equal_width, "equal_depth": equal_depth, "distinct": distinct_speeds}
 
 
-def layered(mo: DataFrame, p: OptimizerParams) -> DataFrame:
-    return LAYERINGS[p.layering](valid(mo), p.q)
+def layered(mo: DataFrame, p: OptimizerParams, *by: str) -> DataFrame:
+    return LAYERINGS[p.layering](valid(mo), p.q, *by)
 
 
 def speed_layers(mo: DataFrame, p: OptimizerParams) -> DataFrame:

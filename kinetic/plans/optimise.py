@@ -4,10 +4,12 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from kinetic.plans import quad
+from kinetic.plans import local, quad
 from kinetic.plans.domain import layers_of
 from kinetic.plans.expansion import range_costs
 from kinetic.plans.params import OptimizerParams
@@ -122,11 +124,32 @@ class Optimised:
 def optimise(mo: DataFrame, p: OptimizerParams, keep=None) -> Optimised:
     """Layers, counts, trees, range costs and the cheapest plan.
 
-    ``keep`` is applied to the tables that are used more than once (at most
-    q * 4**depth rows); by default they are written to the shared folder,
-    so that the objects are read for their greatest speed and for the counts.
+    The objects are read for their greatest speed and for the counts by layer
+    and finest cell. These are at most q * 4**depth rows: where that is few
+    (``local.fits``), arrays in the driver do the rest. Else, or with ``keep``,
+    DataFrames do, and ``keep`` is applied to the tables that are used more than
+    once (they are written to the shared folder if it is None).
     """
-    return _from_counts((keep or kept)(quad.finest_counts(mo, p)), p, keep or kept)
+    finest = quad.finest_counts(mo, p)
+    if keep is None and local.fits(p):
+        return _solved_here(mo.sparkSession, finest.toArrow(), p)
+    return _from_counts((keep or kept)(finest), p, keep or kept)
+
+
+def _solved_here(spark: SparkSession, table: pa.Table, p: OptimizerParams) -> Optimised:
+    x = local.solve(table, p)
+    layers, splits, cost, plan = (spark.createDataFrame(t) for t in (x.layers, x.splits, x.cost, x.plan))
+    cells = quad.cells_of(spark.createDataFrame(table), p, layers)
+    return Optimised(layers, cells, quad.uniformity(cells, p), splits, cost, plan)
+
+
+def optimise_by(mo: DataFrame, p: OptimizerParams, by: str) -> dict[int, Optimised]:
+    """A plan for each value of a column of few values, all from one count of the objects."""
+    if not local.fits(p) or p.layering != "equal_width":
+        return {r[0]: optimise(mo.where(F.col(by) == r[0]), p) for r in mo.select(by).distinct().orderBy(by).collect()}  # a row for each period
+    table = quad.finest_counts(mo, p, by).toArrow()
+    values = sorted(set(table.column(by).to_pylist()))
+    return {v: _solved_here(mo.sparkSession, table.filter(pc.equal(table.column(by), v)).drop_columns([by]), p) for v in values}
 
 
 def _from_counts(finest: DataFrame, p: OptimizerParams, keep, fraction: float = 1.0) -> Optimised:

@@ -23,10 +23,10 @@ def cell_code(p: OptimizerParams, depth: int, x: str = "x", y: str = "y") -> Col
     return code
 
 
-def finest_counts(mo: DataFrame, p: OptimizerParams) -> DataFrame:
-    """edge, top, width, code, n, sum, most at the deepest counted level: the one step that reads every object."""
-    rows = layered(mo, p).select("edge", "top", "width", "speed", cell_code(p, p.counted_depth).alias("code"))
-    return rows.groupBy("edge", "top", "width", "code").agg(*sums_of_speed())
+def finest_counts(mo: DataFrame, p: OptimizerParams, *by: str) -> DataFrame:
+    """by, edge, top, width, code, n, sum, most at the deepest counted level: the one step that reads every object."""
+    rows = layered(mo, p, *by).select(*by, "edge", "top", "width", "speed", cell_code(p, p.counted_depth).alias("code"))
+    return rows.groupBy(*by, "edge", "top", "width", "code").agg(*sums_of_speed())
 
 
 def _renumbered(cube: DataFrame, layers: DataFrame) -> DataFrame:

@@ -201,27 +201,50 @@ add("page_counts", lambda s, d: measures.page_counts(parted10(s, d)).select(F.co
 # answers: every way must give the scan's
 _RANGE, _KNN = o.range_answers(o.orders(), o.ranges()), o.knn_answers(o.orders(), o.knns())
 RANGE_WAYS = {
-    "range_box": lambda p, q: query.range_box(p, q), "range_box_two_levels": lambda p, q: query.range_box(p, q, two_levels=True), "range_curve": lambda p, q: query.range_curve(p, q),
-    "range_curve_hilbert": lambda p, q: query.range_curve(p, q, curve="hilbert"), "range_pushdown": lambda p, q: query.range_pushdown(p, q),
-    "range_sequential": lambda p, q: partitions.run_partitioned(q, p, query.range_box, "sequential"), "range_concurrent": lambda p, q: partitions.run_partitioned(q, p, query.range_box, "concurrent"),
+    "range_box": lambda s, d, q: w.stored(s, d).range(q), "range_box_flat": lambda s, d, q: query.range_box(None, q, two_levels=False, objects=w.stored(s, d).objects, nodes=w.stored(s, d).catalog),
+    "range_box_unstored": lambda s, d, q: query.range_box(parted10(s, d), q), "range_curve": lambda s, d, q: w.stored(s, d, kind="curve").range(q),
+    "range_curve_hilbert": lambda s, d, q: query.range_curve(parted10(s, d), q, curve="hilbert"), "range_pushdown": lambda s, d, q: w.stored(s, d).pushed(q),
+    "range_sequential": lambda s, d, q: partitions.run_partitioned(q, parted10(s, d), query.range_box, "sequential"), "range_concurrent": lambda s, d, q: partitions.run_partitioned(q, parted10(s, d), query.range_box, "concurrent"),
+}
+KNN_WAYS = {
+    "knn_box": lambda s, d, q: w.stored(s, d).neighbours(q), "knn_merged": lambda s, d, q: query.knn_merged(w.stored(s, d).objects, q), "knn_growing": lambda s, d, q: w.stored(s, d, kind="curve").neighbours(q),
 }
 add("range_scan", lambda s, d: query.range_scan(orders(s, d), st.q_range(s, d)), _RANGE)
 for _name, _way in RANGE_WAYS.items():
-    add(_name, lambda s, d, way=_way: way(parted10(s, d), st.q_range(s, d)), _RANGE)
+    add(_name, lambda s, d, way=_way: way(s, d, st.q_range(s, d)), _RANGE)
 add("knn_scan", lambda s, d: query.knn_scan(orders(s, d), st.q_knn(s, d)), _KNN)
-for _name, _way in {"knn_box": query.knn_box, "knn_merged": query.knn_merged, "knn_growing": query.knn_growing}.items():
-    add(_name, lambda s, d, way=_way: way(parted10(s, d), st.q_knn(s, d)), _KNN)
+for _name, _way in KNN_WAYS.items():
+    add(_name, lambda s, d, way=_way: way(s, d, st.q_knn(s, d)), _KNN)
+
+
+def places(s: SparkSession, d: str) -> DataFrame:
+    """A window round each place of the neighbour queries: few enough for literal bounds."""
+    return st.q_knn(s, d).select("qid", (F.col("cx") - 300).alias("xlo"), (F.col("cy") - 300).alias("ylo"), (F.col("cx") + 300).alias("xhi"), (F.col("cy") + 300).alias("yhi"), "t")
+
+
+add("range_pushdown_literal", lambda s, d: w.stored(s, d).pushed(places(s, d)), o.range_answers(o.orders(), f"SELECT qid, cx - 300 AS xlo, cy - 300 AS ylo, cx + 300 AS xhi, cy + 300 AS yhi, t FROM ({o.knns()})"))
+
+
+def built(s: SparkSession, d: str, kind: str) -> DataFrame:
+    """part, quadrant, objects and nodes (or pages) of an index that is written now."""
+    index = w.store_index(parted10(s, d), f"{w.checkpoint_folder(s)}/built-{kind}-{w.time.time_ns()}", kind)
+    return index.catalog.groupBy(F.col("part").cast("long").alias("part"), "quadrant").agg(F.sum("n").alias("objects"), F.count(F.lit(1)).alias("nodes"))
+
+
+add("layout_box", lambda s, d: built(s, d, "box"), f"WITH {_PARTED}, {o.node_ctes()} SELECT part, quadrant, CAST(sum(n) AS BIGINT) AS objects, count(*) AS nodes FROM nodes GROUP BY part, quadrant")
+add("layout_curve", lambda s, d: built(s, d, "curve"))
 
 # baselines
 PARTITIONERS: dict[str, Callable[[DataFrame], DataFrame]] = {
     "unpartitioned": partitions.single_part, "quadrants_only": partial(partitions.single_part, quadrants=True), "seed_parts": baselines.seed_parts, "seed_parts_refined": partial(baselines.seed_parts, refine=20),
     "axis_parts": baselines.axis_parts, "axis_parts_3": partial(baselines.axis_parts, axes=3, outliers=False),
 }
-for _name, _way in PARTITIONERS.items():
-    add(f"range_{_name}", lambda s, d, way=_way: query.range_box(way(orders(s, d)), st.q_range(s, d)), _RANGE)
-    add(f"knn_{_name}", lambda s, d, way=_way: query.knn_box(way(orders(s, d)), st.q_knn(s, d)), _KNN)
-for _name in ("unpartitioned", "seed_parts", "axis_parts"):
-    add(f"range_curve_{_name}", lambda s, d, way=PARTITIONERS[_name]: query.range_curve(way(orders(s, d)), st.q_range(s, d)), _RANGE)
+for _name, _way in {"unpartitioned": "one", "quadrants_only": "quadrants", "seed_parts": "seed", "seed_parts_refined": "seed_refined", "seed_parts_enlargement": "seed_enlargement", "axis_parts": "axis", "axis_parts_3": "axis_3"}.items():
+    add(f"range_{_name}", lambda s, d, way=_way: w.stored(s, d, way).range(st.q_range(s, d)), _RANGE)
+    add(f"knn_{_name}", lambda s, d, way=_way: w.stored(s, d, way).neighbours(st.q_knn(s, d)), _KNN)
+    if _name in ("unpartitioned", "seed_parts_refined", "axis_parts"):
+        add(f"range_curve_{_name}", lambda s, d, way=_way: w.stored(s, d, way, "curve").range(st.q_range(s, d)), _RANGE)
+        add(f"knn_curve_{_name}", lambda s, d, way=_way: w.stored(s, d, way, "curve").neighbours(st.q_knn(s, d)), _KNN)
 _SEEDS = (
     f"WITH mo AS ({o.embed()}), ends AS (SELECT arg_max(struct_pack(vx := vx, vy := vy), struct_pack(a := vx, b := -oid)) AS e1, arg_max(struct_pack(vx := vx, vy := vy), struct_pack(a := -vx, b := -oid)) AS e2, arg_max(struct_pack(vx := vx, vy := vy), struct_pack(a := vy, b := -oid)) AS e3, arg_max(struct_pack(vx := vx, vy := vy), struct_pack(a := -vy, b := -oid)) AS e4 FROM mo), "
     + "d4 AS (SELECT mo.*, " + ", ".join(f"(vx - e{i}.vx) * (vx - e{i}.vx) + (vy - e{i}.vy) * (vy - e{i}.vy) AS d{i}" for i in range(1, 5)) + " FROM mo, ends), "

@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 
 from kinetic import oracle as o
 from kinetic.functions import motion
-from kinetic.operators import baselines, index_box, measures, partitions, query, update
+from kinetic.operators import baselines, index_box, index_curve, measures, partitions, query, update
+from kinetic.operators.stored import StoredIndex, store_index
 from kinetic.plans import optimise as opt
 from kinetic.plans.params import OptimizerParams, capacity_of
 from kinetic.sources import generator
@@ -51,18 +52,44 @@ def optimised(spark: SparkSession, sf_dir: str, p: OptimizerParams, data: str =
     return _plans[key]
 
 
-def partitioned(spark: SparkSession, sf_dir: str, way: str, data: str = "orders", p: OptimizerParams = OptimizerParams(q=10)) -> DataFrame:  # noqa: B008
-    """A set under one of the partitioners: optimal, one, quadrants, seed, seed_refined, axis, axis_3."""
-    mo = DATA[data](spark, sf_dir)
+P10 = OptimizerParams(q=10)
+
+
+def router(spark: SparkSession, sf_dir: str, way: str, data: str = "orders", p: OptimizerParams = P10) -> Callable[[DataFrame], DataFrame]:
+    """The rule of a partitioner fitted to a set: optimal, one, quadrants, seed, seed_refined, seed_enlargement, axis, axis_3."""
     if way == "optimal":
-        return partitions.assign_parts(mo, optimised(spark, sf_dir, p, data).plan)
+        plan = optimised(spark, sf_dir, p, data).plan
+        return lambda rows: partitions.assign_parts(rows, plan)
+    if way in ("one", "quadrants"):
+        return lambda rows: partitions.single_part(rows, way == "quadrants")
+    mo = DATA[data](spark, sf_dir)
     return {
-        "one": partitions.single_part, "quadrants": lambda m: partitions.single_part(m, True), "seed": baselines.seed_parts, "seed_refined": lambda m: baselines.seed_parts(m, refine=20),
-        "axis": baselines.axis_parts, "axis_3": lambda m: baselines.axis_parts(m, axes=3, outliers=False),
-    }[way](mo)
+        "seed": lambda: baselines.seed_router(mo), "seed_refined": lambda: baselines.seed_router(mo, refine=20), "seed_enlargement": lambda: baselines.seed_router(mo, refine=20, how="enlargement"),
+        "axis": lambda: baselines.axis_router(mo), "axis_3": lambda: baselines.axis_router(mo, axes=3, outliers=False),
+    }[way]()
+
+
+def partitioned(spark: SparkSession, sf_dir: str, way: str, data: str = "orders", p: OptimizerParams = P10) -> DataFrame:
+    """A set under one of the partitioners."""
+    return router(spark, sf_dir, way, data, p)(DATA[data](spark, sf_dir))
 
 
-WAYS = ("optimal", "one", "quadrants", "seed", "seed_refined", "axis", "axis_3")
+_indexes: dict[tuple, StoredIndex] = {}
+
+
+def stored(spark: SparkSession, sf_dir: str, way: str = "optimal", kind: str = "box", data: str = "orders", p: OptimizerParams = P10, capacity: int = 102) -> StoredIndex:
+    """A written index of a set under a partitioner, made once in a session."""
+    root = checkpoint_folder(spark).rstrip("/")
+    key = (spark.sparkContext.applicationId, root, sf_dir, way, kind, data, p, capacity)
+    if key not in _indexes:
+        _indexes[key] = store_index(partitioned(spark, sf_dir, way, data, p), f"{root}/index-{way}-{kind}-{data}-{capacity}-{time.time_ns()}", kind, capacity)
+    return _indexes[key]
+
+
+WAYS = ("optimal", "one", "quadrants", "seed", "seed_refined", "seed_enlargement", "axis", "axis_3")
+#: The paper's own and its rivals.
+RIVALS = ("optimal", "one", "seed_refined", "axis")
+KINDS = ("box", "curve")
 
 
 def _union(rows: list[DataFrame]) -> DataFrame:
@@ -98,16 +125,49 @@ def best_of(comparison: DataFrame) -> DataFrame:
 
 
 def _range_answers(spark: SparkSession, sf_dir: str, data: str, label: str, value: int, q: DataFrame, way: str = "optimal", index: str = "box", capacity: int = 102) -> DataFrame:
-    parted = partitioned(spark, sf_dir, way, data)
-    got = query.range_box(parted, q, capacity) if index == "box" else query.range_curve(parted, q)
+    got = stored(spark, sf_dir, way, index, data, capacity=capacity).range(q)
     return got.groupBy("qid").agg(F.count(F.lit(1)).alias("answers")).select(F.lit(label).alias("setting"), F.lit(value).cast("long").alias("value"), "qid", "answers")
 
 
-def _knn_answers(spark: SparkSession, sf_dir: str, data: str, label: str, value: int, q: DataFrame) -> DataFrame:
-    got = query.knn_box(partitioned(spark, sf_dir, "optimal", data), q)
+def _knn_answers(spark: SparkSession, sf_dir: str, data: str, label: str, value: int, q: DataFrame, index: str = "box") -> DataFrame:
+    got = stored(spark, sf_dir, "optimal", index, data).neighbours(q)
     return got.select(F.lit(label).alias("setting"), F.lit(value).cast("long").alias("value"), "qid", "rank", "oid")
 
 
+def _several(sets: dict[int, DataFrame]) -> DataFrame:
+    """The query sets of a sweep as one, with the value of each in its ids."""
+    return _union([q.withColumn("qid", F.col("qid") + F.lit(v).cast("long") * SETS) for v, q in sets.items()])
+
+
+#: Ids of one query set lie below this.
+SETS = 10_000_000
+
+
+def sweep_accesses(spark: SparkSession, sf_dir: str, sets: dict[int, DataFrame], data: str = "orders", ways: tuple[str, ...] = RIVALS, capacity: int = 102) -> DataFrame:
+    """way, kind, value, accesses, answers: leaf or page accesses and answers of each query set, for every partitioner under both indexes."""
+    q, rows = _several(sets), []
+    for way in ways:
+        for kind in KINDS:
+            index = stored(spark, sf_dir, way, kind, data, capacity=capacity)
+            value = F.expr(f"qid div {SETS}").alias("value")
+            seen = index.accesses(q).groupBy(value).agg(F.sum("accesses").alias("accesses"))
+            got = index.range(q).groupBy(value).agg(F.count(F.lit(1)).alias("answers"))
+            rows.append(seen.join(got, "value", "left").select(F.lit(way).alias("way"), F.lit(kind).alias("kind"), "value", "accesses", F.coalesce("answers", F.lit(0)).alias("answers")))
+    return _union(rows)
+
+
+def sweep_times(spark: SparkSession, sf_dir: str, sets: dict[int, DataFrame], what: str, data: str = "orders", ways: tuple[str, ...] = RIVALS, capacity: int = 102) -> DataFrame:
+    """experiment, setting, seconds of range queries or neighbours for each query set, partitioner and index."""
+    rows = []
+    for way in ways:
+        for kind in KINDS:
+            index = stored(spark, sf_dir, way, kind, data, capacity=capacity)
+            for value, q in sets.items():
+                got = measures.timed(what, lambda i=index, x=q: i.range(x) if what == "range" else i.neighbours(x), repeats=1, warmup=0)
+                rows.append((f"{what} {kind} {value}", way, got["value"]))
+    return _timings(rows, spark)
+
+
 def _timings(rows: list[tuple[str, str, float]], spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(rows, "experiment string, setting string, seconds double")
 
@@ -123,46 +183,120 @@ def optimiser_times(spark: SparkSession, sf_dir: str, by: str) -> DataFrame:
     return _timings(rows, spark)
 
 
-def memory_and_disk(spark: SparkSession, sf_dir: str, ways: tuple[str, ...] = ("optimal", "one", "seed_refined", "axis")) -> DataFrame:
-    """Seconds of range queries, neighbours and updates over cached and over written layouts, for each partitioner and both indexes."""
+def throughput(spark: SparkSession, state: DataFrame, updates: DataFrame, route: Callable[[DataFrame], DataFrame], path: str) -> float:
+    """Seconds that it takes to route updates by a partitioner's own rule and to write the rows that change, by part."""
+    start = time.perf_counter()
+    after, _ = update.apply_updates(state, updates, route)
+    update.commit(after.join(updates.select("oid").distinct(), "oid", "left_semi"), path, 1)
+    return time.perf_counter() - start
+
+
+def memory_and_disk(spark: SparkSession, sf_dir: str, ways: tuple[str, ...] = RIVALS) -> DataFrame:
+    """Seconds of range queries and neighbours over cached and over written indexes, and of updates, for each partitioner and both indexes."""
     rows = []
-    root = f"{checkpoint_folder(spark)}/layouts-{time.time_ns()}"
-    q, k, plan = st.q_range(spark, sf_dir), st.q_knn(spark, sf_dir), optimised(spark, sf_dir, OptimizerParams(q=10)).plan
+    root = f"{checkpoint_folder(spark)}/updates-{time.time_ns()}"
+    q, k = st.q_range(spark, sf_dir), st.q_knn(spark, sf_dir)
     for way in ways:
-        parted = partitioned(spark, sf_dir, way)
-        objects = index_box.build_nodes(parted)
-        objects.write.parquet(f"{root}/{way}")
-        stored = spark.read.parquet(f"{root}/{way}")
-        cached = stored.persist()
-        cached.count()
-        for store, table in (("memory", cached), ("disk", stored)):
-            for name, fn in (("range box", lambda t=table: query.range_box(t, q, objects=t)), ("range curve", lambda t=table: query.range_curve(t, q)), ("neighbours box", lambda t=table: query.knn_box(t, k, objects=t))):
-                got = measures.timed(name, fn, repeats=1)
-                rows.append((f"{store}: {name}", way, got["value"]))
-        state = cached.select("oid", "x", "y", "vx", "vy", "speed", "t_ref").withColumn("ts", F.lit(0).cast("timestamp")).withColumn("event_id", F.lit(0).cast("long"))
+        for kind in KINDS:
+            disk = stored(spark, sf_dir, way, kind)
+            cached = StoredIndex(disk.path, kind, *(t.select("*").persist() for t in (disk.objects, disk.catalog, disk.stats)))
+            for t in (cached.objects, cached.catalog, cached.stats):
+                t.count()
+            for store, index in (("memory", cached), ("disk", disk)):
+                for name, fn in (("range", lambda i=index: i.range(q)), ("neighbours", lambda i=index: i.neighbours(k))):
+                    rows.append((f"{store}: {name} {kind}", way, measures.timed(name, fn, repeats=1, warmup=0)["value"]))
+            for t in (cached.objects, cached.catalog, cached.stats):
+                t.unpersist()
+        state = st.mo_orders(spark, sf_dir).withColumn("ts", F.lit(0).cast("timestamp")).withColumn("event_id", F.lit(0).cast("long"))
         new = state.withColumn("ts", F.lit(1).cast("timestamp")).withColumn("vx", -F.col("vx"))
-        rows.append(("updates", way, measures.timed("updates", lambda a=state, b=new: update.apply_updates(a, b, plan)[1], repeats=1)["value"]))
-        cached.unpersist()
+        route = router(spark, sf_dir, way)
+        rows.append(("updates", way, throughput(spark, state, new, route, f"{root}/{way}")))
     return _timings(rows, spark)
 
 
-def hourly_plans(spark: SparkSession, sf_dir: str, hours: tuple[int, ...], p: OptimizerParams, rush: bool = False) -> dict[int, opt.Optimised]:
-    events = st.mo_events(spark, sf_dir, rush, one_object_per_event=True)
-    return {h: opt.optimise(events.where(F.col("hr") == h), p) for h in hours}
+P25 = OptimizerParams(q=10, capacity=25)
 
 
-P25 = OptimizerParams(q=10, capacity=25)
+def hourly_events(spark: SparkSession, sf_dir: str, rush: bool = False) -> DataFrame:
+    return st.mo_events(spark, sf_dir, rush, one_object_per_event=True)
+
+
+def hourly_plans(spark: SparkSession, sf_dir: str, p: OptimizerParams = P25, rush: bool = False) -> dict[int, opt.Optimised]:
+    """Plans of all hours of the day, refreshed every hour."""
+    key = (spark.sparkContext.applicationId, sf_dir, p, rush)
+    if key not in _hours:
+        _hours[key] = update.refresh_plan(hourly_events(spark, sf_dir, rush), p)
+    return _hours[key]
+
+
+_hours: dict[tuple, dict[int, opt.Optimised]] = {}
+#: Parts of an hour are numbered from the hour times this.
+HOUR = 1000
+
+
+def hourly_parts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every event under its own hour's plan; part is hour * HOUR + part, so that one index holds all hours."""
+    plans = update.plans_by(hourly_plans(spark, sf_dir))
+    ends = plans.groupBy("hr").agg(F.min("part").alias("first"), F.max("part").alias("last"))
+    edges = plans.join(ends, "hr").select(
+        F.col("hr").alias("p_hr"), (F.col("hr") * HOUR + F.col("part")).alias("part"), "quadrants", F.when(F.col("part") == F.col("first"), float("-inf")).otherwise(F.col("lo")).alias("lo"), F.when(F.col("part") == F.col("last"), float("inf")).otherwise(F.col("hi")).alias("hi")
+    )
+    rows = motion.valid(hourly_events(spark, sf_dir))
+    out = rows.join(F.broadcast(edges), (F.col("hr") == F.col("p_hr")) & (F.col("speed") > F.col("lo")) & (F.col("speed") <= F.col("hi")))  # a row for each hour and part
+    return out.select(*st.COLUMNS, "hr", "part", F.when(F.col("quadrants") == 1, motion.quadrant_of()).otherwise(0).alias("quadrant"))
+
+
+def _hourly_index(spark: SparkSession, sf_dir: str) -> StoredIndex:
+    root = checkpoint_folder(spark).rstrip("/")
+    key = (spark.sparkContext.applicationId, root, sf_dir, "hours")
+    if key not in _indexes:
+        _indexes[key] = store_index(hourly_parts(spark, sf_dir), f"{root}/index-hours-{time.time_ns()}", "box", 25)
+    return _indexes[key]
+
+
+def _every_hour(queries: DataFrame) -> DataFrame:
+    """A query set once for each hour, with the hour in its ids."""
+    hours = queries.sparkSession.range(24).select(F.col("id").cast("int").alias("q_hr"))
+    return queries.crossJoin(F.broadcast(hours)).withColumn("qid", F.col("qid") + F.col("q_hr") * SETS)
+
+
+def hourly_range(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """setting, value (hour), qid, answers of every range query in every hour."""
+    index, q = _hourly_index(spark, sf_dir), _every_hour(st.q_range(spark, sf_dir))
+    hits = index_box.candidate_nodes(index.catalog, q, scope=F.expr(f"n.part div {HOUR} = q.q_hr"))
+    rows = index.objects.join(hits, ["part", "quadrant", "node"]).join(F.broadcast(q), "qid").where(partitions.inside())
+    return rows.groupBy("qid").agg(F.count(F.lit(1)).alias("answers")).select(F.lit("hr").alias("setting"), F.expr(f"qid div {SETS}").alias("value"), (F.col("qid") % SETS).alias("qid"), "answers")
+
+
+def hourly_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """setting, value (hour), qid, rank, oid of every neighbour query in every hour."""
+    index, q = _hourly_index(spark, sf_dir), _every_hour(st.q_knn(spark, sf_dir))
+    got = query.knn_box(None, q, objects=index.objects.drop("hr"), nodes=index.catalog, scope=F.expr(f"n.part div {HOUR} = q.q_hr"))
+    return got.select(F.lit("hr").alias("setting"), F.expr(f"qid div {SETS}").alias("value"), (F.col("qid") % SETS).alias("qid"), "rank", "oid")
+
+
+def hourly_throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """hr, way, updates, per_second: each hour's updates applied to the state before it, under the plan of that hour and with one part."""
+    root, rows = f"{checkpoint_folder(spark)}/hours-{time.time_ns()}", []
+    events = st.mo_events(spark, sf_dir)
+    for hr, x in hourly_plans(spark, sf_dir).items():
+        new = events.where(F.col("hr") == hr)
+        old = motion.latest_status(events.where(F.col("hr") == (hr + 23) % 24), columns=update.STATE)
+        n = new.count()
+        for way, route in (("optimal", lambda r, plan=x.plan: partitions.assign_parts(r, plan)), ("one", partitions.single_part)):
+            rows.append((hr, way, n, n / throughput(spark, old, new, route, f"{root}/{way}-{hr}")))
+    return spark.createDataFrame(rows, "hr int, way string, updates long, per_second double")
 
 
 def hourly_plan_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
-    plans = hourly_plans(spark, sf_dir, (4, 12), P25)
-    return _union([x.plan.select(F.lit(h).alias("hr"), *[F.col(c).cast("long").alias(c) for c in ("part", "lo_layer", "hi_layer")], "quadrants") for h, x in plans.items()])
+    plans = update.plans_by(hourly_plans(spark, sf_dir))
+    return plans.select(F.col("hr").cast("int").alias("hr"), *[F.col(c).cast("long").alias(c) for c in ("part", "lo_layer", "hi_layer")], "quadrants")
 
 
 def plan_regret(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Regret of the plan of hour 4 at hour 12 with an injected peak."""
-    plans = hourly_plans(spark, sf_dir, (4, 12), P25, rush=True)
-    return update.needs_refresh(plans[4], plans[12]).select(F.floor(F.col("regret") * 10000).cast("long").alias("regret_4"), "refresh")
+    """hr, regret_4, refresh: what the plan of each hour before costs with an injected peak, against the hour's own plan."""
+    plans = hourly_plans(spark, sf_dir, rush=True)
+    return _union([update.needs_refresh(plans[(h + 23) % 24], x).select(F.lit(h).alias("hr"), F.floor(F.col("regret") * 10000).cast("long").alias("regret_4"), "refresh") for h, x in plans.items() if (h + 23) % 24 in plans])
 
 
 def quad_share_by_speed(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -205,20 +339,28 @@ def add_workloads(add) -> None:
     add("w3_memory_and_disk", memory_and_disk)
     add("w4_cities_range", lambda s, d: _union([_range_answers(s, d, c, c, 0, r(s, d)) for c in ("mix-S", "mix-L", "mix-B")]), _counts_sql([(c, 0, o.orders(c), o.ranges()) for c in ("mix-S", "mix-L", "mix-B")]))
     add("w4_cities_neighbours", lambda s, d: _union([_knn_answers(s, d, c, c, 0, k(s, d)) for c in ("mix-S", "mix-L", "mix-B")]), _knn_sql([(c, 0, o.orders(c), o.knns()) for c in ("mix-S", "mix-L", "mix-B")]))
-    add("w4_cities_compared", lambda s, d: _union([partitioner_comparison(s, d, c, ("optimal", "one", "seed_refined", "axis")).withColumn("city", F.lit(c)) for c in ("mix-S", "mix-L", "mix-B")]))
+    add("w4_cities_compared", lambda s, d: _union([sweep_accesses(s, d, {0: r(s, d)}, c).withColumn("city", F.lit(c)) for c in ("mix-S", "mix-L", "mix-B")]))
+    add("w5_objects_compared", lambda s, d: _union([sweep_accesses(s, d, {m: r(s, d)}, f"lineitem-{m}", ("optimal", "one", "axis")) for m in SIXTHS]))
+    add("w5_objects_neighbours", lambda s, d: _union([_knn_answers(s, d, f"lineitem-{m}", "m", m, k(s, d)) for m in SIXTHS]), _knn_sql([("m", m, o.lineitem(m), o.knns()) for m in SIXTHS]))
+    add("w6_node_sizes_compared", lambda s, d: _union([sweep_accesses(s, d, {b: r(s, d)}, "orders", ("optimal", "one"), capacity_of(b)) for b in NODE_BYTES]))
+    add("w7_times_compared", lambda s, d: sweep_accesses(s, d, {t: r(s, d, 400, t) for t in TIMES}))
+    add("w7_times_neighbours_curve", lambda s, d: _union([_knn_answers(s, d, "orders", "t", t, k(s, d, 30, t), "curve") for t in TIMES]), _knn_sql([("t", t, o.orders(), o.knns(30, t)) for t in TIMES]))
+    add("w8_windows_compared", lambda s, d: sweep_accesses(s, d, {x: r(s, d, x) for x in WINDOWS}))
+    add("w8_windows_range_curve", lambda s, d: _union([_range_answers(s, d, "orders", "window", x, r(s, d, x), index="curve") for x in WINDOWS]), _counts_sql([("window", x, o.orders(), o.ranges(x)) for x in WINDOWS]))
+    add("w9_neighbours_times", lambda s, d: sweep_times(s, d, {x: k(s, d, x) for x in (NEIGHBOURS[0], NEIGHBOURS[-1])}, "neighbours"))
+    add("w9_neighbours_curve", lambda s, d: _union([_knn_answers(s, d, "orders", "k", x, k(s, d, x), "curve") for x in NEIGHBOURS]), _knn_sql([("k", x, o.orders(), o.knns(x)) for x in NEIGHBOURS]))
     add("w5_objects_range", lambda s, d: _union([_range_answers(s, d, f"lineitem-{m}", "m", m, r(s, d)) for m in SIXTHS]), _counts_sql([("m", m, o.lineitem(m), o.ranges()) for m in SIXTHS]))
     add("w6_node_sizes_range", lambda s, d: _union([_range_answers(s, d, "orders", "bytes", b, r(s, d), capacity=capacity_of(b)) for b in NODE_BYTES]), _counts_sql([("bytes", b, o.orders(), o.ranges()) for b in NODE_BYTES]))
-    add("w6_node_sizes_accesses", lambda s, d: _union([total_accesses(partitioned(s, d, way), r(s, d), capacity_of(b)).select(F.lit(way).alias("way"), F.lit(b).alias("bytes"), "accesses") for b in NODE_BYTES for way in ("optimal", "one")]))
     add("w7_times_range", lambda s, d: _union([_range_answers(s, d, "orders", "t", t, r(s, d, 400, t)) for t in TIMES]), _counts_sql([("t", t, o.orders(), o.ranges(400, t)) for t in TIMES]))
     add("w7_times_range_curve", lambda s, d: _union([_range_answers(s, d, "orders", "t", t, r(s, d, 400, t), index="curve") for t in TIMES]), _counts_sql([("t", t, o.orders(), o.ranges(400, t)) for t in TIMES]))
     add("w7_times_neighbours", lambda s, d: _union([_knn_answers(s, d, "orders", "t", t, k(s, d, 30, t)) for t in TIMES]), _knn_sql([("t", t, o.orders(), o.knns(30, t)) for t in TIMES]))
     add("w8_windows_range", lambda s, d: _union([_range_answers(s, d, "orders", "window", x, r(s, d, x)) for x in WINDOWS]), _counts_sql([("window", x, o.orders(), o.ranges(x)) for x in WINDOWS]))
     add("w9_neighbours", lambda s, d: _union([_knn_answers(s, d, "orders", "k", x, k(s, d, x)) for x in NEIGHBOURS]), _knn_sql([("k", x, o.orders(), o.knns(x)) for x in NEIGHBOURS]))
     hours = o.events(oid="event_id")
-    add("w10_hourly_plans", hourly_plan_rows,
-        " UNION ALL ".join(f"SELECT * FROM (WITH {o.optimiser(f'SELECT oid, x, y, vx, vy, speed, t_ref FROM ({hours}) WHERE hr = {h}', c=25)} SELECT {h} AS hr, part, lo_layer, hi_layer, quadrants FROM plan)" for h in (4, 12)))
-    add("w10_hours_range", lambda s, d: _union([query.range_box(partitions.assign_parts(st.mo_events(s, d, one_object_per_event=True).where(F.col("hr") == h), x.plan), r(s, d), 25).groupBy("qid").agg(F.count(F.lit(1)).alias("answers")).select(F.lit("hr").alias("setting"), F.lit(h).cast("long").alias("value"), "qid", "answers") for h, x in hourly_plans(s, d, (4, 12), P25).items()]),
-        _counts_sql([("hr", h, f"SELECT * FROM ({hours}) WHERE hr = {h}", o.ranges()) for h in (4, 12)]))
+    add("w10_hourly_plans", hourly_plan_rows, " UNION ALL ".join(f"SELECT * FROM (WITH {o.optimiser(f'SELECT oid, x, y, vx, vy, speed, t_ref FROM ({hours}) WHERE hr = {h}', c=25)} SELECT {h} AS hr, part, lo_layer, hi_layer, quadrants FROM plan)" for h in range(24)))
+    add("w10_hours_range", hourly_range, _counts_sql([("hr", h, f"SELECT * FROM ({hours}) WHERE hr = {h}", o.ranges()) for h in range(24)]))
+    add("w10_hours_neighbours", hourly_neighbours, _knn_sql([("hr", h, f"SELECT * FROM ({hours}) WHERE hr = {h}", o.knns()) for h in range(24)]))
+    add("w10_hours_throughput", hourly_throughput)
     add("plan_regret", plan_regret)
     add("w11_traffic", traffic_rows)
     add("w12_ablations", ablations)

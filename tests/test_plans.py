@@ -180,6 +180,20 @@ def test_grains_are_ordered(spark, sf):
         assert by["speed"][k] <= by["region"][k] * (1 + 1e-12) and by["region"][k] <= by["part"][k] * (1 + 1e-12) and by["part"][k] <= min(by["off"][k], by["on"][k]) * (1 + 1e-12)
 
 
+@pytest.mark.parametrize("change", [{}, {"bins": 4}, {"quadrant_grain": "speed"}, {"representative": "max", "node_rounding": "exact"}, {"layering": "equal_depth", "max_depth": 3}])
+def test_arrays_and_tables_give_one_plan(spark, sf, change):
+    from kinetic.sources.shared import kept
+    from kinetic.sources.standins import mo_orders
+
+    mo, p = mo_orders(spark, sf), OptimizerParams(**({"q": 8} | change))
+    here, spread = optimise.optimise(mo, p), optimise.optimise(mo, p, kept)
+    assert sorted(here.layers.collect()) == sorted(spread.layers.collect())
+    assert set(map(tuple, here.splits.collect())) == set(map(tuple, spread.splits.select("layer", "level", "code").collect()))
+    a, b = ({(r["s"], r["r"]): r for r in x.cost.collect()} for x in (here, spread))
+    assert a.keys() == b.keys() and all(a[k]["v"] == pytest.approx(b[k]["v"], rel=1e-12) and a[k]["regions"] == b[k]["regions"] and a[k]["quadrants"] == b[k]["quadrants"] for k in a)
+    assert [r["hi_layer"] for r in here.plan.orderBy("part").collect()] == [r["hi_layer"] for r in spread.plan.orderBy("part").collect()]
+
+
 def test_odd_inputs(spark):
     p = OptimizerParams(q=10)
     empty = mo(spark, [])
