@@ -1,8 +1,9 @@
 """Traffic on a road network: junctions, segments, and vehicles that drive leg by leg.
 
-A vehicle starts at a junction, drives a segment at a speed round its class's
-mean, may stop at the crossroads with one chance in four, and turns into a
-segment picked by modular arithmetic; legs are unrolled, no driver loop.
+A vehicle starts anywhere on a segment, drives at a speed that is about normal
+round the mean of the segment's class (deviation 10), may stop at the crossroads
+with one chance in four, and turns into a segment picked by modular arithmetic;
+legs are unrolled, no driver loop.
 """
 
 from __future__ import annotations
@@ -32,16 +33,21 @@ def segments(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def traffic(spark: SparkSession, sf_dir: str, seconds: float = 120.0, legs: int = 8) -> DataFrame:
-    """oid, leg, t0, t1, x, y, vx, vy, speed, stopped: what each vehicle (an order) does until ``seconds`` are over."""
+    """oid, leg, t0, t1, x, y, vx, vy, speed, stopped: what each vehicle (an order) does until ``seconds`` are over.
+
+    Speeds add four even draws, which have the deviation of a normal one; the
+    first leg begins at a share of its segment.
+    """
     start = read(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("oid"), F.expr("cast(o_custkey % 25 as int)").alias("at"))
     step = """
     aggregate(sequence(1, {legs}), named_struct('t', 0D, 'at', at, 'out', cast(array() as array<struct<leg:int,t0:double,t1:double,x:double,y:double,vx:double,vy:double,speed:double,stopped:int>>)), (s, i) ->
-      aggregate(array(named_struct('way', cast((oid * 31 + i * 17 + s.at * 7) % 4 as int), 'rest', IF((oid * 13 + i * 29) % 4 = 0, cast((oid * 7 + i * 3) % 20 as double), 0D), 'noise', cast((oid * 37 + i * 101) % 41 as double) - 20D)), s, (z, d) ->
-        named_struct('t', z.t + d.rest + 2000D / greatest(0.5D, {mu} + d.noise),
+      aggregate(array(named_struct('way', cast((oid * 31 + i * 17 + s.at * 7) % 4 as int), 'rest', IF(i > 1 AND (oid * 13 + i * 29) % 4 = 0, cast((oid * 7 + i * 3) % 20 as double), 0D), 'noise', 10 * 1.7320508075688772D * (((oid * 37 + i * 101) % 997) / 997 + ((oid * 61 + i * 211) % 991) / 991 + ((oid * 13 + i * 307) % 983) / 983 + ((oid * 89 + i * 401) % 977) / 977 - 2), 'done', IF(i = 1, ((oid * 71 + 17) % 1009) / 1009, 0D))), s, (z, d) ->
+        named_struct('t', z.t + d.rest + 2000D * (1 - d.done) / greatest(0.5D, {mu} + d.noise),
           'at', {to},
           'out', concat(z.out, array(
             named_struct('leg', 2 * i - 1, 't0', z.t, 't1', z.t + d.rest, 'x', 1000D + 2000D * (z.at % 5), 'y', 1000D + 2000D * (z.at div 5), 'vx', 0D, 'vy', 0D, 'speed', 0D, 'stopped', 1),
-            named_struct('leg', 2 * i, 't0', z.t + d.rest, 't1', z.t + d.rest + 2000D / greatest(0.5D, {mu} + d.noise), 'x', 1000D + 2000D * (z.at % 5), 'y', 1000D + 2000D * (z.at div 5),
+            named_struct('leg', 2 * i, 't0', z.t + d.rest, 't1', z.t + d.rest + 2000D * (1 - d.done) / greatest(0.5D, {mu} + d.noise),
+              'x', 1000D + 2000D * (z.at % 5) + 2000D * d.done * (({to}) % 5 - z.at % 5), 'y', 1000D + 2000D * (z.at div 5) + 2000D * d.done * (({to}) div 5 - z.at div 5),
               'vx', greatest(0.5D, {mu} + d.noise) * (({to}) % 5 - z.at % 5), 'vy', greatest(0.5D, {mu} + d.noise) * (({to}) div 5 - z.at div 5), 'speed', greatest(0.5D, {mu} + d.noise), 'stopped', 0)))))
     )
     """

@@ -324,6 +324,14 @@ def traffic_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _union([generator.traffic_at(legs, float(t)).agg(F.count(F.lit(1)).alias("vehicles"), F.sum((F.col("speed") == 0).cast("long")).alias("stopped")).select(F.lit(t).alias("t"), "vehicles", "stopped") for t in (0, 30, 60, 90)])
 
 
+def traffic_answers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """way, answers, truth, hits: range queries over the vehicles under way after a minute, planned for them, against the scan."""
+    mo, q = generator.traffic_at(generator.traffic(spark, sf_dir), 60.0), st.q_range(spark, sf_dir, t=90)
+    plan, truth = opt.optimise(mo, P10).plan, query.range_scan(mo, q)
+    ways = {"optimal box": lambda: query.range_box(partitions.assign_parts(mo, plan), q), "optimal curve": lambda: query.range_curve(partitions.assign_parts(mo, plan), q), "one box": lambda: query.range_box(partitions.single_part(mo), q)}
+    return _union([measures.answer_quality(way(), truth).agg(*[F.sum(c).alias(c) for c in ("answers", "truth", "hits")]).select(F.lit(name).alias("way"), "answers", "truth", "hits") for name, way in ways.items()])
+
+
 def _counts_sql(cases: list[tuple[str, int, str, str]]) -> str:
     return " UNION ALL ".join(f"SELECT '{label}' AS setting, CAST({value} AS BIGINT) AS value, qid, answers FROM ({o.range_counts(mo, q)})" for label, value, mo, q in cases)
 
@@ -363,6 +371,7 @@ def add_workloads(add) -> None:
     add("w10_hours_throughput", hourly_throughput)
     add("plan_regret", plan_regret)
     add("w11_traffic", traffic_rows)
+    add("w11_traffic_range", traffic_answers)
     add("w12_ablations", ablations)
     add("w13_continuous_velocities", lambda s, d: _union([_range_answers(s, d, "embed", way, 0, r(s, d, 1000), way, capacity=25) for way in ("optimal", "seed", "axis")]), _counts_sql([(way, 0, o.embed(), o.ranges(1000)) for way in ("optimal", "seed", "axis")]))
     add("partitioners_compared", lambda s, d: best_of(partitioner_comparison(s, d)))
@@ -420,11 +429,29 @@ def add_streams(add) -> None:
     gap = 6 * 3600 * 1000000
     add("stream_sessions", sessions, f"WITH e AS (SELECT oid, us, CASE WHEN us - lag(us) OVER (PARTITION BY oid ORDER BY us) < {gap} THEN 0 ELSE 1 END AS new FROM ({events})), g AS (SELECT *, sum(new) OVER (PARTITION BY oid ORDER BY us ROWS UNBOUNDED PRECEDING) AS g FROM e), z AS (SELECT oid, min(us) AS start_us, max(us) + {gap} AS stop_us, count(*) AS n FROM g GROUP BY oid, g) SELECT oid, start_us, stop_us, n FROM z, {last} WHERE stop_us <= mark")
 
-    def routed(s: SparkSession, d: str) -> DataFrame:
-        """The controller's layout after all updates: objects of each part."""
-        plan = s.createDataFrame([(1, 0, 1, 0.0, 8.0, 0, 1.0), (2, 1, 2, 8.0, 16.0, 1, 1.0), (3, 2, 3, 16.0, 1e9, 1, 1.0)], "part int, lo_layer int, hi_layer int, lo double, hi double, quadrants int, cost double")
-        path = into(s, "routed")
-        c.stream_controller(c.updates_source(s, d), plan, f"{path}/layout", f"{path}/checkpoint").awaitTermination()
-        return update.current(s, f"{path}/layout").groupBy(F.col("part").cast("long").alias("part")).agg(F.count(F.lit(1)).alias("n"))
+    demo = [(1, 0, 1, 0.0, 8.0, 0, 1.0), (2, 1, 2, 8.0, 16.0, 1, 1.0), (3, 2, 3, 16.0, 1e9, 1, 1.0)]
 
-    add("stream_controller", routed, f"SELECT part, count(*) AS n FROM (SELECT CAST(CASE WHEN speed <= 8 THEN 1 WHEN speed <= 16 THEN 2 ELSE 3 END AS BIGINT) AS part FROM ({events}) QUALIFY row_number() OVER (PARTITION BY oid ORDER BY us DESC, event_id DESC) = 1) GROUP BY part")
+    def controller(s: SparkSession, d: str, params: OptimizerParams | None) -> tuple[DataFrame, DataFrame, DataFrame]:
+        """The controller over the events in four slices of time."""
+        plan = s.createDataFrame(demo, "part int, lo_layer int, hi_layer int, lo double, hi double, quadrants int, cost double")
+        path = into(s, "routed")
+        folder = c.events_by_time(s, d, f"{path}/source")
+        c.stream_controller(c.updates_source(s, folder, 1), plan, f"{path}/layout", f"{path}/checkpoint", params, "1 day").awaitTermination()
+        return c.controlled(s, f"{path}/layout")
+
+    part = "CASE WHEN speed <= 8 THEN 1 WHEN speed <= 16 THEN 2 ELSE 3 END"
+    newest = f"(SELECT * FROM ({events}) QUALIFY row_number() OVER (PARTITION BY oid ORDER BY us DESC, event_id DESC) = 1)"
+    add("stream_controller", lambda s, d: controller(s, d, None)[0].groupBy(F.col("part").cast("long").alias("part")).agg(F.count(F.lit(1)).alias("n")), f"SELECT part, count(*) AS n FROM (SELECT CAST({part} AS BIGINT) AS part FROM {newest}) GROUP BY part")
+    # a slice of time is a batch; its newest status of each object meets the newest before
+    place = f"{part} AS part, CASE WHEN speed <= 8 THEN 0 ELSE 2 * CAST(vx >= 0 AS INT) + CAST(vy >= 0 AS INT) END AS quadrant"
+    add("stream_migrations", lambda s, d: controller(s, d, None)[1].groupBy(F.col("gen").cast("long").alias("gen"), "action").agg(F.count(F.lit(1)).alias("n")),
+        f"WITH e AS (SELECT *, {place} FROM ({events})), b AS (SELECT min(us) AS a, max(us) - min(us) + 1 AS w FROM e), s AS (SELECT e.*, least(3, CAST(floor((us - a) * 4 / w::double) AS BIGINT)) AS gen FROM e, b), l AS (SELECT * FROM s QUALIFY row_number() OVER (PARTITION BY oid, gen ORDER BY us DESC, event_id DESC) = 1), "
+        "m AS (SELECT oid, gen, part, quadrant, lag(part) OVER o AS p, lag(quadrant) OVER o AS q FROM l WINDOW o AS (PARTITION BY oid ORDER BY gen)) SELECT gen, CASE WHEN p IS NULL THEN 'insert' WHEN p = part AND q = quadrant THEN 'update' ELSE 'migrate' END AS action, count(*) AS n FROM m GROUP BY 1, 2")
+    add("stream_replanned", lambda s, d: controller(s, d, OptimizerParams(q=10, capacity=25))[2].groupBy(F.col("gen").cast("long").alias("gen")).agg(F.count(F.lit(1)).alias("parts"), F.max("since").alias("since")))
+
+    def sliding(s: SparkSession, d: str) -> DataFrame:
+        rows = c.run_to_end(c.sliding_speeds(c.updates_source(s, d)), into(s, "sliding"))
+        return rows.select(F.unix_micros("start").alias("start_us"), "n", F.floor(F.col("fastest") * 1000 + F.lit(0.5)).cast("long").alias("fastest_milli"))
+
+    quarter = 900000000
+    add("stream_sliding_speed", sliding, f"SELECT us // {quarter} * {quarter} - k * {quarter} AS start_us, count(*) AS n, CAST(floor(max(speed) * 1000 + 0.5) AS BIGINT) AS fastest_milli FROM ({events}), {last}, generate_series(0, 3) AS g(k) WHERE us // {quarter} * {quarter} - k * {quarter} + 3600000000 <= mark GROUP BY 1")
