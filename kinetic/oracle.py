@@ -137,6 +137,17 @@ def optimiser(mo: str, q: int = Q, grain: str = "part", rounding: str = "ceil",
     return ", ".join([layer_ctes(mo, q), cell_ctes(), test_ctes(), split_ctes(), TILING, cost_ctes(c, grain=grain, rounding=rounding), plan_ctes(k)])
 
 
+def optimiser_by_prefixes(mo: str, q: int, c: int = 102) -> str:
+    """The same plan for more layers than masks can list: the least cost of every prefix, then the way back. Needs WITH RECURSIVE."""
+    steps = (
+        "nq AS (SELECT max(layer) AS q FROM layers), dp AS (SELECT CAST(0 AS BIGINT) AS r, [0.0::double] AS best, [CAST(0 AS BIGINT)] AS last "
+        "UNION ALL SELECT dp.r + 1, list_append(best, (SELECT min(best[s + 1] + v) FROM cost WHERE cost.r = dp.r + 1)), list_append(last, (SELECT arg_min(s, best[s + 1] + v) FROM cost WHERE cost.r = dp.r + 1)) FROM dp, nq WHERE dp.r < q), "
+        "done AS (SELECT last FROM dp, nq WHERE r = q), way AS (SELECT q AS r, last[q + 1] AS s FROM done, nq UNION ALL SELECT s, last[s + 1] FROM way, done WHERE s > 0), "
+        "plan AS (SELECT row_number() OVER (ORDER BY r) AS part, s AS lo_layer, r AS hi_layer, coalesce((SELECT hi FROM layers WHERE layer = s), 0) AS lo, (SELECT hi FROM layers WHERE layer = r) AS hi, quadrants, v AS cost FROM way JOIN cost USING (s, r))"
+    )
+    return ", ".join([layer_ctes(mo, q), cell_ctes(), test_ctes(), split_ctes(), TILING, cost_ctes(c), steps])
+
+
 _QUADRANT = "2 * CAST(vx >= 0 AS INT) + CAST(vy >= 0 AS INT)"
 PARTED = f"parted AS (SELECT mo.*, p.part, CASE WHEN p.quadrants = 1 THEN {_QUADRANT} ELSE 0 END AS quadrant FROM mo JOIN plan p ON (p.part = 1 OR speed > p.lo) AND (p.part = (SELECT max(part) FROM plan) OR speed <= p.hi))"
 

@@ -155,7 +155,7 @@ add("optimal_plan", lambda s, d: plan_columns(optimised(s, d, P10).plan), f"WITH
 add("brute_force_plan", lambda s, d: plan_columns(optimise.brute_force_plan(optimised(s, d, P10).cost, optimised(s, d, P10).layers)), f"WITH {_OPT} {_PLAN_COLUMNS}")
 add("optimal_plan_off", lambda s, d: plan_columns(optimised(s, d, OptimizerParams(q=10, quadrant_grain="off")).plan), f"WITH {o.optimiser(o.orders(), grain='off')} {_PLAN_COLUMNS}")
 add("plan_fixed_k", lambda s, d: plan_columns(optimise.plan_with_k(optimised(s, d, P10).cost, optimised(s, d, P10).layers, 3)), f"WITH {o.optimiser(o.orders(), k=3)} {_PLAN_COLUMNS}")
-add("optimal_plan_q50", lambda s, d: plan_columns(optimised(s, d, OptimizerParams()).plan))
+add("optimal_plan_q50", lambda s, d: plan_columns(optimised(s, d, OptimizerParams()).plan), f"WITH RECURSIVE {o.optimiser_by_prefixes(o.orders(), 50)} {_PLAN_COLUMNS}")
 add("optimal_plan_lineitem", lambda s, d: plan_columns(optimised(s, d, P10, "lineitem").plan), f"WITH {o.optimiser(o.lineitem())} {_PLAN_COLUMNS}")
 add("optimal_plan_sampled", lambda s, d: plan_columns(optimise.optimise_sampled(orders(s, d), P10, 0.5).plan))
 add("dp_table", lambda s, d: _dp(optimised(s, d, P10).cost),
@@ -287,6 +287,19 @@ add("estimate_accuracy", lambda s, d: measures.estimate_accuracy(measures.estima
 add("velocity_aware_packing", lambda s, d: measures.node_accesses(index_box.candidate_nodes(index_box.node_boxes(index_box.build_nodes(parted10(s, d), pack_at=60.0)), st.q_range(s, d))))
 _KEYED = f"WITH mo AS ({o.orders()}), k AS (SELECT *, x + vx * 60 AS lx, y + vy * 60 AS ly FROM mo) "
 add("curve_keys_z", lambda s, d: index_curve.curve_keys(partitions.single_part(orders(s, d))).select("oid", "label", "key"), _KEYED + f"SELECT oid, 1 AS label, {o.code('lx', 'ly', 6)} AS key FROM k")
+
+
+def _hilbert(s: SparkSession, d: str) -> DataFrame:
+    """What makes the keys of a grid a Hilbert curve: one key a cell, steps of one side, and whole squares in every run of 4**k keys."""
+    cells = s.range(64 * 64).select((F.col("id") % 64).alias("gx"), F.expr("id div 64").alias("gy"))
+    keyed = cells.withColumn("key", index_curve.hilbert_code(F.col("gx"), F.col("gy"), 6))
+    after = keyed.select((F.col("key") - 1).alias("key"), F.col("gx").alias("nx"), F.col("gy").alias("ny"))
+    steps = keyed.join(after, "key").where(F.abs(F.col("gx") - F.col("nx")) + F.abs(F.col("gy") - F.col("ny")) == 1).agg(F.count(F.lit(1)).alias("unit_steps"))
+    runs = keyed.withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(5)))).select("k", F.expr("shiftright(key, 2 * k)"), F.expr("shiftright(gx, k)"), F.expr("shiftright(gy, k)")).distinct().agg(F.count(F.lit(1)).alias("squares"))
+    return keyed.agg(F.countDistinct("key").alias("keys"), F.min("key").alias("low"), F.max("key").alias("high")).crossJoin(steps).crossJoin(runs)
+
+
+add("curve_hilbert_definition", _hilbert, "SELECT CAST(4096 AS BIGINT) AS keys, CAST(0 AS BIGINT) AS low, CAST(4095 AS BIGINT) AS high, CAST(4095 AS BIGINT) AS unit_steps, CAST(1364 AS BIGINT) AS squares")
 _HRANK, _HNEXT = [[v for row in t for v in row] for t in (index_curve.HILBERT_RANK, index_curve.HILBERT_NEXT)]
 add("curve_keys_hilbert", lambda s, d: index_curve.curve_keys(partitions.single_part(orders(s, d)), curve="hilbert").select("oid", "label", "key"),
     "WITH RECURSIVE mo AS (" + o.orders() + "), g AS (SELECT oid, least(63, greatest(0, CAST(floor((x + vx * 60) / 10000.0::double * 64) AS BIGINT))) AS gx, least(63, greatest(0, CAST(floor((y + vy * 60) / 10000.0::double * 64) AS BIGINT))) AS gy FROM mo), "
