@@ -124,3 +124,41 @@ def test_traffic_stays_on_roads(spark, sf):
 def test_plans_have_no_cartesian_of_objects(spark, sf, parted):
     text = index_box.build_nodes(parted)._jdf.queryExecution().toString()
     assert "CartesianProduct" not in text
+
+
+def test_stored_index_answers_as_the_scan(spark, sf, parted, tmp_path):
+    from kinetic.operators.stored import open_index, store_index
+
+    q, k, mo = st.q_range(spark, sf, 1000, 90), st.q_knn(spark, sf, 7, 90), st.mo_orders(spark, sf)
+    near = sorted((r["qid"], r["rank"], r["oid"]) for r in query.knn_scan(mo, k).collect())
+    for kind in ("box", "curve"):
+        store_index(parted, str(tmp_path / kind), kind, 20)
+        index = open_index(spark, str(tmp_path / kind), kind)
+        assert pairs(index.range(q)) == pairs(query.range_scan(mo, q))
+        assert sorted((r["qid"], r["rank"], r["oid"]) for r in index.neighbours(k).collect()) == near
+    assert store_index(parted.limit(0), str(tmp_path / "none")).range(q).count() == 0
+
+
+def test_neighbours_are_cut_before_the_shuffle(spark, sf):
+    text = query.knn_scan(st.mo_orders(spark, sf), st.q_knn(spark, sf))._jdf.queryExecution().toString()
+    assert "WindowGroupLimit" in text
+
+
+def test_many_windows_meet_in_cells(spark, sf, parted, monkeypatch):
+    q = st.q_range(spark, sf, 1000, 60)
+    want = pairs(query.range_scan(parted, q))
+    for literal, broadcast in ((0, 10**9), (0, 0)):
+        monkeypatch.setattr(query, "LITERAL_WINDOWS", literal)
+        monkeypatch.setattr(query, "BROADCAST_CELLS", broadcast)
+        assert pairs(query.range_pushdown(parted, q)) == want
+
+
+def test_rivals_route_new_objects_by_their_fitted_rule(spark, sf):
+    from kinetic import workloads as w
+
+    mo = st.mo_orders(spark, sf)
+    for way in w.WAYS:
+        route = w.router(spark, sf, way)
+        whole = {r["oid"]: (r["part"], r["quadrant"]) for r in route(mo).select("oid", "part", "quadrant").collect()}
+        half = {r["oid"]: (r["part"], r["quadrant"]) for r in route(mo.where("oid % 2 = 0")).select("oid", "part", "quadrant").collect()}
+        assert len(whole) == mo.count() and all(whole[o] == p for o, p in half.items())
