@@ -29,13 +29,15 @@ def fold(id_col: str | Column = "doc_id") -> Column:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share: spark.checkpoint.dir, or one set here where it is unset (tests)."""
+    """The folder all executors share: spark.checkpoint.dir, or one set here where it is unset and all runs on one machine (tests)."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
         sc = spark.sparkContext
         named = sc._jsc.sc().getCheckpointDir()
         named = named.get() if named.isDefined() else None
         if not named:
+            if not sc.master.startswith("local"):
+                raise RuntimeError("spark.checkpoint.dir has to name a folder that all executors share")
             import tempfile
 
             named = "file://" + tempfile.mkdtemp(prefix="kinetic-shared-")

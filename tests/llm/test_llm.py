@@ -529,7 +529,7 @@ def test_pipeline_stages(spark, sf):
 def test_pipeline_odd(spark, odd, none):
     import corpus_pipeline as cp
 
-    left = {"exact_dedup": 5, "near_duplicates": 6, "mixing": 8, "packing": None}
+    left = {"exact_dedup": 4, "near_duplicates": 6, "mixing": 8, "packing": None}
     for name, stage in cp.STAGES[1:]:
         got = stage(spark, odd, "").collect()
         if name == "packing":
