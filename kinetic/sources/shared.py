@@ -8,13 +8,15 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def checkpoint_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder: spark.checkpoint.dir; one is set only where none is (tests)."""
+    """The session's checkpoint folder: spark.checkpoint.dir; one is set only where none is and all runs on one machine (tests)."""
     sc = spark.sparkContext
     own = sc._jsc.sc().getCheckpointDir()
     if own.isDefined():
         return own.get()
     named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
+        if not sc.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir has to name a folder that all executors share")
         import tempfile
 
         named = "file://" + tempfile.mkdtemp(prefix="kinetic-checkpoint-")
