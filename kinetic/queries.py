@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from kinetic import oracle as o
 from kinetic import workloads as w
-from kinetic.functions import motion
+from kinetic.functions import motion, sqlfuncs
 from kinetic.operators import baselines, index_box, index_curve, measures, partitions, query, update
 from kinetic.plans import domain, expansion, optimise, quad
 from kinetic.plans.params import OptimizerParams
@@ -326,6 +326,27 @@ def _runs(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
 add("curve_intervals", lambda s, d: _runs(s, d)[1].select("qid", "key_lo", "key_hi"), f"{_COVER} SELECT qid, key_lo, key_hi FROM runs")
 
 
+def sql_intervals(s: SparkSession, d: str) -> DataFrame:
+    """Runs of keys of every window, by the table function in a lateral join."""
+    sqlfuncs.register(s, orders(s, d), prefix="iv_")
+    st.q_range(s, d).createOrReplaceTempView("iv_q")
+    return s.sql("SELECT q.qid, i.key_lo, i.key_hi FROM iv_q q, LATERAL iv_curve_intervals(q.xlo, q.ylo, q.xhi, q.yhi, 6) i")
+
+
+add("sql_curve_intervals", sql_intervals,
+    f"WITH q AS ({o.ranges()}), cell AS (SELECT qid, gx, gy FROM q, generate_series(0, 63) AS x(gx), generate_series(0, 63) AS y(gy) WHERE gx BETWEEN {_g('xlo')} AND {_g('xhi')} AND gy BETWEEN {_g('ylo')} AND {_g('yhi')}), {_COVER[_COVER.index('z AS (SELECT qid'):]} SELECT qid, key_lo, key_hi FROM runs")
+
+
+def sql_neighbours(s: SparkSession, d: str) -> DataFrame:
+    """The neighbours of every place, by the table function."""
+    sqlfuncs.register(s, orders(s, d), prefix="nn_")
+    asked = st.q_knn(s, d).collect()  # a row for each nation
+    return s.sql(" UNION ALL ".join(f"SELECT {r['qid']}L AS qid, CAST(rank AS BIGINT) AS rank, oid, dist2 FROM nn_knn_query({r['cx']!r}D, {r['cy']!r}D, {r['k']}, {r['t']!r}D)" for r in asked))
+
+
+add("sql_neighbours", sql_neighbours, _KNN)
+
+
 def _false_hits(s: SparkSession, d: str) -> DataFrame:
     keyed, runs = _runs(s, d)
     return measures.false_hits(index_curve.probe_intervals(keyed, runs), query.range_scan(orders(s, d), st.q_range(s, d, t=90)))
