@@ -162,3 +162,14 @@ def test_rivals_route_new_objects_by_their_fitted_rule(spark, sf):
         whole = {r["oid"]: (r["part"], r["quadrant"]) for r in route(mo).select("oid", "part", "quadrant").collect()}
         half = {r["oid"]: (r["part"], r["quadrant"]) for r in route(mo.where("oid % 2 = 0")).select("oid", "part", "quadrant").collect()}
         assert len(whole) == mo.count() and all(whole[o] == p for o, p in half.items())
+
+
+def test_plans_are_made_from_the_tables_as_they_are_now(spark, sf, duck, tmp_path):
+    def objects() -> int:
+        return kq.QUERIES["range_costs"](spark, str(tmp_path)).agg(F.max("n")).first()[0]
+
+    duck.execute(f"COPY customer TO '{tmp_path}/customer.parquet' (FORMAT parquet)")
+    for n in (1000, 600):
+        duck.execute(f"COPY (SELECT * FROM orders ORDER BY o_orderkey LIMIT {n}) TO '{tmp_path}/orders.parquet' (FORMAT parquet)")
+        spark.catalog.refreshByPath(f"{tmp_path}/orders.parquet")
+        assert objects() == n
