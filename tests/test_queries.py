@@ -173,3 +173,16 @@ def test_plans_are_made_from_the_tables_as_they_are_now(spark, sf, duck, tmp_pat
         duck.execute(f"COPY (SELECT * FROM orders ORDER BY o_orderkey LIMIT {n}) TO '{tmp_path}/orders.parquet' (FORMAT parquet)")
         spark.catalog.refreshByPath(f"{tmp_path}/orders.parquet")
         assert objects() == n
+
+
+def test_hilbert_keys_of_the_objects_cells(spark, sf, duck):
+    same(kq.QUERIES["curve_hilbert_definition"](spark, sf), duck, kq.ORACLES["curve_hilbert_definition"])
+
+
+def test_hilbert_keys_of_the_whole_grid(spark):
+    cells = spark.range(4096).select((F.col("id") % 64).alias("gx"), F.expr("id div 64").alias("gy"))
+    at = {r["key"]: (r["gx"], r["gy"]) for r in cells.withColumn("key", index_curve.hilbert_code(F.col("gx"), F.col("gy"), 6)).collect()}
+    assert sorted(at) == list(range(4096))
+    assert all(abs(at[k][0] - at[k + 1][0]) + abs(at[k][1] - at[k + 1][1]) == 1 for k in range(4095))
+    for k in range(1, 6):
+        assert len({(key >> 2 * k, x >> k, y >> k) for key, (x, y) in at.items()}) == 4 ** (6 - k)
