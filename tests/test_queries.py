@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 from kinetic import queries as kq
 from kinetic.functions import sqlfuncs
-from kinetic.operators import index_box, index_curve, partitions, query, update
+from kinetic.operators import index_box, index_curve, measures, partitions, query, update
 from kinetic.sources import generator
 from kinetic.sources import standins as st
 
@@ -186,3 +186,33 @@ def test_hilbert_keys_of_the_whole_grid(spark):
     assert all(abs(at[k][0] - at[k + 1][0]) + abs(at[k][1] - at[k + 1][1]) == 1 for k in range(4095))
     for k in range(1, 6):
         assert len({(key >> 2 * k, x >> k, y >> k) for key, (x, y) in at.items()}) == 4 ** (6 - k)
+
+
+def test_windows_meet_objects_in_cells(spark):
+    """Two times, places beyond the grid, edges on cells, and windows that are empty or null; no pair of every object with every window."""
+    mo = spark.createDataFrame([(i, (i * 37 % 240) * 50.0 - 1000, (i * 91 % 240) * 50.0 - 1000, i % 7 - 3.0, i % 5 - 2.0, 3.0, 0.0) for i in range(500)], "oid long, x double, y double, vx double, vy double, speed double, t_ref double")
+    windows = [(i, (i * 53 % 24) * 500.0 - 1500, (i * 29 % 24) * 500.0 - 1500, (i * 53 % 24) * 500.0, (i * 29 % 24) * 500.0 - 200, float(i % 2 * 60)) for i in range(60)]
+    windows += [(60, 500.0, 0.0, 400.0, 10000.0, 60.0), (61, None, 0.0, 10000.0, 10000.0, 60.0), (62, 0.0, 0.0, 10000.0, 10000.0, None)]
+    q = spark.createDataFrame(windows, "qid long, xlo double, ylo double, xhi double, yhi double, t double")
+    want = sorted((w[0], o["oid"]) for o in mo.collect() for w in windows if None not in w and w[1] <= o["x"] + o["vx"] * w[5] <= w[3] and w[2] <= o["y"] + o["vy"] * w[5] <= w[4])
+    got = query.range_scan(mo, q)
+    assert len(want) > 100 and pairs(got) == want
+    parted = partitions.single_part(mo)
+    assert pairs(query.range_box(parted, q)) == want
+    assert "_cell" in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_candidates_are_counted_without_pairs(spark, sf, parted):
+    keyed = index_curve.curve_keys(parted)
+    runs = index_curve.curve_intervals(st.q_range(spark, sf, 900, 100), index_curve.key_stats(keyed))
+    listed = index_curve.probe_intervals(keyed, runs)
+    want = keyed.select("oid", "part", "quadrant", "label", "key").join(runs, ["part", "quadrant", "label"]).where("key BETWEEN key_lo AND key_hi")
+    assert pairs(listed) == pairs(want)
+    counted = {r["qid"]: r["candidates"] for r in index_curve.count_candidates(keyed, runs).collect()}
+    assert counted == {r["qid"]: r["count"] for r in want.groupBy("qid").count().collect()}
+
+
+def test_pairs_that_repeat_are_counted_as_often_as_they_are_there(spark):
+    a = spark.createDataFrame([(1, 7), (1, 7), (1, 8), (2, 9)], "qid long, oid long")
+    got = {r["qid"]: (r["answers"], r["truth"], r["hits"]) for r in measures.answer_quality(a, a.where("oid <> 8")).collect()}
+    assert got == {1: (3, 2, 2), 2: (1, 1, 1)}
