@@ -216,3 +216,22 @@ def test_pairs_that_repeat_are_counted_as_often_as_they_are_there(spark):
     a = spark.createDataFrame([(1, 7), (1, 7), (1, 8), (2, 9)], "qid long, oid long")
     got = {r["qid"]: (r["answers"], r["truth"], r["hits"]) for r in measures.answer_quality(a, a.where("oid <> 8")).collect()}
     assert got == {1: (3, 2, 2), 2: (1, 1, 1)}
+
+
+def test_a_sweep_leaves_no_index_behind(spark, sf):
+    from pathlib import Path
+
+    from kinetic import workloads
+    from kinetic.sources.shared import checkpoint_folder
+
+    root = Path(checkpoint_folder(spark).removeprefix("file:"))
+    before = set(root.rglob("objects"))
+    q = st.q_range(spark, sf, 2000)
+    got = workloads.sweep_accesses(spark, sf, {3: q}, ways=("one",)).collect()
+    assert {(r["kind"], r["value"], r["answers"]) for r in got} == {(k, 3, query.range_scan(st.mo_orders(spark, sf), q).count()) for k in ("box", "curve")}
+    assert set(root.rglob("objects")) == before
+
+
+def test_steps_of_vehicles_run_once(spark, sf):
+    plan = generator.traffic(spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("aggregate(sequence(") <= 1
