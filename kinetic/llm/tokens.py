@@ -1,18 +1,19 @@
 """Token ids of whole texts, by a public tokenizer file.
 
-A text is cut at single spaces between non-space characters, where byte-level
-BPE with the usual word pattern never joins anything; the ids of each piece
-come from the tokenizers library once and are then kept per worker. Texts with
-other runs of white space go to the library whole.
+A text is cut before single spaces and line ends between other characters,
+where byte-level BPE with the usual word pattern never joins anything; the ids
+of each piece come from the tokenizers library once and are then kept per
+worker. Texts with other runs of white space go to the library whole.
 """
 
 from __future__ import annotations
 
+import codecs
+import json
+import re
 import zlib
-from array import array
 
 import numpy as np
-import regex
 
 #: Appended to each document.
 END_ID = 2
@@ -24,71 +25,40 @@ def default_tokenizer() -> str:
     return public_tokenizers.path("byte_bpe_50k.json")
 
 
-#: The word pattern of byte-level BPE (fixed value).
-WORD = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
-LATIN = regex.compile("[!-~\u00a1-\u024f\n]+")
+#: Pieces of letters, digits and signs that BPE itself cuts where the word pattern does: Latin letters, ASCII but apostrophes (which begin endings), after a line end or a space that is left out.
+LATIN = re.compile("\n?[!-&(-~\u00aa\u00b5\u00ba\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f]+")
 _SHOWN = {*range(33, 127), *range(161, 173), *range(174, 256)}
 #: Byte-level BPE writes each byte that cannot be shown as a character from 256 on.
 BYTE_CHARS = {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in _SHOWN)}
+#: The characters of all bytes, in their order.
+SHOWN = "".join(chr(BYTE_CHARS.get(b, b)) for b in range(256))
+_SPACE, _LINE = SHOWN[32], SHOWN[10]
 
 
-#: How byte-level BPE writes the characters of LATIN and the space.
-LETTERS = {c: "".join(chr(BYTE_CHARS.get(b, b)) for b in chr(c).encode()) for c in (10, 32, *range(0xA1, 0x250))}
+def _kind(c: str) -> str:
+    return c if c in (_SPACE, _LINE) else "letter" if c.isalpha() or not c.isascii() else "digit" if c.isdigit() else "sign"
 
 
-def _byte_level(model) -> bool:
-    import json
+def _latin(shown: str) -> bool:
+    """Whether a token may be part of a piece of LATIN; True where that cannot be told."""
+    try:
+        text = bytes(SHOWN.index(c) for c in shown).decode()
+    except ValueError:
+        return True
+    return all(p == "" or LATIN.fullmatch(p) for p in text.split(" "))
 
-    kind = json.loads(model.to_str())
-    cut = kind.get("pre_tokenizer") or {}
-    return kind.get("normalizer") is None and cut.get("type") == "ByteLevel" and not cut.get("add_prefix_space") and cut.get("use_regex", True) and kind["model"]["type"] == "BPE" and not kind["model"].get("ignore_merges")
-
-
-class Pieces(dict):
-    """ids of each piece that follows a space, encoded when first asked for.
 
-    Two generations: a full one becomes the old one, and what is asked for
-    again moves over, so that frequent pieces stay. Pieces that are empty or
-    begin or end with white space are refused with a KeyError.
-    """
-
-    def __init__(self, model, dtype: np.dtype, most: int):
-        self.model, self.code, self.dtype, self.most = model, "H" if dtype.itemsize == 2 else "I", dtype, most
-        self.old: dict[str, bytes] = {}
-        self.words: dict[str, bytes] = {}
-        self.letters = _byte_level(model)
-        self.ids_of = model.model.tokenize
-
-    def __missing__(self, p: str) -> bytes:
-        ids = self.old.get(p)
-        if ids is None:
-            q = p.rstrip(".,")
-            words = self.words
-            if self.letters and q.isalpha() and max(q) < "\u0250":
-                # letters, then punctuation: two words of the pattern at most
-                ids = words.get(q)
-                if ids is None:
-                    ids = words[q] = array(self.code, [t.id for t in self.ids_of("\u0120" + (q if q.isascii() else q.translate(LETTERS)))]).tobytes()
-                if len(q) != len(p):
-                    ids += self._word(p[len(q) :])
-            elif not p or p[0].isspace() or p[-1].isspace():
-                raise KeyError(p)
-            elif self.letters and LATIN.fullmatch(p):
-                ids = b"".join([self._word(w.translate(LETTERS)) for w in WORD.findall(" " + p)])
-            else:
-                ids = np.array(self.model.encode(" " + p, add_special_tokens=False).ids, self.dtype).tobytes()
-        if len(self) >= self.most:
-            self.old = dict(self)
-            self.clear()
-            self.words.clear()
-        self[p] = ids
-        return ids
-
-    def _word(self, shown: str) -> bytes:
-        ids = self.words.get("\0" + shown)
-        if ids is None:
-            ids = self.words["\0" + shown] = array(self.code, [t.id for t in self.ids_of(shown)]).tobytes()
-        return ids
+def cuts_itself(model) -> bool:
+    """Whether a tokenizer is byte-level BPE whose merges, within and between pieces of LATIN, never join what the word pattern cuts."""
+    kind = json.loads(model.to_str())
+    cut, bpe = kind.get("pre_tokenizer") or {}, kind["model"]
+    if kind.get("normalizer") is not None or cut.get("type") != "ByteLevel" or cut.get("add_prefix_space") or not cut.get("use_regex", True):
+        return False
+    if bpe["type"] != "BPE" or any(bpe.get(k) for k in ("ignore_merges", "dropout", "continuing_subword_prefix", "end_of_word_suffix")):
+        return False
+    merges = (m if isinstance(m, list) else m.split(" ") for m in bpe["merges"])
+    across = ((a, b) for a, b in merges if _kind(a[-1]) != _kind(b[0]) and (a != _SPACE or b[0] == _LINE))
+    return not any(_latin(a + b) for a, b in across) and len(model.encode("\n", add_special_tokens=False).ids) == 1
 
 
 class Encoder:
@@ -96,36 +66,80 @@ class Encoder:
 
     Texts that hold the string of an added token go to the library whole, which
     reads it as that token. ``most`` bounds the pieces kept in each of two
-    generations.
+    generations, by no less than what one chunk of texts holds: a full one
+    becomes the old one, and what is asked for again moves over, so that
+    frequent pieces stay.
     """
 
+    #: New pieces that BPE reads as one string.
+    TOGETHER = 128
+
     def __init__(self, path: str, most: int = 450_000):
         from tokenizers import Tokenizer
 
-        self.model = Tokenizer.from_file(path)
+        self.model, self.most = Tokenizer.from_file(path), most
         self.added = [t.content for t in self.model.get_added_tokens_decoder().values() if t.content]
-        self.dtype = np.dtype("<u2" if max(self.model.get_vocab().values()) < 65536 else "<u4")
-        self.kept = Pieces(self.model, self.dtype, most)
+        vocab = self.model.get_vocab()
+        self.dtype = np.dtype("<u2" if max(vocab.values()) < 65536 else "<u4")
         self.end = np.array([END_ID], self.dtype).tobytes()
+        self.kept: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+        self.cuts = cuts_itself(self.model)
+        if self.cuts:
+            self.bare = Tokenizer(self.model.model)  # the same merges, without the word pattern
+            self.begins = np.zeros(max(vocab.values()) + 1, bool)
+            self.begins[[i for t, i in vocab.items() if t[0] in (_SPACE, _LINE)]] = True
+            self.line = self._plain(["\n"])[0]
 
     def _plain(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, self.dtype).tobytes() for e in self.model.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _learn(self, pieces: set[str]) -> None:
+        """Keeps the ids of new pieces. Those that are empty or begin or end with white space (but for one line end at the beginning) are left out."""
+        kept, old, new, rare = self.kept, self.old, [], []
+        for p in pieces:
+            if p in old:
+                kept[p] = old[p]
+            elif LATIN.fullmatch(p):
+                new.append(p)
+            elif p and not p[-1].isspace() and not (p[1] if p[0] == "\n" else p[0]).isspace():
+                rare.append(p)
+        shown = []
+        for at in range(0, len(new), self.TOGETHER):
+            text = "".join([p if p[0] == "\n" else " " + p for p in new[at : at + self.TOGETHER]])
+            shown.append(codecs.charmap_decode(text.encode(), "strict", SHOWN)[0])
+        ids = np.array([i for e in self.bare.encode_batch_fast(shown, add_special_tokens=False) for i in e.ids], self.dtype)
+        # each piece has one space or line end, which begins its first token
+        at = [*(np.flatnonzero(self.begins[ids]) * self.dtype.itemsize).tolist(), ids.nbytes]
+        flat = ids.tobytes()
+        kept.update(zip(new, [flat[a:b] for a, b in zip(at, at[1:], strict=False)], strict=True))
+        kept.update(zip(rare, self._plain([p if p[0] == "\n" else " " + p for p in rare]), strict=True))
+
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, without END_ID."""
-        get, out, heads, odd = self.kept.__getitem__, [b""] * len(texts), [], []
+        if not self.cuts:
+            return self._plain(texts)
+        return [ids for part in small_chunks(texts, 2_000_000) for ids in self._chunk(texts[part])]
+
+    def _chunk(self, texts: list[str]) -> list[bytes]:
+        out, cut, odd = [b""] * len(texts), [], []
         for i, text in enumerate(texts):
-            first, *rest = text.split(" ")
-            if first and not first[-1].isspace() and not any(a in text for a in self.added):
-                try:
-                    out[i] = b"".join(map(get, rest))
-                    heads.append((i, first))
-                    continue
-                except KeyError:  # spaces in a row, or beside other white space
-                    pass
-            odd.append(i)
-        for (i, _), ids in zip(heads, self._plain([h for _, h in heads]), strict=True):
-            out[i] = ids + out[i]
+            # two line ends in a row are cut between them, more are not
+            if text[:1].isspace() or text[-1:] == "\n" or "\n " in text or "\n\n\n" in text or any(a in text for a in self.added):
+                odd.append(i)
+            elif text:
+                # the first piece is read after a line end too, whose id is taken off again
+                cut.append((i, ("\n" + text.replace("\n", " \n")).split(" ")))
+        if len(self.kept) >= self.most:
+            self.old, self.kept = self.kept, {}
+        self.kept["\n"] = self.line
+        self._learn(set().union(*[pieces for _, pieces in cut]).difference(self.kept))
+        get = self.kept.__getitem__
+        for i, pieces in cut:
+            try:
+                out[i] = b"".join(map(get, pieces))[len(self.line) :]
+            except KeyError:  # spaces in a row, or beside other white space
+                odd.append(i)
         for i, ids in zip(odd, self._plain([texts[i] for i in odd]), strict=True):
             out[i] = ids
         return out

@@ -109,6 +109,47 @@ def test_ids_equal_the_library():
     assert e.documents([None])[0].tolist() == [2]
 
 
+def test_new_pieces_go_to_the_library_together():
+    from tokenizers import Tokenizer
+
+    plain, asked = Tokenizer.from_file(default_tokenizer()), []
+
+    class Counted:
+        def __init__(self, model):
+            self.model = model
+
+        def encode_batch_fast(self, texts, **how):
+            asked.extend(texts)
+            return self.model.encode_batch_fast(texts, **how)
+
+    e = Encoder(default_tokenizer())
+    e.documents(["one two.\nThree", "two.\nThree"])
+    assert not any("\n" in p[1:] for p in e.kept)  # what begins a line is kept once, whatever is before it
+    e.bare = Counted(e.bare)
+    texts = [" ".join(f"w\u00f6rd{chr(97 + i % 26) * (i % 7)}x{i}{j},\nNext{j}." for i in range(50)) for j in range(20)]
+    assert [x[:-1].tolist() for x in e.documents(texts)] == [x.ids for x in plain.encode_batch(texts, add_special_tokens=False)]
+    assert len(asked) <= 10  # for 1,000 words and 20 that begin a line
+
+
+def test_line_ends_and_merges_that_cross_the_word_pattern(tmp_path):
+    import json
+
+    from tokenizers import Tokenizer
+
+    signs = ["a", "B", "\n", "\n\n", " ", ".", "'s", "\u00e9", "\u00f7", "\u2014", "1"]
+    texts = [x + y + z + w for x in signs for y in signs for z in signs for w in signs]
+    plain = Tokenizer.from_file(default_tokenizer())
+    assert [x[:-1].tolist() for x in Encoder(default_tokenizer()).documents(texts)] == [x.ids for x in plain.encode_batch(texts, add_special_tokens=False)]
+    # a merge of a letter with a full stop: only the word pattern keeps them apart
+    spec = json.loads(plain.to_str())
+    spec["model"]["merges"].insert(0, ["a", "."])
+    spec["model"]["vocab"]["a."] = 50257
+    other = tmp_path / "other.json"
+    other.write_text(json.dumps(spec))
+    assert [x[:-1].tolist() for x in Encoder(str(other)).documents(texts)] == [x.ids for x in Tokenizer.from_file(str(other)).encode_batch(texts, add_special_tokens=False)]
+    assert not Encoder(str(other)).cuts
+
+
 def brute(rows):
     return {i: x for (i, _, _), x in zip(rows, encoder(default_tokenizer()).documents([t for _, t, _ in rows]), strict=True)}
 
