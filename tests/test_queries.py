@@ -235,3 +235,29 @@ def test_a_sweep_leaves_no_index_behind(spark, sf):
 def test_steps_of_vehicles_run_once(spark, sf):
     plan = generator.traffic(spark, sf)._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("aggregate(sequence(") <= 1
+
+
+def test_windows_of_all_sizes_of_sets_are_counted_without_pairs(spark, sf, duck, monkeypatch):
+    monkeypatch.setattr(query, "in_windows", None)  # it makes a row for each object in each window
+    same(kq.QUERIES["w5_objects_range"](spark, sf), duck, kq.ORACLES["w5_objects_range"])
+
+
+def test_counts_are_the_sizes_of_the_answers(spark, monkeypatch):
+    monkeypatch.setattr(query, "COUNTED", 50)
+    place = "cast(id * 37 % 23 * 500 - 500 as double)"
+    mo = spark.range(300).selectExpr("id AS oid", f"{place} AS x", "cast(id % 7 * 1500 as double) AS y", "cast(id % 3 - 1 as double) * 10 AS vx", "5D AS vy", "sqrt(vx * vx + 25) AS speed", "cast(id % 2 as double) AS t_ref")
+    asked = [(1, 0.0, 0.0, 10000.0, 10000.0, 0.0), (2, 500.0, 0.0, 500.0, 9000.0, 1.0), (3, -1e9, -1e9, 1e9, 1e9, 60.0), (4, 3.0, 3.0, 2.0, 9.0, 0.0), (5, 1.0, 1.0, 2.0, 2.0, 1.0), (6, 0.0, 0.0, 9e3, 9e3, None), (2, 500.0, 0.0, 500.0, 9000.0, 1.0), (None, 0.0, 0.0, 5e3, 1e300, 1.0)]
+    q = spark.createDataFrame(asked, "qid long, xlo double, ylo double, xhi double, yhi double, t double")
+    want = query.in_windows(mo, q).groupBy("qid").count().collect()
+    assert sorted(map(str, want)) == sorted(str(r).replace("answers", "count") for r in query.counts_in_windows(mo, q).collect()) and len(want) == 4
+    assert query.counts_in_windows(mo, q.where("qid = 4")).count() == 0 == query.counts_in_windows(mo.limit(0), q).count()
+    monkeypatch.setattr(query, "MOST_WINDOWS", 1)
+    assert sorted(map(str, want)) == sorted(str(r).replace("answers", "count") for r in query.counts_in_windows(mo, q).collect())
+
+
+def test_a_box_index_is_written_by_one_shuffle_of_its_objects(parted):
+    rows = index_box.build_nodes(parted, 20, dealt=True)
+    plan = rows._jdf.queryExecution().executedPlan().toString()
+    assert "rangepartitioning(part" in plan and "hashpartitioning(part#" not in plan.split("BroadcastExchange")[0]
+    other = index_box.build_nodes(parted, 20)
+    assert sorted(map(str, rows.select("oid", "part", "quadrant", "node").collect())) == sorted(map(str, other.select("oid", "part", "quadrant", "node").collect()))
