@@ -261,3 +261,36 @@ def test_a_box_index_is_written_by_one_shuffle_of_its_objects(parted):
     assert "rangepartitioning(part" in plan and "hashpartitioning(part#" not in plan.split("BroadcastExchange")[0]
     other = index_box.build_nodes(parted, 20)
     assert sorted(map(str, rows.select("oid", "part", "quadrant", "node").collect())) == sorted(map(str, other.select("oid", "part", "quadrant", "node").collect()))
+
+
+def test_accesses_are_counted_without_pairs(spark, sf, parted, tmp_path, monkeypatch):
+    from kinetic.operators import stored
+
+    q = st.q_range(spark, sf, 900, 100).unionByName(st.q_range(spark, sf, 300, 0).withColumn("qid", F.col("qid") + 1000))
+    odd = [(9001, 900.0, 0.0, 100.0, 9000.0, 60.0), (9002, 0.0, 0.0, 9000.0, 9000.0, None), (9003, -1e9, -1e9, 1e9, 1e9, 60.0), (9004, 2e8, 0.0, 3e8, 1.0, 60.0)]
+    q = q.unionByName(spark.createDataFrame(odd, "qid long, xlo double, ylo double, xhi double, yhi double, t double"))
+    for kind in ("box", "curve"):
+        index = stored.store_index(parted, f"file://{tmp_path}/{kind}", kind, 8)
+        if kind == "box":
+            want = measures.node_accesses(index_box.candidate_nodes(index.catalog, q))
+        else:
+            want = index_curve.page_accesses(index.catalog, index_curve.curve_intervals(q, index.stats))
+        want = {(r["qid"], r["accesses"]) for r in want.collect()}
+        answers = {(r["qid"], r["count"]) for r in query.range_scan(parted, q).groupBy("qid").count().collect()}
+        with monkeypatch.context() as m:
+            m.setattr(index_box, "candidate_nodes", lambda nodes, queries, t0=0.0, f=index_box.candidate_nodes: f(nodes, queries.where("qid > 9000"), t0))
+            m.setattr(index_curve, "page_accesses", None)
+            m.setattr(query, "in_windows", None)
+            assert {(r["qid"], r["accesses"]) for r in index.accesses(q).collect()} == want
+            assert {(r["qid"], r["answers"]) for r in index.range_counts(q).collect()} == answers and len(answers) > 10
+
+
+def test_only_a_querys_own_runs_answer_it(spark, parted):
+    keyed = index_curve.curve_keys(parted)
+    stats = index_curve.key_stats(keyed).withColumns({c: F.lit(0.0) for c in ("vxlo", "vxhi", "vylo", "vyhi")})  # too narrow: runs leave objects out
+    q = spark.createDataFrame([(i, 400.0 * i, 900.0, 400.0 * i + 1500, 5900.0, 30.0 * (i % 3)) for i in range(20)], "qid long, xlo double, ylo double, xhi double, yhi double, t double")
+    want = query._answers(query.curve_candidates(None, q, keyed=keyed, stats=stats).join(F.broadcast(q), "qid").where(partitions.inside()))
+    got = query.range_curve(None, q, keyed=keyed, stats=stats)
+    assert pairs(got) == pairs(want) and len(pairs(want)) < query.range_scan(parted, q).count()
+    counted = {(r["qid"], r["answers"]) for r in query.range_curve_counts(q, keyed, stats).collect()}
+    assert counted == {(r["qid"], r["count"]) for r in want.groupBy("qid").count().collect()}
