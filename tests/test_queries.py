@@ -294,3 +294,19 @@ def test_only_a_querys_own_runs_answer_it(spark, parted):
     assert pairs(got) == pairs(want) and len(pairs(want)) < query.range_scan(parted, q).count()
     counted = {(r["qid"], r["answers"]) for r in query.range_curve_counts(q, keyed, stats).collect()}
     assert counted == {(r["qid"], r["count"]) for r in want.groupBy("qid").count().collect()}
+
+
+def test_pairs_of_traffic_are_compared_where_they_are_made(spark, sf, monkeypatch):
+    from kinetic import workloads
+
+    plans, compared = [], measures.answer_quality
+
+    def quality(answers, truth):
+        out = compared(answers, truth)
+        plans.append(out._jdf.queryExecution().executedPlan().toString())
+        return out
+
+    monkeypatch.setattr(measures, "answer_quality", quality)
+    got = workloads.traffic_answers(spark, sf).collect()
+    assert len({r["truth"] for r in got}) == 1 and all(r["answers"] == r["truth"] == r["hits"] > 0 for r in got)
+    assert len(plans) == 3 and not any("hashpartitioning(qid#" in p and ", oid#" in p.split("hashpartitioning(qid#")[1].split(")")[0] for p in plans)
